@@ -71,6 +71,7 @@ def plan_cuts(groups: DataFrame, shards: int) -> list[str]:
             ends.append(total)
         best = smallest_capacity(ends, shards)  # feasible, as cutting only between ranges is a special case
         least = max([-(-total // shards), *(p[1] for p in pieces if p[3])])
+        heavy = {i for i, p in enumerate(pieces) if not p[3] and p[1] > least}  # fewer than ``shards``
         # A walk with capacity c in [least, best]: its k-th cut is not before the coarse walk's and not beyond k * best.
         floor, reach, open_ = 0, 0, set()
         for _ in range(shards):
@@ -81,6 +82,7 @@ def plan_cuts(groups: DataFrame, shards: int) -> list[str]:
             open_ |= {i for i in range(first, last + 1) if not pieces[i][3]}
             if floor >= total:
                 break
+        open_ = heavy or open_
         if not open_:
             cuts = greedy_cuts(ends, best)
             return [pieces[i - 1][2] for i in cuts[:-1]]
