@@ -107,18 +107,14 @@ def _round_block(pdf: pd.DataFrame) -> pd.DataFrame:
     return pdf.assign(p=out)
 
 
-def _hash(*cols: str | Column) -> Column:
-    return F.xxhash64(*cols)
-
-
 def mix(
     docs: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, most: float = MAX_COPIES, seed: int = SEED,
     id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", carry: str | None = None,
 ) -> DataFrame:
     """One row per document: doc_id, size, source, source_size, target, copies, taken (and the column ``carry``)."""
     body = text_or_empty(text_col)
-    base = [F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), n_words(body).alias("size"), F.xxhash64(body, F.lit(seed)).alias("tie")]
-    rows = written(docs.select(*base, *([F.col(carry).alias("carried")] if carry else [F.lit(None).cast("long").alias("carried")])), "mix-sizes")
+    base = [F.coalesce(F.col(id_col).cast("long"), F.lit(0)).alias("doc_id"), F.col(id_col).isNull().alias("no_id"), F.col(source_col).cast("string").alias("source"), n_words(body).alias("size"), F.xxhash64(body, F.lit(seed)).alias("tie")]
+    rows = written(docs.select(*base, *([F.col(carry).alias("carried")] if carry else [F.lit(0).cast("long").alias("carried")])), "mix-sizes")
     targets = source_targets(rows.select("source", "size"), weights, share, most)
     n = rows.count()
     blocks = max(1, -(-n // BLOCK_ROWS))
@@ -126,7 +122,7 @@ def mix(
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
     rows = rows.join(t, F.col("source").eqNullSafe(F.col("of_source"))).withColumn("whole", F.floor(rate).cast("long"))
     rows = rows.select(
-        "doc_id", "source", "size", "tie", "carried", "source_size", "target", "whole", (rate - F.col("whole")).alias("p"),
+        "doc_id", "no_id", "source", "size", "tie", "carried", "source_size", "target", "whole", (rate - F.col("whole")).alias("p"),
         F.pmod(F.xxhash64("doc_id", "tie"), F.lit(blocks)).cast("long").alias("block"), F.xxhash64("doc_id", "tie", F.lit(seed), F.lit(0)).alias("draw"),
     )
     open_ = (F.col("p") > 0) & (F.col("p") < 1)
@@ -144,7 +140,7 @@ def mix(
     for d in done[1:]:
         out = out.unionByName(d)
     out = out.withColumn("copies", F.col("whole") + F.col("p").cast("long"))
-    return out.select("doc_id", "size", "source", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"), *(["carried"] if carry else []))
+    return out.select(F.when(~F.col("no_id"), F.col("doc_id")).alias("doc_id"), "size", "source", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"), *(["carried"] if carry else []))
 
 
 def repeat_rows(docs: DataFrame, **options) -> DataFrame:
