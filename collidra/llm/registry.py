@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
-from . import bpe, exact_dedup, mixing, sharding, simhash, toxicity
+from . import bpe, exact_dedup, html_text, mixing, paragraph_sketch, quality, sharding, simhash, toxicity
 
 QUERIES = {
+    "op1_paragraph_sketch": paragraph_sketch.op1_paragraph_sketch,
     "op2_toxicity": toxicity.op2_toxicity,
+    "op4_html_text": html_text.op4_html_text,
     "op5_mixing": mixing.op5_mixing,
     "op6_sharding": sharding.op6_sharding,
     "op7_simhash": simhash.op7_simhash,
+    "op8_quality": quality.op8_quality,
     "op9_exact_dedup": exact_dedup.op9_exact_dedup,
     "op10_bpe": bpe.op10_bpe,
 }
