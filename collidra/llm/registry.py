@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import bpe, exact_dedup, html_text, mixing, paragraph_sketch, quality, sharding, simhash, toxicity
+from . import bpe, exact_dedup, html_text, mixing, paragraph_sketch, quality, sharding, simhash, substring_dedup, toxicity
 
 QUERIES = {
     "op1_paragraph_sketch": paragraph_sketch.op1_paragraph_sketch,
     "op2_toxicity": toxicity.op2_toxicity,
+    "op3_substring_dedup": substring_dedup.op3_substring_dedup,
     "op4_html_text": html_text.op4_html_text,
     "op5_mixing": mixing.op5_mixing,
     "op6_sharding": sharding.op6_sharding,
