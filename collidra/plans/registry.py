@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import core
+from . import core, relational, streams
 
-QUERIES: dict = {**core.QUERIES}
-ORACLES: dict = {**core.ORACLES}
+QUERIES: dict = {**core.QUERIES, **relational.QUERIES, **streams.QUERIES}
+ORACLES: dict = {**core.ORACLES, **relational.ORACLES, **streams.ORACLES}
