@@ -109,12 +109,12 @@ def _round_block(pdf: pd.DataFrame) -> pd.DataFrame:
 
 def mix(
     docs: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, most: float = MAX_COPIES, seed: int = SEED,
-    id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", carry: str | None = None,
+    id_col: str = "doc_id", text_col: str = "text", source_col: str = "source",
 ) -> DataFrame:
-    """One row per document: doc_id, size, source, source_size, target, copies, taken (and the column ``carry``)."""
+    """One row per document: doc_id, size, source, source_size, target, copies, taken, tie (hash of text and seed)."""
     body = text_or_empty(text_col)
     base = [F.coalesce(F.col(id_col).cast("long"), F.lit(0)).alias("doc_id"), F.col(id_col).isNull().alias("no_id"), F.col(source_col).cast("string").alias("source"), n_words(body).alias("size"), F.xxhash64(body, F.lit(seed)).alias("tie")]
-    rows = written(docs.select(*base, *([F.col(carry).alias("carried")] if carry else [F.lit(0).cast("long").alias("carried")])), "mix-sizes")
+    rows = written(docs.select(*base), "mix-sizes")
     targets = source_targets(rows.select("source", "size"), weights, share, most)
     n = rows.count()
     blocks = max(1, -(-n // BLOCK_ROWS))
@@ -122,7 +122,7 @@ def mix(
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
     rows = rows.join(t, F.col("source").eqNullSafe(F.col("of_source"))).withColumn("whole", F.floor(rate).cast("long"))
     rows = rows.select(
-        "doc_id", "no_id", "source", "size", "tie", "carried", "source_size", "target", "whole", (rate - F.col("whole")).alias("p"),
+        "doc_id", "no_id", "source", "size", "tie", "source_size", "target", "whole", (rate - F.col("whole")).alias("p"),
         F.pmod(F.xxhash64("doc_id", "tie"), F.lit(blocks)).cast("long").alias("block"), F.xxhash64("doc_id", "tie", F.lit(seed), F.lit(0)).alias("draw"),
     )
     open_ = (F.col("p") > 0) & (F.col("p") < 1)
@@ -140,15 +140,22 @@ def mix(
     for d in done[1:]:
         out = out.unionByName(d)
     out = out.withColumn("copies", F.col("whole") + F.col("p").cast("long"))
-    return out.select(F.when(~F.col("no_id"), F.col("doc_id")).alias("doc_id"), "size", "source", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"), *(["carried"] if carry else []))
+    return out.select(F.when(~F.col("no_id"), F.col("doc_id")).alias("doc_id"), "size", "source", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"), "tie")
 
 
-def repeat_rows(docs: DataFrame, **options) -> DataFrame:
-    """``docs`` with each row repeated as often as the mix takes it (0, 1 or 2 times), columns unchanged."""
-    tagged = written(docs.withColumn("_mix_row", F.monotonically_increasing_id()), "mix-rows")
-    copies = mix(tagged, carry="_mix_row", **options).where("copies > 0").select(F.col("carried").alias("_mix_row"), "copies")
+def repeat_rows(docs: DataFrame, seed: int = SEED, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """``docs`` with each row repeated as often as the mix takes it (0, 1 or 2 times), columns unchanged.
+
+    Rows and copies meet by id and hash of the text, numbered where rows repeat both, so texts are shuffled once.
+    """
+    key = [F.coalesce(F.col(id_col).cast("long"), F.lit(0)).alias("_i"), F.col(id_col).isNull().alias("_n"), F.xxhash64(text_or_empty(text_col), F.lit(seed)).alias("_t")]
+    number = lambda by: F.row_number().over(W.partitionBy("_i", "_n", "_t").orderBy(by))
+    found = mix(docs, seed=seed, id_col=id_col, text_col=text_col, **options)
+    copies = found.select(F.coalesce("doc_id", F.lit(0)).alias("_i"), F.col("doc_id").isNull().alias("_n"), F.col("tie").alias("_t"), "copies")
+    copies = copies.withColumn("_k", number("copies")).where("copies > 0")
+    rows = docs.select(F.struct(*docs.columns).alias("_row"), *key).withColumn("_k", number("_i"))
     times = F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))
-    return tagged.join(copies, "_mix_row").withColumn("_mix_copy", times).select(*docs.columns)
+    return rows.join(copies, ["_i", "_n", "_t", "_k"]).withColumn("_c", times).select("_row.*")
 
 
 def op5_mixing(spark, sf_dir: str) -> DataFrame:
