@@ -12,10 +12,14 @@ BUCKET = ("table_id", "address")
 
 
 def priority(seed: int = 1, keys: tuple = BUCKET) -> Column:
-    """Number of an item in a bucket that orders the bucket's items at random, the same in every run."""
+    """Number of an item in a bucket that orders the bucket's items at random, the same in every run.
+
+    Squared, as values of a linear hash alone step evenly from item to item.
+    """
     a, b = HashNumbers(seed).priority
     mixed = F.pmod(F.col("item_id"), F.lit(P)) * 31 + F.col(keys[0]) * 1009 + F.col(keys[1]) * 101
-    return ((mixed % F.lit(P)) * F.lit(a) + F.lit(b)) % F.lit(P)
+    x = ((mixed % F.lit(P)) * F.lit(a) + F.lit(b)) % F.lit(P)
+    return (x * x + F.lit(a)) % F.lit(P)
 
 
 def draw(seed: int = 1, keys: tuple = BUCKET, i: str = "i") -> Column:

@@ -101,7 +101,8 @@ def addresses(p: IndexParams, x: str = "", features: str | None = None) -> list[
 
 def priority(seed: int, first: str = "table_id", second: str = "address") -> str:
     a, b = HashNumbers(seed).priority
-    return f"(((item_id % {P}) * 31 + {first} * 1009 + {second} * 101) % {P} * {a} + {b}) % {P}"
+    x = f"((((item_id % {P}) * 31 + {first} * 1009 + {second} * 101) % {P} * {a} + {b}) % {P})"
+    return f"({x} * {x} + {a}) % {P}"
 
 
 def reservoirs(p: IndexParams, x: str = "", policy: str = "priority") -> list[tuple[str, str]]:
