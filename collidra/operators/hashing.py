@@ -38,15 +38,33 @@ def directions(m: int, seed: int = 1) -> np.ndarray:
     return (a * np.arange(m, dtype=np.int64) + b) % P // 7 % 2
 
 
+def _per_set(sets: DataFrame, fn, kind: str) -> DataFrame:
+    """(item_id, out) where ``fn(features, starts)`` gives a row per set from non-empty sets laid end to end.
+
+    Sets are taken in slices, so that a batch of large sets does not widen into one huge matrix.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for lo in range(0, batch.num_rows, 256):
+                part = batch.slice(lo, 256)
+                lists = part.column(1)
+                flat, ends = lists.flatten().to_numpy(zero_copy_only=False), np.asarray(lists.offsets)
+                out = fn(flat.astype(np.int64), (ends[:-1] - ends[0]).astype(np.int64))
+                offsets = pa.array(np.arange(0, out.size + 1, out.shape[1], dtype=np.int32))
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(offsets, pa.array(out.ravel()))], names=["item_id", "out"])
+
+    return sets.where(F.size("features") > 0).select("item_id", "features").mapInArrow(run, f"item_id long, out array<{kind}>")
+
+
 def minwise(sets: DataFrame, m: int, seed: int = 1) -> DataFrame:
     """(item_id, sig): ``m`` independent minima; empty sets drop out. Work grows with m times the set."""
-    n = parameters(seed + 1000, 2 * m)
+    n = np.array(parameters(seed + 1000, 2 * m), dtype=np.int64).reshape(m, 2)
 
-    def least(a: int, b: int) -> Column:
-        return F.array_min(F.transform("features", lambda f: linear(f, a, b)))
+    def least(x: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        return np.stack([np.minimum.reduceat((x * a + b) % P, starts) for a, b in n], axis=1)
 
-    mins = [least(n[2 * k], n[2 * k + 1]) for k in range(m)]
-    return sets.where(F.size("features") > 0).select("item_id", F.array(*mins).alias("sig"))
+    return _per_set(sets, least, "long").withColumnRenamed("out", "sig")
 
 
 def one_permutation(sets: DataFrame, m: int, seed: int = 1) -> DataFrame:
@@ -162,24 +180,23 @@ def doph(sets: DataFrame, k: int, tables: int, seed: int = 1, scheme: str = "pro
 
 def signed_projection(sets: DataFrame, bits: int, seed: int = 1) -> DataFrame:
     """(item_id, sig): signs of ``bits`` random +-1 projections of the binary vector; a sum of 0 counts as positive."""
-    n = parameters(seed + 2000, 2 * bits)
-    sign = lambda f, k: F.lit(1) - F.lit(2) * (F.floor(linear(f, n[2 * k], n[2 * k + 1]) / 65536) % 2).cast("int")
-    total = lambda k: F.aggregate("features", F.lit(0), lambda s, f: s + sign(f, k))
-    sums = [total(k) for k in range(bits)]
-    return sets.where(F.size("features") > 0).select("item_id", F.array(*[(s >= 0).cast("long") for s in sums]).alias("sig"))
+    n = np.array(parameters(seed + 2000, 2 * bits), dtype=np.int64).reshape(bits, 2)
+
+    def signs(x: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        return np.stack([(np.add.reduceat(1 - 2 * ((x * a + b) % P // 65536 % 2), starts) >= 0).astype(np.int64) for a, b in n], axis=1)
+
+    return _per_set(sets, signs, "long").withColumnRenamed("out", "sig")
 
 
 def sparse_projection(sets: DataFrame, d: int, seed: int = 1) -> DataFrame:
     """(item_id, vector array<double>): entries are sqrt(3), 0, -sqrt(3) with chances 1/6, 2/3, 1/6, made from hashes."""
-    n = parameters(seed + 3000, 2 * d)
+    n = np.array(parameters(seed + 3000, 2 * d), dtype=np.int64).reshape(d, 2)
+    entry = np.array([1, -1, 0, 0, 0, 0], dtype=np.int64)
 
-    def entry(f: Column, k: int) -> Column:
-        r = F.floor(linear(f, n[2 * k], n[2 * k + 1]) / 65536) % 6
-        return F.when(r == 0, 1).when(r == 1, -1).otherwise(0)
+    def sums(x: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        return np.stack([np.add.reduceat(entry[(x * a + b) % P // 65536 % 6], starts) * 3.0**0.5 for a, b in n], axis=1)
 
-    total = lambda k: F.aggregate("features", F.lit(0), lambda s, f: s + entry(f, k))
-    sums = [total(k) for k in range(d)]
-    return sets.where(F.size("features") > 0).select("item_id", F.array(*[s * F.lit(3.0**0.5) for s in sums]).alias("vector"))
+    return _per_set(sets, sums, "double").withColumnRenamed("out", "vector")
 
 
 def hadamard_projection(df: DataFrame, item: str, vector: str, d: int, seed: int = 1) -> DataFrame:

@@ -298,3 +298,61 @@ add("workload_users", sql.query(sql.graph(BASE, 5, features="user_events"), "SEL
 add("workload_turns", sql.query(sql.graph(BASE, 5, features="turns_words"), "SELECT * FROM graph"))(lambda s, d: index.knn_graph(w.turns_words(s, d), BASE, 5))
 add("workload_char3", sql.query(sql.graph(BASE, 5, features="docs_char3"), "SELECT * FROM graph"))(lambda s, d: index.knn_graph(w.docs_char3(s, d), BASE, 5))
 add("workload_pages", sql.query(sql.graph(BASE, 5, features="pages_full"), "SELECT * FROM graph"))(lambda s, d: index.knn_graph(w.pages_full(s, d), BASE, 5))
+
+# ---------------------------------------------------------------- further measures and theory
+
+add("bucket_gini", sql.query([*_addr, ("h", "SELECT table_id, n, count(*) AS c FROM (SELECT table_id, address, count(*) AS n FROM addr GROUP BY 1, 2) GROUP BY 1, 2"), ("s", "SELECT table_id, c, n, c * (2 * coalesce(sum(c * n) OVER (PARTITION BY table_id ORDER BY n ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + c * n) AS area FROM h")], "SELECT table_id, round(1 - sum(area) / (sum(c) * sum(c * n)), 6) AS gini FROM s GROUP BY 1"))(
+    lambda s, d: metrics.gini(index.addresses(w.docs_words(s, d), BASE)).withColumn("gini", F.round("gini", 6))
+)
+_ma, _mb, _mc, _md = parameters(4, 4)
+_order = "(SELECT item_id, row_number() OVER (ORDER BY ((item_id % {2}) * {0} + {1}) % {3}) AS i FROM (SELECT DISTINCT item_id FROM feats) QUALIFY i <= 200)"
+add("mean_similarity", sql.query([*sql.feats("docs_words"), *sql.overlaps(), ("l", _order.format(_ma, _mb, 2**31, P)), ("r", _order.format(_mc, _md, 2**31, P))], "SELECT round(avg(coalesce(a / sqrt(x::DOUBLE * y), 0)), 6) AS mean_cosine, count(*) AS pairs FROM l JOIN r USING (i) LEFT JOIN over ON query_id = l.item_id AND neighbor_id = r.item_id WHERE l.item_id <> r.item_id"))(
+    lambda s, d: metrics.mean_similarity(features.drop_empty(w.docs_words(s, d)), 200).withColumn("mean_cosine", F.round("mean_cosine", 6))
+)
+
+
+@add("assumption_violations")
+def assumption_violations(s, d):
+    """Triples of a query, its best neighbour and its second: does sharing with the best change the odds for the second?"""
+    sets = w.pages_url(s, d)
+    gold = exact.exact_inverted(sets, sets, 2)
+    one, two = (gold.where(F.col("rank") == r).select("query_id", F.col("neighbor_id").alias(n)) for r, n in ((1, "a"), (2, "b")))
+    of = lambda i, n: sets.select(F.col("item_id").alias(i), F.col("features").alias(n))
+    return metrics.assumption_violations(one.join(two, "query_id").join(of("query_id", "q"), "query_id").join(of("a", "x"), "a").join(of("b", "y"), "b"))
+
+
+@add("theory_retrieval", "SELECT p, k, l, round(1 - pow(1 - pow(p, k), l), 6) AS plain, round(1 - pow(1 - 0.5::DOUBLE * pow(p, k), l), 6) AS half_kept, round(l * pow(p, k) * (1 - pow(p, k)), 6) AS variance FROM (SELECT (i / 10.0)::DOUBLE AS p, k, l FROM range(1, 10) a(i), (VALUES (1), (2), (4)) b(k), (VALUES (8), (32), (128)) c(l))")
+def theory_retrieval(s, d):
+    """Chances and variances from the planner over a grid of similarities and parameters."""
+    from ..operators import planner
+
+    rows = [
+        (i / 10, k, n, round(planner.retrieval(i / 10, k, n), 6), round(planner.retrieval_with_reservoirs(i / 10, k, 8, [16] * n), 6), round(planner.count_moments(i / 10, k, n)["count_variance"], 6))
+        for i in range(1, 10) for k in (1, 2, 4) for n in (8, 32, 128)
+    ]
+    return s.createDataFrame(rows, "p double, k int, l int, plain double, half_kept double, variance double")
+
+
+@add("speedup_at_recall")
+def speedup_at_recall(s, d):
+    """Seconds at equal recall of the engine and of a small-world graph, interpolated on measured curves."""
+    import time
+
+    sets = w.pages_url(s, d).persist()
+    asked = exact.gold_queries(sets, 100).persist()
+    gold = exact.exact_inverted(asked, sets, 100).persist()
+    rows = []
+    for method, runs in (
+        ("engine", [lambda t=t: index.build_index(sets, replace(URLS, tables=t)).knn(asked, 100, True) for t in (2, 4, 8, 16)]),
+        ("small world", [lambda e=e: baselines.small_world_graph(sets, asked, 100, ef_build=e, ef_search=e, degree=2 + e // 10) for e in (2, 5, 10, 40)]),
+    ):
+        for run in runs:
+            began = time.time()
+            graph = run().persist()
+            graph.count()
+            seconds = time.time() - began
+            rows.append((method, metrics.recall_at(graph, gold, (100,)).first()["recall"], seconds))
+            graph.unpersist()
+    for x in (sets, asked, gold):
+        x.unpersist()
+    return metrics.speedup_at(s.createDataFrame(rows, "method string, recall double, seconds double"))
