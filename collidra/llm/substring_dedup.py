@@ -1,15 +1,16 @@
 """Repeated passages: paragraphs collide by MinHash bands, are verified by exact Jaccard, and clustered by components.
 
-A paragraph is a line. A line of more than ``LONG_WORDS`` words is cut further at sentence ends, at places that depend on
-the words before them only, so that a passage repeated inside different long lines is cut alike in both. Paragraphs of
-fewer than ``LEAST_WORDS`` words are no passages. Words are lower-cased, shingles have five words.
-
-Equal paragraphs are one unit from the first shuffle on. Signatures of ``BANDS`` times ``ROWS`` minima find a pair of
-similarity 0.8 with probability above 0.998. Units that share a band meet in a bucket; up to ``BUCKET_UNITS`` of them are
+A paragraph is a line of at least ``LEAST_WORDS`` words. Words are lower-cased, shingles have five words. Equal
+paragraphs are one unit from the first shuffle on. Signatures of ``BANDS`` times ``ROWS`` minima find a pair of
+similarity 0.8 with probability above 0.996. Units that share a band meet in a bucket; up to ``BUCKET_UNITS`` of them are
 all compared. In larger buckets a unit is compared with the bucket's leaders (units that matched no leader before them),
 so work stays linear in the bucket; a link between two units that follow different leaders of such a bucket has to be
 found in another band or through a third unit.
 
+A passage may also be repeated inside lines that differ around it. For that, texts are cut into short chunks at words
+whose hash is the smallest around; such cuts depend on the nearest words only, so a passage has the same ones wherever
+it stands. Chunks found in two documents are joined to runs, which are reported from ``LEAST_WORDS`` words on.
+
 Defined results: null and empty texts have no paragraphs; null ids form one document; rows that repeat id and text count
 as occurrences of the same document; of a cluster the occurrence with the smallest id and place is kept; an empty table
 gives an empty result; other columns are ignored.
@@ -17,7 +18,6 @@ gives an empty result; other columns are ignored.
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -25,79 +25,163 @@ import pandas as pd
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
 from .common import components, read_table, written
 
 SHINGLE, SIMILARITY = 5, 0.8
-BANDS, ROWS = 10, 3
-LEAST_WORDS, LONG_WORDS, CUT_WORDS = 12, 60, 12
+BANDS, ROWS = 8, 3
+LEAST_WORDS = 12
 BUCKET_UNITS = 128
+#: A chunk ends at a word whose hash is smallest among so many words on either side.
+NEAR_WORDS = 5
 _rng = np.random.default_rng(11)
 _MUL = _rng.integers(1, 2**63, BANDS * ROWS, dtype=np.uint64) | np.uint64(1)
 _ADD = _rng.integers(0, 2**63, BANDS * ROWS, dtype=np.uint64)
-_WORD = re.compile(r"[^\x20\x09-\x0D]+")
-_PART = 32_768
-
-
-def paragraphs(text: str | None) -> list[tuple[int, int, list[str]]]:
-    """(start, end, words) of each passage of a text."""
-    out = []
-    at = 0
-    for line in (text or "").split("\n"):
-        found = list(_WORD.finditer(line.lower())) if len(line) >= 2 * LEAST_WORDS else []
-        if len(found) > LONG_WORDS:
-            first = 0
-            for i, m in enumerate(found):
-                w = m[0]
-                end = w[-1] in ".!?" and i - first + 1 >= CUT_WORDS and xxhash.xxh32_intdigest((found[i - 1][0] + " " + w).encode("utf-8", "surrogatepass")) % 2 == 0
-                if end or i == len(found) - 1:
-                    if i - first + 1 >= LEAST_WORDS:
-                        out.append((at + found[first].start(), at + m.end(), [x[0] for x in found[first : i + 1]]))
-                    first = i + 1
-        elif len(found) >= LEAST_WORDS:
-            out.append((at + found[0].start(), at + found[-1].end(), [x[0] for x in found]))
-        at += len(line) + 1
-    return out
+_STEP, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
+_PART_WORDS, _KNOWN_WORDS = 400_000, 500_000
+
+
+class _Known(dict):
+    """Hashes of words met so far."""
+
+    def __missing__(self, word: bytes) -> int:
+        self[word] = found = xxhash.xxh64_intdigest(word)
+        return found
+
+
+_known = _Known()
+
+
+def _word_hashes(words: list[bytes]) -> np.ndarray:
+    if len(_known) > _KNOWN_WORDS:
+        _known.clear()
+    return np.fromiter(map(_known.__getitem__, words), dtype=np.uint64, count=len(words))
+
+
+def _rolled(h: np.ndarray, n: int) -> np.ndarray:
+    """Hash of each n words in a row."""
+    out = np.zeros(max(0, len(h) - n + 1), dtype=np.uint64)
+    for i in range(n):
+        out = out * _STEP + h[i : len(h) - n + 1 + i]
+    out *= _MIX
+    return out ^ (out >> np.uint64(32))
+
+
+def _words(text: str) -> list[bytes]:
+    return text.lower().encode("utf-8", "surrogatepass").split()
+
+
+class Text:
+    """Words of a text with their places and hashes."""
+
+    def __init__(self, text: str | None):
+        text = text or ""
+        code = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), dtype="<u4")
+        space = (code == 32) | ((code >= 9) & (code <= 13))
+        edge = np.flatnonzero(np.diff(np.concatenate(([True], space, [True])).astype(np.int8)))
+        self.start, self.end = edge[::2], edge[1::2]
+        self.hashes = _word_hashes(_words(text))
+        self.line = np.searchsorted(np.flatnonzero(code == 10), self.start)
+
+    def lines(self) -> np.ndarray:
+        """(paragraphs, 2): first and one past the last word of each."""
+        cut = np.flatnonzero(np.diff(self.line)) + 1
+        spans = np.stack([np.concatenate(([0], cut)), np.concatenate((cut, [len(self.line)]))], axis=1)
+        return spans[spans[:, 1] - spans[:, 0] >= LEAST_WORDS]
+
+    def chunks(self) -> np.ndarray:
+        """(chunks, 2): first and one past the last word of each chunk between two cuts.
+
+        A cut has the smallest hash around, the first of equals, so that words that only repeat make no cuts.
+        """
+        h = self.hashes
+        if len(h) < 2:
+            return np.zeros((0, 2), dtype=np.int64)
+        pair = np.concatenate((h[:1], _rolled(h, 2)))  # a word with the one before it
+        edge = np.full(NEAR_WORDS, np.uint64(2**64 - 1))
+        low = np.lib.stride_tricks.sliding_window_view(np.concatenate((edge, pair, edge)), NEAR_WORDS).min(axis=1)
+        cut = np.flatnonzero((pair < low[: len(pair)]) & (pair <= low[NEAR_WORDS + 1 :]))
+        return np.stack([cut[:-1], cut[1:]], axis=1)
 
+    def span_hashes(self, spans: np.ndarray) -> np.ndarray:
+        """A hash of the words of each span, from sums of word hashes times powers by place."""
+        if not len(spans):
+            return np.zeros(0, dtype=np.int64)
+        size = spans[:, 1] - spans[:, 0]
+        power = np.multiply.accumulate(np.full(int(size.max()), _STEP))
+        at = np.concatenate([[0], np.cumsum(size)[:-1]])
+        inside = np.arange(int(size.sum())) - np.repeat(at, size)
+        sums = np.add.reduceat(self.hashes[np.repeat(spans[:, 0], size) + inside] * power[inside], at) * _MIX
+        sums = (sums ^ (sums >> np.uint64(29))) * _STEP + size.astype(np.uint64)
+        return (sums ^ (sums >> np.uint64(32))).view(np.int64)
 
-def shingle_hashes(words: list[str]) -> list[int]:
-    digest = xxhash.xxh64_intdigest
-    return [digest(" ".join(words[i : i + SHINGLE]).encode("utf-8", "surrogatepass")) for i in range(max(1, len(words) - SHINGLE + 1))]
 
+def paragraphs(text: str | None) -> list[tuple[int, int, list[bytes]]]:
+    """(start, end, words) of each paragraph of a text."""
+    t, words = Text(text), _words(text or "")
+    return [(int(t.start[a]), int(t.end[b - 1]), words[a:b]) for a, b in t.lines().tolist()]
 
-def band_keys(groups: list[list[int]]) -> np.ndarray:
-    """(len(groups), BANDS) keys; each group is the shingle hashes of one paragraph."""
-    flat = np.array([h for g in groups for h in g], dtype=np.uint64)
-    sizes = [len(g) for g in groups]
-    starts = np.concatenate(([0], np.cumsum(sizes)[:-1])).astype(np.int64)
-    keys = np.zeros((len(groups), BANDS), dtype=np.uint64)
+
+def shingle_hashes(words: list[bytes]) -> list[int]:
+    return _rolled(_word_hashes(words), min(SHINGLE, len(words))).tolist()
+
+
+def band_keys(hashes: np.ndarray, spans: np.ndarray) -> np.ndarray:
+    """(len(spans), BANDS) keys of the paragraphs that the spans of word hashes are."""
+    rolled = np.append(_rolled(hashes, SHINGLE), np.uint64(2**64 - 1))
+    at = (spans + np.array([0, 1 - SHINGLE])).ravel()
+    keys = np.zeros((len(spans), BANDS), dtype=np.uint64)
     for k in range(BANDS * ROWS):
-        low = np.minimum.reduceat((flat * _MUL[k] + _ADD[k]) ^ (flat >> np.uint64(29)), starts)
-        keys[:, k // ROWS] = (keys[:, k // ROWS] ^ low) * np.uint64(0x9E3779B97F4A7C15)
+        low = np.minimum.reduceat((rolled * _MUL[k] + _ADD[k]) ^ (rolled >> np.uint64(29)), at)[::2]
+        keys[:, k // ROWS] = (keys[:, k // ROWS] ^ low) * _STEP
     return keys.view(np.int64)
 
 
-def _units(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+NAMES = ["doc_id", "no_id", "kind", "place", "start", "chars", "n_words", "unit"]
+SCHEMA = "doc_id long, no_id boolean, kind byte, place int, start int, chars int, n_words int, unit long, bands array<long>"
+LINE, CHUNK = 0, 1
+
+
+def _passages(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Paragraphs with their band keys, and chunks, of all texts; a text is read once."""
     for pdf in parts:
-        rows, shingles = [], []
-        held = 0
+        held: list[tuple] = []
+        size = 0
 
         def full() -> pd.DataFrame:
-            out = pd.DataFrame(rows, columns=["doc_id", "no_id", "place", "start", "chars", "n_words", "unit"])
-            out["bands"] = list(band_keys(shingles))
+            columns, bands, offset = [[] for _ in NAMES], [], 0
+            lines, hashes = [], []
+            for i, no_id, t, spans, chunks in held:
+                both = np.concatenate((spans, chunks))
+                n = len(both)
+                kind = np.repeat(np.array([LINE, CHUNK], dtype=np.int8), [len(spans), len(chunks)])
+                place = np.concatenate((np.arange(len(spans)), np.arange(len(chunks))))
+                start = t.start[both[:, 0]]
+                for c, v in zip(columns, (np.full(n, i), np.full(n, no_id), kind, place, start, t.end[both[:, 1] - 1] - start, both[:, 1] - both[:, 0], t.span_hashes(both)), strict=True):
+                    c.append(v)
+                lines.append(spans + offset)
+                hashes.append(t.hashes)
+                offset += len(t.hashes)
+            out = pd.DataFrame({n: np.concatenate(c) for n, c in zip(NAMES, columns, strict=True)})
+            bands = np.full(len(out), None, dtype=object)
+            at = np.flatnonzero(out["kind"].to_numpy() == LINE)
+            if len(at):
+                for j, row in zip(at.tolist(), band_keys(np.concatenate(hashes), np.concatenate(lines)), strict=True):
+                    bands[j] = row
+            out["bands"] = bands
             return out
 
         for i, no_id, text in zip(pdf["doc_id"], pdf["no_id"], pdf["text"], strict=True):
-            for place, (a, b, words) in enumerate(paragraphs(text)):
-                s = shingle_hashes(words)
-                unit = xxhash.xxh64_intdigest(" ".join(words).encode("utf-8", "surrogatepass"))
-                rows.append((i, no_id, place, a, b - a, len(words), unit - (1 << 64) if unit >= 1 << 63 else unit))
-                shingles.append(s)
-                held += len(s)
-            if held > 500_000:
+            t = Text(text)
+            spans, chunks = t.lines(), t.chunks()
+            if len(spans) or len(chunks):
+                held.append((i, no_id, t, spans, chunks))
+                size += len(t.hashes)
+            if size > _PART_WORDS:
                 yield full()
-                rows, shingles, held = [], [], 0
-        if rows:
+                held, size = [], 0
+        if held:
             yield full()
 
 
@@ -109,7 +193,7 @@ def _similar(a: frozenset, b: frozenset) -> bool:
 
 
 def _bucket_links(units: list[tuple[int, str]]) -> list[tuple[int, int]]:
-    sets = [(u, frozenset(shingle_hashes(w.split("\x1f")))) for u, w in units]
+    sets = [(u, frozenset(shingle_hashes(w.encode("utf-8", "surrogatepass").split(b"\x1f")))) for u, w in units]
     if len(sets) <= BUCKET_UNITS:
         return [(sets[i][0], sets[j][0]) for i in range(len(sets)) for j in range(i) if _similar(sets[i][1], sets[j][1])]
     leaders, out = [], []
@@ -122,13 +206,29 @@ def _bucket_links(units: list[tuple[int, str]]) -> list[tuple[int, int]]:
     return out
 
 
+def _meeting(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Rows sorted by bucket, without those alone in theirs."""
+    last, sent = None, False
+    for pdf in parts:
+        if not len(pdf):
+            continue
+        if last is not None:
+            pdf = pd.concat([last, pdf], ignore_index=True)
+        b, k = pdf["band"].to_numpy(), pdf["key"].to_numpy()
+        same = (b[1:] == b[:-1]) & (k[1:] == k[:-1])
+        keep = np.concatenate(([False], same)) | np.concatenate((same, [False]))
+        # the last row waits for the next batch; if it has met others here, it goes out now and only marks its bucket then
+        yield pdf[keep & (np.arange(len(pdf)) >= (1 if last is not None and sent else 0))]
+        last, sent = pdf.iloc[-1:], bool(keep[-1])
+
+
 def _verify(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     """Links from rows sorted by bucket. A bucket beyond ``BUCKET_UNITS`` streams past its leaders."""
     key, held, leaders = None, [], None
     edges: list[tuple[int, int]] = []
 
     def stream(u: int, words: str) -> None:
-        s = frozenset(shingle_hashes(words.split("\x1f")))
+        s = frozenset(shingle_hashes(words.encode("utf-8", "surrogatepass").split(b"\x1f")))
         at = next((v for v, t in leaders if _similar(s, t)), None)
         if at is None:
             leaders.append((u, s))
@@ -159,19 +259,22 @@ def _verify(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         yield pd.DataFrame(edges, columns=["a", "b"])
 
 
-def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", across_documents: bool = True) -> DataFrame:
-    """One row per occurrence of a passage that others equal or resemble.
+def passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+    """The documents as (doc_id, no_id, text), and their paragraphs and chunks as a table in the shared folder."""
+    base = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(0)).alias("doc_id"), F.col(id_col).isNull().alias("no_id"), F.col(text_col).alias("text"))
+    return base, written(base.mapInPandas(_passages, SCHEMA), "passages")
+
+
+def repeated_paragraphs(base: DataFrame, found: DataFrame, across_documents: bool = True) -> DataFrame:
+    """One row per occurrence of a paragraph that others equal or resemble.
 
-    doc_id, place (number of the passage in its text), start, chars (code points), n_words, cluster_id, occurrences,
+    doc_id, place (number of the paragraph in its text), start, chars (code points), n_words, cluster_id, occurrences,
     removed (all but the first occurrence of a cluster). With ``across_documents`` only clusters of two or more documents.
     """
-    base = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(0)).alias("doc_id"), F.col(id_col).isNull().alias("no_id"), F.col(text_col).alias("text"))
-    schema = "doc_id long, no_id boolean, place int, start int, chars int, n_words int, unit long, bands array<long>"
-    units = written(base.mapInPandas(_units, schema), "passages")
-    different = units.select("unit", "bands").distinct()
-    rows = different.select("unit", F.posexplode("bands").alias("band", "key"))
-    crowded = rows.groupBy("band", "key").agg(F.count("*").alias("n")).where("n > 1").select("band", "key")
-    meet = written(rows.join(crowded, ["band", "key"]), "bands")
+    units = found.where(F.col("kind") == LINE).drop("kind")
+    rows = units.select("unit", "bands").distinct().select("unit", F.posexplode("bands").alias("band", "key"))
+    sorted_rows = rows.repartition("band", "key").sortWithinPartitions("band", "key", "unit").select("unit", "band", "key")
+    meet = written(sorted_rows.mapInPandas(_meeting, "unit long, band int, key long"), "bands")
     # one place of each unit that meets another, to fetch its words
     spots = meet.select("unit").distinct().join(
         units.groupBy("unit").agg(F.min(F.struct("no_id", "doc_id", "start", "chars")).alias("s")), "unit"
@@ -194,5 +297,33 @@ def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     )
 
 
+def repeated_runs(found: DataFrame) -> DataFrame:
+    """One row per run of chunks that other documents have too; columns as for paragraphs, place counts chunks.
+
+    A chunk stays in the document with the smallest id (null last) and is removed from all others; a run does not mix
+    the two. Its cluster is its first chunk, its occurrences those of its rarest chunk. Chunks are counted per task
+    before the shuffle; the repeated ones are a table, so that AQE can split the rows of a very common one in the join.
+    """
+    chunks = found.where(F.col("kind") == CHUNK).drop("kind", "bands").withColumnRenamed("unit", "chunk")
+    owner = F.when(F.col("no_id"), F.lit(2**63 - 1)).otherwise(F.col("doc_id"))
+    often = chunks.select("chunk", owner.alias("o")).groupBy("chunk").agg(F.min("o").alias("first"), F.max("o").alias("last"), F.count("*").alias("n")).where("first <> last").drop("last")
+    rows = chunks.join(written(often, "often"), "chunk").withColumn("removed", owner != F.col("first"))
+    number = F.dense_rank().over(W.partitionBy("no_id", "doc_id", "removed").orderBy("place"))
+    runs = rows.withColumn("run", F.col("place") - number).dropDuplicates(["no_id", "doc_id", "removed", "run", "place"]).groupBy("no_id", "doc_id", "removed", "run").agg(
+        F.min("place").alias("place"), F.min("start").alias("start"), F.max(F.col("start") + F.col("chars")).alias("end"), F.sum("n_words").cast("int").alias("n_words"),
+        F.min_by("chunk", "place").alias("cluster_id"), F.min("n").alias("occurrences"),
+    )
+    return runs.where(F.col("n_words") >= LEAST_WORDS).select(
+        F.when(~F.col("no_id"), F.col("doc_id")).alias("doc_id"), "place", "start", (F.col("end") - F.col("start")).alias("chars"), "n_words", "cluster_id", "occurrences", "removed"
+    )
+
+
+def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Paragraphs (kind ``line``) and runs inside lines (kind ``run``) that occur in two or more documents."""
+    base, found = passages(docs, id_col, text_col)
+    lines = repeated_paragraphs(base, found).withColumn("kind", F.lit("line"))
+    return lines.unionByName(repeated_runs(found).withColumn("kind", F.lit("run")))
+
+
 def op3_substring_dedup(spark, sf_dir: str) -> DataFrame:
     return repeated_passages(read_table(spark, sf_dir, "documents"))
