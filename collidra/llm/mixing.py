@@ -29,7 +29,7 @@ SHARE = 1.5
 MAX_COPIES = 2.0
 SEED = 17
 #: Documents per first-level block, and blocks per block of the next level.
-BLOCK_ROWS, FAN_IN = 4096, 64
+BLOCK_ROWS, FAN_IN = 512, 64
 #: Sources up to which their totals are broadcast; beyond, they are joined by shuffle.
 BROADCAST_SOURCES = 100_000
 
@@ -42,13 +42,13 @@ def n_words(text: Column) -> Column:
 
 
 def source_targets(sizes: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, most: float = MAX_COPIES) -> DataFrame:
-    """(source, source_size, target) from rows of (source, size).
+    """(source, source_size, source_rows, target) from rows of (source, size).
 
     Weights repeat over the sources in order of code points, null last. A source whose part of what is left exceeds
     ``most`` times its size is held there, and the rest is shared anew until none exceeds; each turn is one sum over
     the table of sources. The rank runs over one row per source.
     """
-    totals = sizes.groupBy("source").agg(F.sum("size").alias("source_size"))
+    totals = sizes.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("source_rows"))
     place = F.row_number().over(W.orderBy(F.col("source").isNull(), F.col("source"))) - 1
     weight = F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (F.pmod(place, F.lit(len(weights))) + 1).cast("int"))
     table = written(totals.withColumn("weight", weight).withColumn("cap", F.col("source_size") * F.lit(float(most))), "sources")
@@ -64,7 +64,7 @@ def source_targets(sizes: DataFrame, weights: tuple = WEIGHTS, share: float = SH
         per_weight = nxt
         held = held | (F.col("weight") * F.lit(per_weight) > F.col("cap"))
     target = F.when(held, F.col("cap")).otherwise(F.col("weight") * F.lit(per_weight or 0.0))
-    return table.select("source", "source_size", target.alias("target"))
+    return table.select("source", "source_size", "source_rows", target.alias("target"))
 
 
 def duel(p: np.ndarray, size: np.ndarray, draw: np.ndarray) -> np.ndarray:
@@ -116,14 +116,14 @@ def mix(
     base = [F.coalesce(F.col(id_col).cast("long"), F.lit(0)).alias("doc_id"), F.col(id_col).isNull().alias("no_id"), F.col(source_col).cast("string").alias("source"), n_words(body).alias("size"), F.xxhash64(body, F.lit(seed)).alias("tie")]
     rows = written(docs.select(*base), "mix-sizes")
     targets = source_targets(rows.select("source", "size"), weights, share, most)
-    n = rows.count()
-    blocks = max(1, -(-n // BLOCK_ROWS))
+    largest = targets.agg(F.max("source_rows")).first()[0] or 0
+    blocks = max(1, -(-largest // BLOCK_ROWS))  # of the largest source; each source has as many as its rows ask for
     t = counted_broadcast(targets.withColumnRenamed("source", "of_source"), BROADCAST_SOURCES)
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
     rows = rows.join(t, F.col("source").eqNullSafe(F.col("of_source"))).withColumn("whole", F.floor(rate).cast("long"))
     rows = rows.select(
         "doc_id", "no_id", "source", "size", "tie", "source_size", "target", "whole", (rate - F.col("whole")).alias("p"),
-        F.pmod(F.xxhash64("doc_id", "tie"), F.lit(blocks)).cast("long").alias("block"), F.xxhash64("doc_id", "tie", F.lit(seed), F.lit(0)).alias("draw"),
+        F.pmod(F.xxhash64("doc_id", "tie"), F.ceil(F.col("source_rows") / F.lit(BLOCK_ROWS))).cast("long").alias("block"), F.xxhash64("doc_id", "tie", F.lit(seed), F.lit(0)).alias("draw"),
     )
     open_ = (F.col("p") > 0) & (F.col("p") < 1)
     done, level = [], 0
