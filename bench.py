@@ -24,7 +24,7 @@ from collidra.plans import workloads as w  # noqa: E402
 
 HEADLINE = [
     "features_words", "features_char3", "doph_probe", "addresses", "reservoir_priority", "index_size", "knn_graph_hash", "knn_graph_segment", "workload_pages",
-    "knn_query_benchmark", "vanilla_lsh", "minwise_lsh", "signed_projection_lsh", "project_then_knn", "hsw_graph", "exact_inverted_topk", "heavy_entries", "recall_at_k",
+    "knn_query_benchmark", "vanilla_lsh", "minwise_lsh", "signed_projection_lsh", "project_then_knn", "hsw_graph", "exact_inverted_topk", "heavy_entries",
 ]
 
 
