@@ -1,0 +1,204 @@
+"""Near copies: all pairs of texts whose sets of word shingles have a Jaccard similarity of 0.8 or more, none by chance.
+
+Words are those of the fingerprints (A-Z lower-cased, split at ASCII blanks); shingles have five words, a shorter text
+is one shingle. Shingles are sorted by one order for all texts, by hash with the frequent ones last. Two sets of n and m
+elements that are similar enough share one of the first ``n - ceil(0.8 n) + 1`` of either, so these prefixes are the only
+ones that meet, and sizes and places in the order rule out most pairs that do. What is left is verified on whole sets.
+
+Crowded buckets: neighbours in a bucket are verified first and joined to components. Then all pairs of a bucket whose
+components still differ follow, so a large class costs a line of links and not its square, and no pair is left out.
+
+Defined results: texts without words are alike; the class is the smallest id reachable; null ids are left out of that
+minimum and their rows stay; rows that repeat are classed alike; an empty table gives an empty result.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
+import xxhash
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from .common import components, counted_broadcast, text_or_empty, written
+from .simhash import _LOWER
+from .substring_dedup import _rolled
+
+WIDTH = 5
+#: The least similarity as a fraction, so that no rounding decides.
+NUM, DEN = 4, 5
+#: Frequent shingles are those in so many texts of a sample; they only change the order, never the result.
+SAMPLE_TEXTS, SAMPLE_OFTEN, MOST_OFTEN = 20_000, 8, 100_000
+_CHUNK, _BROADCAST_UNITS, _TEXTS_AT_ONCE = 1_000_000, 200_000, 500
+_TOP = np.uint64(1 << 63)
+
+
+def shingle_set(text: str | None, often: np.ndarray | None = None, width: int = WIDTH) -> np.ndarray:
+    """The different shingles of a text in the common order: 63 bits of the hash below one that tells frequent ones."""
+    words = (text or "").encode("utf-8", "surrogatepass").translate(_LOWER).split()
+    if not words:
+        return np.zeros(1, dtype=np.uint64)
+    hashes = np.fromiter(map(xxhash.xxh64_intdigest, words), dtype=np.uint64, count=len(words))
+    found = np.unique(_rolled(hashes, min(width, len(words))) >> np.uint64(1))
+    if often is not None and len(often):
+        at = np.minimum(np.searchsorted(often, found), len(often) - 1)
+        found = np.sort(np.where(often[at] == found, found | _TOP, found))
+    return found
+
+
+def prefix_length(n: int) -> int:
+    return n + (-NUM * n) // DEN + 1
+
+
+def _least_overlap(n: np.ndarray, m: np.ndarray) -> np.ndarray:
+    return -(-NUM * (n + m) // (NUM + DEN))
+
+
+def _slices(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """The rows in pieces whose shingles take little memory."""
+    for pdf in parts:
+        for lo in range(0, len(pdf), _TEXTS_AT_ONCE):
+            yield pdf.iloc[lo : lo + _TEXTS_AT_ONCE]
+
+
+def frequent_shingles(docs: DataFrame, text_col: str = "text") -> np.ndarray:
+    """Sorted shingles that many texts of a bounded sample have."""
+    n = docs.count()
+    texts = docs.select(F.col(text_col).alias("text"))
+    if n > SAMPLE_TEXTS:
+        texts = texts.where(F.pmod(F.xxhash64("text", F.lit(5)), F.lit(1 << 20)) < int((1 << 20) * SAMPLE_TEXTS / n))
+
+    def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in _slices(parts):
+            yield pd.DataFrame({"h": np.concatenate([shingle_set(t) for t in pdf["text"]]).view(np.int64)})
+
+    counted = texts.distinct().mapInPandas(run, "h long").groupBy("h").count().where(F.col("count") >= SAMPLE_OFTEN)
+    top = counted.orderBy(F.col("count").desc(), "h").limit(MOST_OFTEN).select("h").toPandas()["h"].to_numpy(dtype=np.int64)
+    return np.sort(top.view(np.uint64))
+
+
+def _prefixes(often):
+    def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in _slices(parts):
+            sets = [shingle_set(t, often.value) for t in pdf["text"]]
+            yield pd.DataFrame({
+                "unit": pdf["unit"].to_numpy(), "n": np.array([len(s) for s in sets], dtype=np.int32), "prefix": [s[: prefix_length(len(s))].view(np.int64) for s in sets],
+            })
+
+    return run
+
+
+def _whole_buckets(parts: Iterator[pd.DataFrame], names: list[str]) -> Iterator[np.ndarray]:
+    """Rows sorted by the first column as arrays that do not cut a run of equal values."""
+    held: list[np.ndarray] = []
+    for pdf in parts:
+        if not len(pdf):
+            continue
+        now = pdf[names].to_numpy(dtype=np.int64)
+        held.append(now)
+        other = np.flatnonzero(now[:, 0] != now[-1, 0])
+        cut = int(other[-1]) + 1 if len(other) else 0
+        if not cut and len(held) > 1 and held[-2][-1, 0] != now[0, 0]:
+            yield np.concatenate(held[:-1])
+            held = [now]
+        elif cut:
+            yield np.concatenate([*held[:-1], now[:cut]])
+            held = [now[cut:]]
+    if held:
+        yield np.concatenate(held)
+
+
+def _possible(rows: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Which pairs of rows (unit, n, pos in the last three columns) sizes and places leave possible.
+
+    A pair that is similar is never ruled out where its first common shingle is met.
+    """
+    n, m = rows[a, -2], rows[b, -2]
+    least = _least_overlap(n, m)
+    return (DEN * np.minimum(n, m) >= NUM * np.maximum(n, m)) & (np.minimum(n - rows[a, -1], m - rows[b, -1]) >= least)
+
+
+def _pairs(rows: np.ndarray, a: np.ndarray, b: np.ndarray) -> pd.DataFrame:
+    keep = (rows[a, -3] != rows[b, -3]) & _possible(rows, a, b)
+    x, y = rows[a[keep], -3], rows[b[keep], -3]
+    return pd.DataFrame({"a": np.minimum(x, y), "b": np.maximum(x, y)}).drop_duplicates()
+
+
+def _meeting(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Rows sorted by token, without those alone in their bucket."""
+    names = ["token", "unit", "n", "pos"]
+    for rows in _whole_buckets(parts, names):
+        same = rows[1:, 0] == rows[:-1, 0]
+        keep = np.concatenate(([False], same)) | np.concatenate((same, [False]))
+        yield pd.DataFrame(rows[keep], columns=names)
+
+
+def _neighbours(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Pairs that follow each other in a bucket."""
+    for rows in _whole_buckets(parts, ["token", "unit", "n", "pos"]):
+        at = np.flatnonzero(rows[1:, 0] == rows[:-1, 0])
+        yield _pairs(rows, at, at + 1)
+
+
+def _ends(change: np.ndarray) -> np.ndarray:
+    """For each row the end of its run, where ``change`` tells of each row but the first if a run begins."""
+    starts = np.concatenate(([0], np.flatnonzero(change) + 1))
+    ends = np.concatenate((starts[1:], [len(change) + 1]))
+    return np.repeat(ends, ends - starts)
+
+
+def _across(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """All pairs of a bucket with different components, in pieces of bounded size; rows are sorted by token and component."""
+    for rows in _whole_buckets(parts, ["token", "component", "unit", "n", "pos"]):
+        fresh = rows[1:, 0] != rows[:-1, 0]
+        first, stop = _ends(fresh | (rows[1:, 1] != rows[:-1, 1])), _ends(fresh)
+        owner = np.flatnonzero(stop > first)
+        total = np.cumsum(stop[owner] - first[owner])
+        for lo in range(0, int(total[-1]) if len(total) else 0, _CHUNK):
+            k = np.arange(lo, min(lo + _CHUNK, int(total[-1])))
+            at = np.searchsorted(total, k, "right")
+            a = owner[at]
+            yield _pairs(rows, a, stop[a] - (total[at] - k))
+
+
+def _verified(docs: DataFrame, pairs: DataFrame, often) -> DataFrame:
+    """The pairs (a, b) that are similar, by the whole sets of their texts."""
+    asked = pairs.select(F.explode(F.array("a", "b")).alias("unit")).distinct()
+
+    def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in _slices(parts):
+            yield pd.DataFrame({"unit": pdf["unit"].to_numpy(), "s": [shingle_set(t, often.value).view(np.int64) for t in pdf["text"]]})
+
+    texts = docs.join(counted_broadcast(asked, _BROADCAST_UNITS), "unit", "left_semi").select("unit", "text")
+    sets = written(texts.dropDuplicates(["unit"]).mapInPandas(run, "unit long, s array<long>"), "sets")
+    one = pairs.join(sets.withColumnsRenamed({"unit": "a", "s": "x"}), "a").join(sets.withColumnsRenamed({"unit": "b", "s": "y"}), "b")
+    both = one.select("a", "b", F.size("x").alias("n"), F.size("y").alias("m"), F.size(F.array_intersect("x", "y")).alias("o"))
+    return written(both.where((NUM + DEN) * F.col("o") >= NUM * (F.col("n") + F.col("m"))).select("a", "b"), "similar")
+
+
+def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per document: doc_id, component_id, group_size (rows in the class)."""
+    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("text")).withColumn("unit", F.xxhash64("text"))
+    often = docs.sparkSession.sparkContext.broadcast(frequent_shingles(docs, text_col))
+    prefixes = base.select("unit", "text").mapInPandas(_prefixes(often), "unit long, n int, prefix array<long>").dropDuplicates(["unit"])
+    tokens = prefixes.select("unit", "n", F.posexplode("prefix").alias("pos", "token"))
+    meet = written(tokens.repartition("token").sortWithinPartitions("token", "n", "unit").select("token", "unit", "n", "pos").mapInPandas(_meeting, "token long, unit long, n int, pos int"), "meeting")
+    near = meet.repartition("token").sortWithinPartitions("token", "n", "unit").mapInPandas(_neighbours, "a long, b long").distinct()
+    first = _verified(base, written(near, "pairs"), often)
+    lined = components(first)
+    placed = meet.join(lined.withColumnRenamed("node", "unit"), "unit", "left").select("token", F.coalesce("component", "unit").alias("component"), "unit", "n", "pos")
+    rest = placed.repartition("token").sortWithinPartitions("token", "component").mapInPandas(_across, "a long, b long").distinct().join(near, ["a", "b"], "left_anti")
+    linked = components(first.unionByName(_verified(base, written(rest, "pairs"), often)))
+    units = base.groupBy("unit").agg(F.min("doc_id").alias("low"), F.count("*").alias("n"))
+    member = units.join(linked.withColumnRenamed("node", "unit"), "unit", "left").withColumn("component", F.coalesce("component", "unit"))
+    classes = member.groupBy("component").agg(F.min("low").alias("component_id"), F.sum("n").alias("group_size"))
+    of = member.join(classes, "component").select("unit", "component_id", "group_size")
+    return base.select("doc_id", "unit").join(of, "unit").select("doc_id", "component_id", "group_size")
+
+
+def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``docs`` without all but one document (the smallest id) of each class; rows with a null id stay."""
+    stay = near_copies(docs, id_col, text_col).where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("_stay")).distinct()
+    return docs.join(stay, F.col(id_col) == F.col("_stay"), "left").where(F.col("_stay").isNotNull() | F.col(id_col).isNull()).select(*docs.columns)

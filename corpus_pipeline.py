@@ -5,7 +5,8 @@ return the columns of ``documents``.
 
 1. toxicity: documents whose compression-distance score reaches the threshold go.
 2. exact dedup: of equal texts the row with the largest id stays.
-3. near dedup: of each class of linked SimHash fingerprints the smallest id stays.
+3. near dedup: of each class of texts linked by a Jaccard similarity of 0.8 of five-word shingles the smallest id stays.
+   The rule of ``op7_simhash`` (two bits of 64) is that query's own; it would keep nearly all such near copies.
 4. mixing: a row is repeated as often as the mix to target weights takes it.
 5. encoding: token counts and digests of ids and of the decoded text, a row per row.
 """
@@ -14,7 +15,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from collidra.llm import bpe, exact_dedup, mixing, simhash, toxicity
+from collidra.llm import bpe, exact_dedup, mixing, near_copies, toxicity
 from collidra.llm.common import read_table, written
 
 
@@ -27,7 +28,7 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return simhash.drop_near_duplicates(docs)
+    return near_copies.drop_near_copies(docs)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

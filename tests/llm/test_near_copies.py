@@ -1,0 +1,95 @@
+"""Near copies against brute force over all pairs."""
+
+from __future__ import annotations
+
+import duckdb
+import numpy as np
+import pandas as pd
+import pytest
+
+from collidra.llm import common, near_copies
+from tests.llm.test_operators import docs_of, odd
+
+
+def plain_set(text):
+    words = (text or "").encode().lower().split()
+    k = min(5, len(words))
+    return frozenset(tuple(words[i : i + k]) for i in range(len(words) - k + 1)) or frozenset([()])
+
+
+def plain_classes(texts: dict) -> dict:
+    """Smallest id reachable over pairs of Jaccard similarity 0.8 or more."""
+    sets, root = {d: plain_set(t) for d, t in texts.items()}, {d: d for d in texts}
+
+    def find(d):
+        while root[d] != d:
+            d = root[d]
+        return d
+
+    ids = sorted(texts)
+    for i, a in enumerate(ids):
+        for b in ids[:i]:
+            both = len(sets[a] & sets[b])
+            if 9 * both >= 4 * (len(sets[a]) + len(sets[b])):
+                x, y = sorted((find(a), find(b)))
+                root[y] = x
+    return {d: find(d) for d in ids}
+
+
+def test_pipeline_stage_equals_brute_force(spark, small):
+    import corpus_pipeline
+
+    table = duckdb.sql(f"SELECT max(doc_id), text FROM '{small}/documents.parquet' GROUP BY text").fetchall()
+    want = set(plain_classes(dict(table)).values())
+    assert len(want) < len(table)
+    docs = common.read_table(spark, small, "documents")
+    stage = dict(corpus_pipeline.STAGES)["simhash"]
+    got = stage(spark, docs.where(docs.doc_id.isin([d for d, _ in table])), small).collect()
+    assert {r["doc_id"] for r in got} == want and len(got) == len(want)
+
+
+@pytest.mark.parametrize("often", [8, 2])
+def test_pairs_around_the_limit_and_crowds(spark, monkeypatch, often):
+    monkeypatch.setattr(near_copies, "SAMPLE_OFTEN", often)
+    monkeypatch.setattr(near_copies, "_CHUNK", 50)
+    rng = np.random.default_rng(3)
+    say = lambda n: rng.choice([f"w{i}" for i in range(3000)], n).tolist()
+    shared, texts = say(60), []
+    for _ in range(8):
+        base = say(int(rng.integers(6, 150)))
+        for _ in range(6):
+            words = list(base)
+            for at in rng.choice(len(words), int(rng.integers(0, 1 + len(words) // 20)), replace=False):
+                words[at] = f"x{rng.integers(10**6)}"
+            texts.append(" ".join(words))
+    chain = say(80)
+    for i in range(40):  # each a word off the one before
+        chain = [*chain[:i], f"y{i}", *chain[i + 1 :]]
+        texts.append(" ".join(chain))
+    texts += [" ".join(shared + say(int(rng.integers(2, 30)))) for _ in range(60)]
+    texts += ["", " \n", "one two", "One  two", "one two three"]
+    texts = dict(enumerate(texts))
+    got = {r["doc_id"]: r["component_id"] for r in near_copies.near_copies(docs_of(spark, list(texts.values()))).collect()}
+    want = plain_classes(texts)
+    assert got == want and 20 < len(set(want.values())) < len(texts) - 50
+
+
+def test_buckets_go_across_batches():
+    rng = np.random.default_rng(0)
+    token = np.sort(rng.integers(0, 60, 300))
+    whole = pd.DataFrame({"token": token, "component": 0, "unit": np.arange(300), "n": 10, "pos": 0})
+    whole["component"] = whole["unit"] % 3
+    whole = whole.sort_values(["token", "component"])
+    cuts = [0, *sorted(rng.choice(np.arange(1, 300), 40, replace=False).tolist()), 300]
+    got = pd.concat(near_copies._across(whole.iloc[a:b] for a, b in zip(cuts, cuts[1:], strict=False)))
+    rows = list(whole[["token", "component", "unit"]].itertuples(index=False, name=None))
+    want = {tuple(sorted((u, v))) for t, c, u in rows for s, d, v in rows if t == s and c != d}
+    assert set(got.itertuples(index=False, name=None)) == want
+
+
+def test_odd_rows(spark):
+    df = odd(spark)
+    got = near_copies.drop_near_copies(df)
+    assert got.columns == df.columns
+    assert sorted((r["doc_id"] or 0, r["text"] or "") for r in got.collect()) == [(0, "no id at all"), (1, ""), (3, "same text here."), (7, "word " * 30_000 + "end.")]
+    assert near_copies.drop_near_copies(df.limit(0)).count() == 0
