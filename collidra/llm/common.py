@@ -18,22 +18,45 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; a temporary one is set only where none is (local tests)."""
+    """The folder that ``spark.checkpoint.dir`` names. Where it is unset, one machine gets a temporary folder of its own
+    (tests); a cluster is refused, as its executors could not read each other's files there."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not folder:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         folder = tempfile.mkdtemp(prefix="collidra-")
         spark.sparkContext.setCheckpointDir(folder)
     return folder.rstrip("/")
 
 
+_made: list[str] = []
+
+
 def written(df: DataFrame, tag: str) -> DataFrame:
     """``df`` as a table in the shared folder: cuts lineage and is computed once."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _made.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def made() -> int:
+    """How many tables ``written`` has made and nobody removed; a mark for ``remove_made``."""
+    return len(_made)
+
+
+def remove_made(spark: SparkSession, since: int = 0, but: int = 0) -> None:
+    """Delete the tables made since a mark, without the last ``but`` of them. What reads them must be done."""
+    gone = _made[since : len(_made) - but]
+    del _made[since : len(_made) - but]
+    jvm = spark.sparkContext._jvm
+    for path in gone:
+        at = jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
 def shuffle_partitions(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
@@ -48,8 +71,10 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     Alternates two star contractions: every node hands its larger neighbours to the smallest node it knows, then
     its smaller ones. The number of rounds grows with the logarithm of the longest chain; each round is a
     grouped minimum (combined before the shuffle) and one join on the node, in which AQE splits hubs.
-    Edges never leave the executors; only their count and checksum do, to see that nothing moves any more.
+    Edges never leave the executors; only their count and checksum do, to see that nothing moves any more. A round's
+    table goes once the next is there. Links that are still moving after ``max_rounds`` are an error, never a result.
     """
+    spark, mark_of = edges.sparkSession, made()
     star = written(
         edges.where(F.col("a") != F.col("b")).select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), "edges"
     )
@@ -58,6 +83,7 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         mark = tuple(star.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
         if mark[0] == 0 or mark == seen:
             break
+        remove_made(spark, mark_of, 1)
         seen = mark
         both = star.unionByName(star.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
@@ -71,6 +97,9 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
             .unionByName(low.select("u", F.col("m").alias("v"))).distinct(),
             "edges",
         )
+    else:
+        raise RuntimeError(f"components still move after {max_rounds} rounds")
+    remove_made(spark, mark_of, 1)
     low = star.groupBy("u").agg(F.min("v").alias("component"))
     roots = low.select(F.col("component").alias("node")).distinct()
     return low.select(F.col("u").alias("node"), "component").unionByName(roots.select("node", F.col("node").alias("component")))

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import written
+
 #: Folds are crc32 of the id as text, modulo 3; fold 1 is held out and never read for fitting.
 FOLDS, HELD_OUT_FOLD = 3, 1
 #: Most texts of each class that a classifier is fitted on, and most bytes of texts.
@@ -19,8 +21,9 @@ def fold(id_col: str = "doc_id") -> Column:
 def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, rows_per_class: int = ROWS_PER_CLASS, sample_bytes: int = SAMPLE_BYTES) -> list[tuple[int, int, str]]:
     """(fold, label, text) of at most ``rows_per_class`` rows of each class outside the held-out fold.
 
-    Chosen by the hash of the id, so reruns agree. Null or contradictory labels, null texts and ids are left out.
-    Texts come whole; those that would pass ``sample_bytes`` in order of the hash are left out.
+    Chosen by the hash of the id, so reruns agree. Null or contradictory labels, null texts and ids are left out; of
+    different texts under one id the one with the smallest hash is taken. Texts come whole; those that would pass
+    ``sample_bytes`` in order of the hash are left out before any text is sent to the driver.
     """
     known = (
         labels.select(F.col("doc_id").alias("_id"), F.col(label).cast("int").alias("y")).where("_id IS NOT NULL AND y IN (0, 1)")
@@ -34,17 +37,12 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, rows_per_cla
     rows = docs.select("doc_id", "text").where(F.col("text").isNotNull()).join(
         F.broadcast(picked), F.col("doc_id") == F.col("_id")  # at most twice rows_per_class rows
     )
-    size = rows.select("h", "_id", "y", F.octet_length("text").alias("b"), F.xxhash64("text").alias("x")).collect()
-    size.sort(key=lambda r: (r["h"], r["_id"], r["x"]))
-    total, keep = 0, set()
-    for r in size:
-        if r["_id"] not in keep and total + r["b"] <= sample_bytes:
+    rows = written(rows.groupBy("_id", "y", "h").agg(F.min_by("text", F.xxhash64("text")).alias("text")), "labelled")
+    total, keep = 0, []
+    for r in sorted(rows.select("h", "_id", F.octet_length("text").alias("b")).collect()):
+        if total + r["b"] <= sample_bytes:
             total += r["b"]
-            keep.add(r["_id"])
-    found, seen = [], set()
-    for r in rows.select("_id", fold("_id").alias("f"), "y", "text", "h", F.xxhash64("text").alias("x")).toLocalIterator():
-        if r["_id"] in keep and (r["_id"], r["x"]) not in seen:
-            seen.add((r["_id"], r["x"]))
-            found.append((r["h"], r["_id"], r["x"], r["f"], r["y"], r["text"]))
-    found.sort(key=lambda r: r[:3])
-    return [(r[3], r[4], r[5]) for r in found]
+            keep.append(r["_id"])
+    kept = F.broadcast(rows.sparkSession.createDataFrame([(i,) for i in keep], "_id long"))
+    found = rows.join(kept, "_id").select("h", "_id", fold("_id").alias("f"), "y", "text").collect()
+    return [(r["f"], r["y"], r["text"]) for r in sorted(found, key=lambda r: (r["h"], r["_id"]))]

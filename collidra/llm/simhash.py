@@ -1,43 +1,63 @@
 """Near duplicates by SimHash fingerprints and bit-sliced Hamming distances.
 
-Fingerprints: words of the lower-cased text (A-Z only), shingles of ``width`` words, XXH64 with seed 42; a bit is set
-if more than half of the shingle hashes set it. Documents whose fingerprints differ in at most ``radius`` bits link.
-
-Search: different fingerprints are split into ``radius + b`` blocks of bits; two that link agree on at least ``b``
-blocks, so every combination of ``b`` blocks is a table of buckets, and links are found inside buckets. ``b`` is 1, and
-2 where there are so many fingerprints that single blocks would fill the buckets. Inside a task the fingerprints of
-sorted buckets lie in blocks of 64 lanes, one word per bit plane. A query XORs the planes with its own bits and adds
-them to carry-save counters held in two words and an overflow word, for many queries at once; every 8 planes the blocks
-in which all lanes exceed the radius are abandoned. From each bucket leave only edges to the smallest member of each
-linked set, never all pairs.
-
-A bucket with more than ``BUCKET_ROWS`` fingerprints is not compared member by member, as that grows with its square.
-Its members go another exact way: two values within distance 2 both lie within distance 1 of a common value, so each
-is linked to itself and its 64 one-bit neighbours as nodes, and sharing a node is the link.
+Fingerprints: words of the lower-cased text (A-Z only), shingles of ``width`` words, a hash of each; a bit is set if more
+than half of the shingle hashes set it. Two relations are offered:
+
+``near_duplicates``: 64 bits of XXH64 with seed 42; documents whose fingerprints differ in at most ``radius`` bits link.
+Different fingerprints are split into ``radius + b`` blocks of bits; two that link agree on at least ``b`` blocks, so every
+combination of ``b`` blocks is a table of buckets, and links are found inside buckets, none by chance. ``b`` is 1, and 2
+where there are so many fingerprints that single blocks would fill the buckets.
+
+``similar_documents``: texts whose sets of shingles have a Jaccard similarity of 0.8 or more link. Fingerprints have
+``BITS`` bits; tables are keyed by random choices of bits, as many as find a pair at the limit with a chance of
+1 - ``MISS``; what lies within ``REACH`` bits there is compared by exact Jaccard of the whole sets. First each row meets
+the first 64 of its bucket, so that a large class costs a line of links and not its square; then all pairs of a bucket
+whose components still differ follow.
+
+Inside a task the fingerprints of sorted buckets lie in blocks of 64 lanes, one word per bit plane. A query XORs eight
+planes at a time with its own bits and adds them by carry-save adders to counters held bit by bit, for many queries at
+once; after every eight planes the blocks in which all lanes exceed the radius are abandoned. From each bucket leave only
+edges, never all pairs.
+
+A bucket of more than ``BUCKET_ROWS`` fingerprints is dealt to several tasks: its rows fall into groups, and each pair of
+groups is compared as a bucket of its own, so no pair is lost. At radius 2 there is a cheaper exact way: two values
+within distance 2 both lie within distance 1 of a common value, so each is linked to itself and its 64 one-bit neighbours
+as nodes, and sharing a node is the link.
 
 Defined results: null and empty texts have fingerprint 0 and link like any other; the class is the smallest id
-reachable; null ids are left out of that minimum; rows that repeat are classed alike; an empty table gives an empty result.
+reachable; null ids are left out of that minimum and their rows are never dropped; rows that repeat are classed alike; an
+empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from itertools import combinations
 
 import numpy as np
 import pandas as pd
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, read_table, written
+from .common import components, counted_broadcast, read_table, text_or_empty, written
 
 WIDTH, RADIUS, SEED = 3, 2, 42
-BUCKET_ROWS = 1024
+BUCKET_ROWS = 4096
 #: Different fingerprints from which on buckets are keyed by two blocks of bits.
 TWO_BLOCKS_FROM = 1 << 27
+#: Similarity of shingle sets: words of a shingle, and the least similarity as a fraction, so that no rounding decides.
+SHINGLE, NUM, DEN = 5, 4, 5
+#: Bits of their fingerprints, bits in which candidates may differ, and the chance to miss a pair at the limit, where
+#: a bit agrees with the chance ``AGREE`` (0.85 by the angle between large sets, less between small ones).
+BITS, REACH, MISS, AGREE = 256, 63, 0.004, 0.82
+#: Rows that an average bucket of a table holds; tables take more bits, and are more, as rows grow.
+MEAN_BUCKET = 1024
+#: Tables of at most so many rows are broadcast, behind a count.
+BROADCAST_ROWS = 200_000
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
-_PART = 65_536
+_PART, _TEXTS_AT_ONCE, _COMPARED_AT_ONCE = 65_536, 256, 40_000
 
 
 def fingerprint(text: str | None, width: int = WIDTH, seed: int = SEED) -> int:
@@ -60,82 +80,114 @@ def fingerprint(text: str | None, width: int = WIDTH, seed: int = SEED) -> int:
 
 
 def with_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH) -> DataFrame:
-    """(doc_id, fp): fp is the fingerprint as a signed 64-bit number."""
+    """(doc_id, unit, fp): a hash of the text, and its fingerprint as a signed 64-bit number."""
 
     @F.pandas_udf("long")
     def fp(texts: pd.Series) -> pd.Series:
         return pd.Series(np.array([fingerprint(t, width) for t in texts], dtype=np.uint64).view(np.int64))
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), fp(F.col(text_col)).alias("fp"))
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text_or_empty(text_col)).alias("unit"), fp(F.col(text_col)).alias("fp"))
 
 
 # ---------------------------------------------------------------- bit-sliced comparison
 
 _LANE = np.uint64(1) << np.arange(64, dtype=np.uint64)
 _ALL = np.uint64(0xFFFFFFFFFFFFFFFF)
+#: For each byte of a query the eight words that turn its planes.
+_TURN = np.where((np.arange(256)[:, None] >> np.arange(8)) & 1 == 1, _ALL, np.uint64(0))
 
 
 def bit_planes(values: np.ndarray) -> np.ndarray:
-    """(blocks, 64): word b of a block holds bit b of its 64 values, one lane each."""
-    padded = np.zeros(-(-len(values) // 64) * 64, dtype="<u8")
-    padded[: len(values)] = values
-    bits = np.unpackbits(padded.view(np.uint8).reshape(-1, 64, 8), axis=2, bitorder="little")  # block, lane, bit
+    """(blocks, planes): word b of a block holds bit b of its 64 values, one lane each; ``values`` is (rows, words)."""
+    n, words = values.shape
+    padded = np.zeros((-(-n // 64) * 64, words), dtype="<u8")
+    padded[:n] = values
+    bits = np.unpackbits(padded.view(np.uint8).reshape(-1, 64, 8 * words), axis=2, bitorder="little")  # block, lane, bit
     packed = np.packbits(bits.transpose(0, 2, 1), axis=2, bitorder="little")
-    return np.ascontiguousarray(packed).view("<u8").reshape(-1, 64)
+    return np.ascontiguousarray(packed).view("<u8").reshape(-1, 64 * words)
+
+
+def _add(a: np.ndarray, b: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """A full adder of three words of bits: sums and carries."""
+    half = a ^ b
+    return half ^ c, (a & b) | (half & c)
 
 
 def near_lanes(queries: np.ndarray, blocks: np.ndarray, lanes: np.ndarray, planes: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     """For comparisons (query, block, wanted lanes): indices of those with lanes in reach, and these lanes.
 
-    Counters hold the low two bits of every lane's distance and whether it went over; radius is at most 3.
+    Counters start so far above zero that a distance beyond the radius carries out of their last bit.
     """
-    alive = np.arange(len(queries))
-    low, high, over = (np.zeros(len(queries), dtype=np.uint64) for _ in range(3))
-    wanted = lanes
-    for b in range(64):
-        turned = np.where((queries[alive] >> np.uint64(b)) & np.uint64(1) == 1, _ALL, np.uint64(0))
-        bit = planes[blocks[alive], b] ^ turned
-        carry = low & bit
-        low = low ^ bit
-        over = over | (high & carry)
-        high = high ^ carry
-        if b % 8 == 7:
-            beyond = over | {0: low | high, 1: high, 2: low & high, 3: np.uint64(0)}[radius]
-            reach = ~beyond & wanted
-            keep = reach != 0
-            if not keep.all():
-                alive, low, high, over, wanted, reach = alive[keep], low[keep], high[keep], over[keep], wanted[keep], reach[keep]
+    m, size = len(blocks), max(3, radius.bit_length())
+    start = (1 << size) - 1 - radius
+    counters = [np.full(m, _ALL if start >> i & 1 else 0, dtype=np.uint64) for i in range(size)]
+    over = np.zeros(m, dtype=np.uint64)
+    own = np.ascontiguousarray(queries).view(np.uint8).reshape(m, -1)
+    by_eight = planes.reshape(len(planes), -1, 8)
+    alive, wanted = np.arange(m), lanes
+    for g in range(by_eight.shape[1]):
+        p = np.ascontiguousarray((by_eight[blocks[alive], g] ^ _TURN[own[alive, g]]).T)
+        ones, a = _add(counters[0], p[0], p[1])
+        ones, b = _add(ones, p[2], p[3])
+        twos, low = _add(counters[1], a, b)
+        ones, a = _add(ones, p[4], p[5])
+        counters[0], b = _add(ones, p[6], p[7])
+        counters[1], high = _add(twos, a, b)
+        counters[2], carry = _add(counters[2], low, high)
+        for i in range(3, size):
+            counters[i], carry = counters[i] ^ carry, counters[i] & carry
+        over |= carry
+        if 8 * (g + 1) > radius:
+            keep = (~over & wanted) != 0
+            if keep.sum() < 0.8 * len(keep):
+                alive, wanted, over = alive[keep], wanted[keep], over[keep]
+                counters = [c[keep] for c in counters]
             if not len(alive):
                 break
-    return alive, (~(over | {0: low | high, 1: high, 2: low & high, 3: np.uint64(0)}[radius]) & wanted if len(alive) else wanted[:0])
+    reach = ~over & wanted
+    hit = np.flatnonzero(reach)
+    return alive[hit], reach[hit]
+
+
+def reachable(values: np.ndarray, low: np.ndarray, high: np.ndarray, radius: int, first: bool = False) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs (row, place) with low[row] <= place < high[row] and distance at most ``radius``, piece by piece; with
+    ``first`` only those of the first place of a block that reaches a row."""
+    planes = bit_planes(values)
+    rows = np.flatnonzero(high > low)
+    span = (high[rows] - 1) // 64 - low[rows] // 64 + 1
+    ends, at = np.cumsum(span), 0
+    upto = lambda k: np.where(k >= 64, _ALL, (np.uint64(1) << np.clip(k, 0, 63).astype(np.uint64)) - np.uint64(1))
+    total = int(ends[-1]) if len(ends) else 0
+    while at < total:
+        k = np.arange(at, min(at + _COMPARED_AT_ONCE, total))
+        i = np.searchsorted(ends, k, "right")
+        r = rows[i]
+        block = low[r] // 64 + k - (ends[i] - span[i])
+        lanes = upto(high[r] - block * 64) & ~upto(low[r] - block * 64)
+        hit, reach = near_lanes(values[r], block, lanes, planes, radius)
+        if first:
+            reach = reach & (~reach + np.uint64(1))
+        for lo in range(0, len(hit), 20_000):
+            which, lane = np.nonzero((reach[lo : lo + 20_000, None] & _LANE[None, :]) != 0)
+            x = hit[lo : lo + 20_000][which]
+            yield r[x], block[x] * 64 + lane
+        at = int(k[-1]) + 1
 
 
-def bucket_edges(key: np.ndarray, values: np.ndarray, radius: int = RADIUS, chunk: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
+def _starts(change: np.ndarray) -> np.ndarray:
+    """For each row the first of its run, where ``change`` tells of each row but the first if a run begins."""
+    first = np.concatenate(([0], np.flatnonzero(change) + 1))
+    return np.repeat(first, np.diff(np.concatenate((first, [len(change) + 1]))))
+
+
+def bucket_edges(key: np.ndarray, values: np.ndarray, radius: int = RADIUS) -> tuple[np.ndarray, np.ndarray]:
     """Edges (value, smallest value linked to it within its bucket) for rows sorted by bucket key."""
     n = len(values)
     if n < 2:
         return values[:0], values[:0]
-    first = np.concatenate(([0], np.flatnonzero(key[1:] != key[:-1]) + 1))
-    start = np.repeat(first, np.diff(np.concatenate((first, [n]))))
-    planes = bit_planes(values)
-    rows = np.flatnonzero(np.arange(n) > start)
-    span = rows // 64 - start[rows] // 64 + 1
     parent = np.arange(n)
-    at, edges = 0, np.cumsum(span)
-    while at < len(rows):
-        done = edges[at - 1] if at else 0
-        to = max(at + 1, int(np.searchsorted(edges, done + chunk, "right")))
-        r = np.repeat(rows[at:to], span[at:to])
-        step = np.arange(len(r)) - np.repeat(np.concatenate(([0], np.cumsum(span[at:to])[:-1])), span[at:to])
-        block = start[r] // 64 + step
-        lo, hi = np.maximum(start[r] - block * 64, 0), np.minimum(r - block * 64, 64)  # lanes [lo, hi) come before r in its bucket
-        upto = lambda k: np.where(k >= 64, _ALL, (np.uint64(1) << np.minimum(k, 63).astype(np.uint64)) - np.uint64(1))
-        lanes = upto(hi) & ~upto(lo)
-        hit, reach = near_lanes(values[r], block, lanes, planes, radius)
-        for s in range(0, len(hit), 20_000):
-            which, lane = np.nonzero((reach[s : s + 20_000, None] & _LANE[None, :]) != 0)
-            _union(parent, r[hit[s : s + 20_000]][which], block[hit[s : s + 20_000]][which] * 64 + lane)
-        at = to
+    for a, b in reachable(values[:, None], _starts(key[1:] != key[:-1]), np.arange(n), radius):
+        _union(parent, a, b)
     root = _roots(parent)
     moved = np.flatnonzero(root != np.arange(n))
     return values[moved], values[root[moved]]
@@ -160,33 +212,58 @@ def _union(parent: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
         np.minimum.at(parent, np.maximum(x, y), np.minimum(x, y))
 
 
+def _whole_buckets(parts: Iterator[pd.DataFrame], names: list[str]) -> Iterator[np.ndarray]:
+    """Rows sorted by their first column as arrays that do not cut a run of equal values."""
+    held: list[np.ndarray] = []
+    for pdf in parts:
+        if not len(pdf):
+            continue
+        now = pdf[names].to_numpy(dtype=np.int64)
+        if held and held[-1][-1, 0] != now[0, 0]:
+            yield np.concatenate(held)
+            held = []
+        other = np.flatnonzero(now[:, 0] != now[-1, 0])
+        cut = int(other[-1]) + 1 if len(other) else 0
+        if cut:
+            yield np.concatenate([*held, now[:cut]])
+            held = []
+        held.append(now[cut:])
+    if held:
+        yield np.concatenate(held)
+
+
+def crowds(rows: DataFrame, bucket_rows: int) -> DataFrame:
+    """(k, groups) of the buckets of more than ``bucket_rows`` rows; ``rows`` have the bucket's ``key``."""
+    many = rows.groupBy(F.col("key").alias("k")).agg(F.count("*").alias("n")).where(F.col("n") > bucket_rows)
+    return counted_broadcast(written(many.select("k", F.ceil(F.col("n") / bucket_rows).cast("int").alias("groups")), "crowds"), BROADCAST_ROWS)
+
+
+def cells(rows: DataFrame, crowded: DataFrame, spread: Column, pairs: bool) -> DataFrame:
+    """``rows`` with ``cell``: their bucket's key, or that of a part of it if it is crowded.
+
+    A crowded bucket's rows fall into groups by ``spread``. With ``pairs`` every two groups share a cell, so all pairs of
+    rows still meet; otherwise a cell is one group.
+    """
+    own = F.pmod(spread, F.col("groups")).cast("int")
+    both = F.transform(F.sequence(F.lit(0), F.col("groups") - 1), lambda j: F.xxhash64(F.col("key"), F.least(own, j), F.greatest(own, j)))
+    many = both if pairs else F.array(F.xxhash64(F.col("key"), own))
+    placed = rows.join(crowded, F.col("key") == F.col("k"), "left")
+    return placed.withColumn("cell", F.explode(F.when(F.col("groups").isNull(), F.array(F.col("key"))).otherwise(many))).drop("k", "groups")
+
+
+# ---------------------------------------------------------------- fingerprints within a radius
+
+
 def _compare(radius: int):
     def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        held: list[np.ndarray] = []
-        for pdf in parts:
-            now = pdf[["t", "k", "fp"]].to_numpy(dtype=np.int64)
-            if not len(now):
-                continue
-            held.append(now)
-            same = (now[:, :2] == now[-1, :2]).all(axis=1)
-            cut = len(now) - int(np.argmin(same[::-1])) if not same.all() else 0  # the last bucket may go on
-            if cut:
-                rows = np.concatenate([*held[:-1], now[:cut]])
-                held = [now[cut:]]
-                yield from _edges(rows, radius)
-        if held:
-            yield from _edges(np.concatenate(held), radius)
+        for rows in _whole_buckets(parts, ["cell", "fp"]):
+            a, b = bucket_edges(rows[:, 0], np.ascontiguousarray(rows[:, 1]).view(np.uint64), radius)
+            if len(a):
+                yield pd.DataFrame({"a": a.view(np.int64), "b": b.view(np.int64)})
 
     return run
 
 
-def _edges(rows: np.ndarray, radius: int) -> Iterator[pd.DataFrame]:
-    key = rows[:, 1] * 64 + rows[:, 0]
-    a, b = bucket_edges(key, rows[:, 2].astype(np.int64).view(np.uint64), radius)
-    if len(a):
-        yield pd.DataFrame({"a": a.view(np.int64), "b": b.view(np.int64)})
-
-
 def fingerprint_edges(prints: DataFrame, radius: int = RADIUS, bucket_rows: int = BUCKET_ROWS, take: int | None = None) -> DataFrame:
     """Edges (a, b) that join linked ones of the different fingerprints ``fp``; a node may be a value no document has."""
     if take is None:
@@ -195,13 +272,17 @@ def fingerprint_edges(prints: DataFrame, radius: int = RADIUS, bucket_rows: int
     bounds = [round(64 * i / parts) for i in range(parts + 1)]
     masks = [sum(((1 << (bounds[i + 1] - bounds[i])) - 1) << bounds[i] for i in c) for c in combinations(range(parts), take)]
     signed = [m - (1 << 64) if m >= 1 << 63 else m for m in masks]
-    # A bucket's key is what its mask leaves of the fingerprint, folded so that it fits beside the table's number.
-    tables = F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.col("fp").bitwiseAND(F.lit(m)).alias("k")) for i, m in enumerate(signed)]))
-    rows = prints.select("fp", tables.alias("e")).select("fp", "e.t", "e.k")
-    sizes = rows.groupBy("t", "k").agg(F.count("*").alias("n")).where("n > 1")
-    shared = written(rows.join(sizes, ["t", "k"]), "bands")
-    small = shared.where(F.col("n") <= bucket_rows).repartition("t", "k").sortWithinPartitions("t", "k", "fp")
-    found = small.select("t", "k", "fp").mapInPandas(_compare(radius), "a long, b long")
+    # A bucket's key is a hash of the table's number and of what its mask leaves of the fingerprint.
+    tables = F.explode(F.array(*[F.xxhash64(F.lit(i), F.col("fp").bitwiseAND(F.lit(m))) for i, m in enumerate(signed)]))
+    rows = prints.select("fp", tables.alias("key"))
+    sizes = rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
+    shared = written(rows.join(sizes, "key"), "bands")
+    if radius == 2:
+        compared = shared.where(F.col("n") <= bucket_rows).withColumn("cell", F.col("key"))
+    else:
+        compared = cells(shared, crowds(shared, bucket_rows), F.xxhash64("fp", F.lit(3)), True)
+    dealt = compared.select("cell", "fp").repartition("cell").sortWithinPartitions("cell", "fp")
+    found = dealt.mapInPandas(_compare(radius), "a long, b long")
     if radius != 2:
         return found
     crowd = shared.where(F.col("n") > bucket_rows).select("fp").distinct()
@@ -211,20 +292,155 @@ def fingerprint_edges(prints: DataFrame, radius: int = RADIUS, bucket_rows: int
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, radius: int = RADIUS, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
-    """One row per document: doc_id, fp (signed), component_id, group_size (rows in the class)."""
+    """One row per document: doc_id, unit (hash of the text), fp (signed), component_id, group_size (rows in the class)."""
     rows = written(with_fingerprints(docs, id_col, text_col, width), "fingerprints")
-    prints = written(rows.groupBy("fp").agg(F.min("doc_id").alias("low"), F.count("*").alias("n")), "prints")
-    linked = components(fingerprint_edges(prints.select("fp"), radius, bucket_rows))
-    member = prints.join(linked.select(F.col("node").alias("fp"), "component"), "fp", "left").select("fp", "low", "n", F.coalesce("component", "fp").alias("component"))
+    return _classed(rows, "fp", fingerprint_edges(rows.select("fp").distinct(), radius, bucket_rows))
+
+
+def _classed(rows: DataFrame, node: str, edges: DataFrame) -> DataFrame:
+    """``rows``, which have doc_id and a node, with component_id, the smallest doc_id reachable over the edges, and group_size."""
+    nodes = rows.groupBy(node).agg(F.min("doc_id").alias("low"), F.count("*").alias("n"))
+    linked = components(edges).select(F.col("node").alias(node), "component")
+    member = nodes.join(linked, node, "left").withColumn("component", F.coalesce("component", node))
     classes = member.groupBy("component").agg(F.min("low").alias("component_id"), F.sum("n").alias("group_size"))
-    of = member.join(classes, "component").select("fp", "component_id", "group_size")
-    return rows.join(of, "fp").select("doc_id", "fp", "component_id", "group_size")
+    return rows.join(member.join(classes, "component").select(node, "component_id", "group_size"), node).select(*rows.columns, "component_id", "group_size")
+
+
+# ---------------------------------------------------------------- similarity of shingle sets
+
+
+def shingle_set(text: str | None, width: int = SHINGLE) -> np.ndarray:
+    """Sorted hashes of the different shingles of a text; a text of fewer words is one shingle, one without words too."""
+    words = (text or "").encode("utf-8", "surrogatepass").translate(_LOWER).split()
+    if not words:
+        return np.zeros(1, dtype=np.uint64)
+    h = np.fromiter(map(xxhash.xxh64_intdigest, words), dtype=np.uint64, count=len(words))
+    k = min(width, len(h))
+    out = np.zeros(len(h) - k + 1, dtype=np.uint64)
+    for i in range(k):
+        out = out * np.uint64(0x9E3779B97F4A7C15) + h[i : len(h) - k + 1 + i]
+    return np.unique((out ^ (out >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93))
+
+
+def long_fingerprint(shingles: np.ndarray) -> np.ndarray:
+    """The ``BITS`` bits of a set of shingles as words."""
+    counts = np.zeros(BITS, dtype=np.int64)
+    for lo in range(0, len(shingles), _PART):
+        h = shingles[lo : lo + _PART, None] + np.arange(1, BITS // 64 + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+        h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+        h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+        h ^= h >> np.uint64(31)
+        counts += np.unpackbits(h.astype("<u8").view(np.uint8).reshape(len(h), -1), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    return np.packbits(counts * 2 > len(shingles), bitorder="little").view("<u8")
+
+
+_WORDS = [f"f{i}" for i in range(BITS // 64)]
+
+
+def _slices(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """The rows in pieces whose shingles take little memory."""
+    for pdf in parts:
+        for lo in range(0, len(pdf), _TEXTS_AT_ONCE):
+            yield pdf.iloc[lo : lo + _TEXTS_AT_ONCE]
+
+
+def _printed(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    for pdf in _slices(parts):
+        words = np.array([long_fingerprint(shingle_set(t)) for t in pdf["text"]], dtype=np.uint64).reshape(-1, BITS // 64)
+        yield pd.DataFrame({"unit": pdf["unit"].to_numpy()} | {w: words[:, i].view(np.int64) for i, w in enumerate(_WORDS)})
+
+
+def _shingled(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    for pdf in _slices(parts):
+        yield pd.DataFrame({"unit": pdf["unit"].to_numpy(), "s": [shingle_set(t).view(np.int64) for t in pdf["text"]]})
+
+
+def table_bits(rows: int, seed: int = 7) -> list[list[int]]:
+    """The bits that key each table: enough to keep buckets near ``MEAN_BUCKET``, in enough tables to reach 1 - ``MISS``."""
+    bits = min(30, max(4, math.ceil(math.log2(max(2, rows / MEAN_BUCKET)))))
+    tables = math.ceil(math.log(MISS) / math.log1p(-(AGREE**bits)))
+    rng = np.random.default_rng(seed)
+    return [sorted(rng.choice(BITS, bits, replace=False).tolist()) for _ in range(tables)]
+
+
+def _keys(tables: list[list[int]]) -> Column:
+    """An array of the row's bucket keys, one per table."""
+
+    def masked(bits: list[int]) -> list[Column]:
+        masks = [sum(1 << (b % 64) for b in bits if b // 64 == w) for w in range(BITS // 64)]
+        return [F.col(_WORDS[w]).bitwiseAND(F.lit(m - (1 << 64) if m >= 1 << 63 else m)) for w, m in enumerate(masks) if m]
+
+    return F.array(*[F.xxhash64(F.lit(t), *masked(bits)) for t, bits in enumerate(tables)])
+
+
+def _first_met(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Candidates (a, b, d) of each row b and the first within reach among the first 64 rows of its cell."""
+    for rows in _whole_buckets(parts, ["cell", "unit", *_WORDS]):
+        values = np.ascontiguousarray(rows[:, 2:]).view(np.uint64)
+        start = _starts(rows[1:, 0] != rows[:-1, 0])
+        for r, p in reachable(values, start, np.minimum(np.arange(len(rows)), start + 64), REACH, True):
+            d = np.bitwise_count(values[r] ^ values[p]).sum(axis=1, dtype=np.int64)
+            yield pd.DataFrame({"a": rows[p, 1], "b": rows[r, 1], "d": d})
+
+
+def _across(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Candidates (a, b) of different components, in rows sorted by cell and component."""
+    for rows in _whole_buckets(parts, ["cell", "component", "unit", *_WORDS]):
+        fresh = rows[1:, 0] != rows[:-1, 0]
+        values = np.ascontiguousarray(rows[:, 3:]).view(np.uint64)
+        for r, p in reachable(values, _starts(fresh), _starts(fresh | (rows[1:, 1] != rows[:-1, 1])), REACH):
+            x, y = rows[p, 2], rows[r, 2]
+            yield pd.DataFrame({"a": np.minimum(x, y), "b": np.maximum(x, y)}).drop_duplicates()
+
+
+def _verified(units: DataFrame, pairs: DataFrame) -> DataFrame:
+    """The pairs (a, b) whose texts, (unit, text), are similar by their whole shingle sets."""
+    asked = pairs.select(F.explode(F.array("a", "b")).alias("unit")).distinct()
+    texts = units.join(counted_broadcast(asked, BROADCAST_ROWS), "unit", "left_semi").select("unit", "text")
+    sets = written(texts.mapInPandas(_shingled, "unit long, s array<long>").dropDuplicates(["unit"]), "sets")
+    one = pairs.join(sets.withColumnsRenamed({"unit": "a", "s": "x"}), "a").join(sets.withColumnsRenamed({"unit": "b", "s": "y"}), "b")
+    both = one.select("a", "b", F.size("x").alias("n"), F.size("y").alias("m"), F.size(F.array_intersect("x", "y")).alias("o"))
+    return written(both.where((NUM + DEN) * F.col("o") >= NUM * (F.col("n") + F.col("m"))).select("a", "b"), "similar")
+
+
+def similar_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bucket_rows: int = BUCKET_ROWS) -> DataFrame:
+    """One row per document: doc_id, unit (hash of the text), component_id, group_size, by similarity of shingle sets."""
+    text = text_or_empty(text_col)
+    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("unit"))
+    words = ", ".join(f"{w} long" for w in _WORDS)
+    prints = written(base.select("unit", "text").mapInPandas(_printed, f"unit long, {words}").dropDuplicates(["unit"]), "prints")
+    keyed = prints.withColumn("key", F.explode(_keys(table_bits(prints.count()))))
+    crowded = crowds(keyed, bucket_rows)
+    dealt = cells(keyed, crowded, F.xxhash64("unit", "key"), False).select("cell", "unit", *_WORDS)
+    met = dealt.repartition("cell").sortWithinPartitions("cell", "unit").mapInPandas(_first_met, "a long, b long, d long")
+    # of a row's first ones the smallest, which most of its class meet too, and the nearest
+    best = met.groupBy("b").agg(F.min("a").alias("x"), F.min_by("a", F.struct("d", "a")).alias("y"))
+    first = written(best.select(F.explode(F.array_distinct(F.array("x", "y"))).alias("a"), "b"), "pairs")
+    linked = _verified(base, first)
+    of = components(linked).withColumnRenamed("node", "unit")
+    placed = keyed.join(counted_broadcast(written(of, "linked"), BROADCAST_ROWS), "unit", "left").withColumn("component", F.coalesce("component", "unit"))
+    dealt = cells(placed, crowded, F.xxhash64("unit", F.lit(3)), True).select("cell", "component", "unit", *_WORDS)
+    rest = dealt.repartition("cell").sortWithinPartitions("cell", "component", "unit").mapInPandas(_across, "a long, b long").distinct()
+    tried = first.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    fresh = written(rest.join(tried, ["a", "b"], "left_anti"), "pairs")
+    return _classed(base.select("doc_id", "unit"), "unit", linked.unionByName(_verified(base, fresh)))
+
+
+def _drop(docs: DataFrame, classes: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    gone = classes.where(F.col("doc_id") != F.col("component_id")).select(F.col("doc_id").alias("_id"), F.col("unit").alias("_unit")).distinct()
+    gone = counted_broadcast(written(gone, "dropped"), BROADCAST_ROWS)
+    same = (F.col(id_col).cast("long") == F.col("_id")) & (F.xxhash64(text_or_empty(text_col)) == F.col("_unit"))
+    return docs.join(gone, same, "left_anti")
 
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """``docs`` without all but one document (the smallest id) of each class; rows with a null id stay."""
-    stay = near_duplicates(docs, id_col, text_col, **options).where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("_stay")).distinct()
-    return docs.join(stay, F.col(id_col) == F.col("_stay"), "left").where(F.col("_stay").isNotNull() | F.col(id_col).isNull()).select(*docs.columns)
+    """``docs`` without all but one document (the smallest id) of each class of near fingerprints."""
+    return _drop(docs, near_duplicates(docs, id_col, text_col, **options), id_col, text_col)
+
+
+def drop_similar(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """``docs`` without all but one document (the smallest id) of each class of similar texts."""
+    return _drop(docs, similar_documents(docs, id_col, text_col, **options), id_col, text_col)
 
 
 def op7_simhash(spark, sf_dir: str) -> DataFrame:

@@ -1,10 +1,11 @@
 """Toxicity by compression distance: two zstandard dictionaries, compared window by window.
 
-The ordinary dictionary is trained on windows of ordinary text. The toxic one is the same ground plus what is trained
-on toxic text alone: byte strings within words that are many times more frequent in toxic texts. A window of words is
-compressed with either; the bytes that the toxic dictionary saves are its gain. A text's score is a logistic function
-of the gains of all its windows, calibrated on another fold than the dictionaries; the threshold of 0.7 is where the
-calibration fold's F1 is best.
+The library's trainer makes the ordinary dictionary from windows of ordinary texts and, apart from it, the toxic one from
+windows of toxic texts: first of all their windows, then of those that a dictionary trained on the other half of the toxic
+texts finds telling, as most windows of a toxic text are ordinary. A window of words is compressed with the ordinary dictionary alone and with the toxic one put
+before it; the bytes that the toxic dictionary saves are the window's gain. It lies farther from the window than the
+ordinary one, so what both know saves nothing. A text's score is a logistic function of how many of its windows reach each
+level of gain, calibrated on another fold than the dictionaries; the threshold of 0.7 is where that fold's F1 is best.
 
 Defined results: null and empty texts have no windows and get the score of no gain (below the threshold); a class with
 no labelled rows gives the score of the share of toxic labels (0 without any) for every text; long texts are
@@ -15,7 +16,6 @@ from __future__ import annotations
 
 import math
 import pickle
-from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
@@ -29,10 +29,18 @@ from .common import read_table
 
 THRESHOLD = 0.7
 WINDOW_WORDS = 8
-LEVEL = 9
-ORDINARY_BYTES, TOXIC_BYTES = 8192, 2048
-#: Lengths of byte strings, least share of toxic texts with one, and how many times rarer it must be in ordinary ones.
-GRAM_BYTES, LEAST_SHARE, LEAST_RATIO = (5, 6), 0.02, 20.0
+#: Bytes of either dictionary, the trainer's segment lengths, and the most windows that it is shown.
+ORDINARY_BYTES, TOXIC_BYTES, FIRST_TOXIC_BYTES = 96 << 10, 4 << 10, 8 << 10
+ORDINARY_SEGMENT, TOXIC_SEGMENT, SEGMENT_MATCH = 16, 12, 6
+TRAINING_WINDOWS = 60_000
+#: How often the trainer goes over the samples, and stretches of them that it may lose to its header.
+TRAINER_PASSES, SPARE = 4, 16
+#: How the compressor searches: a dictionary's whole chain of matches of five bytes or more.
+LEVEL, SEARCH = 9, {"strategy": zstandard.STRATEGY_BTLAZY2, "search_log": 10, "min_match": 5}
+#: Gains in bytes from which on windows are counted; the least one also tells a toxic text's telling windows.
+GAINS = (2, 3, 4, 5)
+#: How often the toxic windows are narrowed down to the telling ones, and fewer than which of them train no dictionary.
+NARROWINGS, LEAST_WINDOWS = 2, 64
 
 
 def _words(text: str | None) -> list[bytes]:
@@ -43,55 +51,44 @@ def windows(words: list[bytes]) -> list[bytes]:
     return [b" " + b" ".join(words[i : i + WINDOW_WORDS]) + b" " for i in range(0, len(words), WINDOW_WORDS)]
 
 
-def _grams(words: list[bytes], n: int) -> np.ndarray:
-    """Different byte strings of length n, as numbers, that touch spaces at their ends only."""
-    a = np.frombuffer(b" " + b" ".join(words) + b" ", dtype=np.uint8)
-    if len(a) < n:
-        return np.zeros(0, np.uint64)
-    m = len(a) - n + 1
-    g, inner = np.zeros(m, np.uint64), np.ones(m, bool)
-    for i in range(n):
-        part = a[i : m + i]
-        g = (g << np.uint64(8)) | part.astype(np.uint64)
-        if 0 < i < n - 1:
-            inner &= part != 32
-    return np.unique(g[inner])
-
-
-def telling_strings(toxic: list[list[bytes]], ordinary: list[list[bytes]]) -> dict[int, set[bytes]]:
-    out = {}
-    for n in GRAM_BYTES:
-        t, nt = np.unique(np.concatenate([_grams(w, n) for w in toxic]), return_counts=True)
-        o, no = np.unique(np.concatenate([_grams(w, n) for w in ordinary]), return_counts=True)
-        at = np.minimum(np.searchsorted(o, t), max(len(o) - 1, 0))
-        seen = np.where(o[at] == t, no[at], 0) if len(o) else np.zeros(len(t))
-        ratio = (nt / len(toxic)) / ((seen + 1) / (len(ordinary) + 1))
-        keep = t[(nt >= max(3, LEAST_SHARE * len(toxic))) & (ratio >= LEAST_RATIO)]
-        out[n] = {int(x).to_bytes(n, "big") for x in keep}
-    return out
-
-
-def _stretches(words: list[bytes], telling: dict[int, set[bytes]]) -> list[bytes]:
-    out = []
-    for word in words:
-        w = b" " + word + b" "
-        hit = bytearray(len(w))
-        for n, found in telling.items():
-            for i in range(len(w) - n + 1):
-                if w[i : i + n] in found:
-                    hit[i : i + n] = b"x" * n
-        if any(hit):
-            i = hit.index(b"x")
-            out.append(w[i : hit.rindex(b"x") + 1])
-    return out
-
-
-def _trained(size: int, samples: list[bytes], spare: list[bytes]) -> bytes:
-    """A dictionary's bytes; from too few samples the most frequent ones, joined."""
+def _trained(size: int, samples: list[bytes], segment: int) -> bytes:
+    """A dictionary's bytes by the library's trainer; from too few windows these themselves, joined.
+
+    The trainer takes the best segment of each stretch of the samples in turn and fills the dictionary from its end, and
+    its header then pushes out the last of it: the segments taken first, which are the most frequent of all. So the first
+    ``SPARE`` stretches hold nothing but one string each, and only those are lost.
+    """
+    samples = samples[:: max(1, -(-len(samples) // TRAINING_WINDOWS))]
+    stretches = max(1, size // segment // TRAINER_PASSES)
+    spare = min(SPARE, stretches // 2)
+    stretch = sum(map(len, samples)) // (stretches - spare) + 1
+    filler = []
+    for i in range(spare):
+        unit = bytes([1 + i]) * (segment - 1) + b"\0"
+        filler += [unit * 8] * (stretch // (8 * segment) + 1)
     try:
-        return zstandard.train_dictionary(size, samples).as_bytes()
+        return zstandard.train_dictionary(size, filler + samples, k=segment, d=SEGMENT_MATCH).as_bytes()
     except zstandard.ZstdError:
-        return b"".join(spare)[-size:]
+        return b"".join(samples)[-size:]
+
+
+def _compressor(content: bytes):
+    kind = zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+    p = zstandard.ZstdCompressionParameters.from_level(
+        LEVEL, source_size=64, dict_size=len(content), write_content_size=False, write_checksum=False, write_dict_id=False, **SEARCH
+    )
+    return zstandard.ZstdCompressor(dict_data=kind, compression_params=p).compress
+
+
+def _toxic_dictionary(texts: list[list[bytes]], ordinary: bytes) -> bytes:
+    plain = _compressor(ordinary)
+    halves = [[(w, len(plain(w))) for words in texts[h::2] for w in windows(words)] for h in (0, 1)]
+    telling = [[w for w, _ in half] for half in halves]
+    for _ in range(NARROWINGS):
+        marked = [_compressor(_trained(FIRST_TOXIC_BYTES, now, TOXIC_SEGMENT) + ordinary) for now in telling]
+        found = [[w for w, n in half if n - len(marked[1 - h](w)) >= GAINS[0]] for h, half in enumerate(halves)]
+        telling = [new if len(new) >= LEAST_WINDOWS else old for new, old in zip(found, telling, strict=True)]
+    return _trained(TOXIC_BYTES, telling[0] + telling[1], TOXIC_SEGMENT)
 
 
 @dataclass
@@ -102,25 +99,24 @@ class ToxicityModel:
     base: float | None = None  # a fixed score, where nothing could be learned
 
     def compressors(self) -> tuple:
-        def of(content: bytes):
-            kind = zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
-            p = zstandard.ZstdCompressionParameters.from_level(LEVEL, source_size=64, dict_size=len(content), write_content_size=False, write_checksum=False, write_dict_id=False)
-            return zstandard.ZstdCompressor(dict_data=kind, compression_params=p).compress
-
-        return of(self.ordinary), of(self.ordinary + self.toxic)
+        return _compressor(self.ordinary), _compressor(self.toxic + self.ordinary)
 
     def features(self, text: str | None, pair: tuple) -> list[float]:
         plain, marked = pair
-        words = _words(text)
-        best = strong = excess = n = 0
-        for w in windows(words):
-            gain = len(plain(w)) - len(marked(w))
+        counts, best, excess, n = dict.fromkeys(GAINS, 0), 0, 0, 0
+        for w in windows(_words(text)):
             n += 1
-            if gain > 2:
-                strong += 1
-                excess += gain - 2
+            gain = len(plain(w)) - len(marked(w))
+            if gain > 1:
+                excess += gain - 1
                 best = max(best, gain)
-        return [best / 4, math.log1p(strong), math.log1p(excess), 10 * strong / max(n, 8), 10 * excess / max(n, 8) / 4]
+                for g in GAINS:
+                    counts[g] += gain >= g
+        n = max(n, 8)
+        out = [best / 4, 2.5 * excess / n]
+        for g in GAINS:
+            out += [math.log1p(counts[g]), 10 * counts[g] / n]
+        return out
 
     def score(self, text: str | None, pair: tuple) -> float:
         if self.base is not None:
@@ -139,18 +135,9 @@ def fit(sample: list[tuple[int, int, str]]) -> ToxicityModel:
     if not learn[0] or not learn[1]:
         share = sum(v for _, v, _ in sample) / len(sample) if sample else 0.0
         return ToxicityModel(b"", b"", [], share)
-    toxic, plain = ([_words(t) for t in learn[y]] for y in (1, 0))
-    telling = telling_strings(toxic, plain)
-    cores = [c for w in toxic for c in _stretches(w, telling)]
-    often = [w for w, _ in Counter(cores).most_common(TOXIC_BYTES // 4)][::-1]
-    ground = [x for w in plain for x in windows(w)]
-    ground = ground[:: max(1, len(ground) // 40_000)]
-    model = ToxicityModel(_trained(ORDINARY_BYTES, ground, ground), b"", [])
-    distinct: list[bytes] = []  # most frequent last, nearest to the window, without what others contain
-    for c in often[::-1]:
-        if sum(map(len, distinct)) + len(c) <= TOXIC_BYTES and not any(c in d for d in distinct):
-            distinct.append(c)
-    model.toxic = b"".join(distinct[::-1]) or b"".join(windows(toxic[0])[:4])
+    plain, toxic = ([_words(t) for t in learn[y]] for y in (0, 1))
+    ordinary = _trained(ORDINARY_BYTES, [w for words in plain for w in windows(words)], ORDINARY_SEGMENT)
+    model = ToxicityModel(ordinary, _toxic_dictionary(toxic, ordinary), [])
     pair = model.compressors()
     x = np.array([model.features(t, pair) for _, t in check])
     y = np.array([v for v, _ in check], dtype=float)

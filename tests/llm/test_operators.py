@@ -53,6 +53,8 @@ CALLS = {
     "shards": lambda d: sharding.shard_rows(d),
     "simhash": lambda d: simhash.near_duplicates(d),
     "drop_near": lambda d: simhash.drop_near_duplicates(d),
+    "similar": lambda d: simhash.similar_documents(d),
+    "drop_similar": lambda d: simhash.drop_similar(d),
     "exact": lambda d: exact_dedup.find_duplicates(d),
     "drop_exact": lambda d: exact_dedup.drop_duplicates(d),
     "bpe": lambda d: bpe.digest_documents(d),
@@ -60,7 +62,7 @@ CALLS = {
     "toxicity": lambda d: toxicity.score_documents(d, toxicity.fit([])),
     "quality": lambda d: quality.score_documents(d, quality.fit([])),
 }
-PER_ROW = {"sketch", "mix", "shards", "simhash", "exact", "bpe", "ids", "toxicity", "quality"}
+PER_ROW = {"sketch", "mix", "shards", "simhash", "similar", "exact", "bpe", "ids", "toxicity", "quality"}
 
 
 @pytest.mark.parametrize("name", sorted(CALLS))
@@ -130,14 +132,24 @@ def test_peeling_counts_the_difference(spark, shared):
 # ---------------------------------------------------------------- 2 and 8 classifiers
 
 
-@pytest.mark.parametrize(("name", "label", "least"), [("op2_toxicity", "toxic", 0.9), ("op8_quality", "quality", 0.95)])
-def test_held_out_accuracy(name, label, least, spark):
-    d = "/root/testdata/sf0.01"
-    got = {r["doc_id"]: r for r in registry.QUERIES[name](spark, d).collect()}
-    labels = duckdb.sql(f"SELECT doc_id, {label} FROM '{d}/labels.parquet'").fetchall()
+def held_out(spark, folder, name, label):
+    """(predicted, label, lang) of the labelled rows of the held-out fold."""
+    got = {r["doc_id"]: r for r in registry.QUERIES[name](spark, folder).collect()}
+    labels = duckdb.sql(f"SELECT doc_id, {label}, lang FROM '{folder}/labels.parquet' JOIN '{folder}/documents.parquet' USING (doc_id)").fetchall()
     assert all(r["held_out"] == (zlib.crc32(str(i).encode()) % 3 == 1) and 0 <= r["score"] <= 1 for i, r in got.items())
-    held = [(got[i]["predicted"], y) for i, y in labels if got[i]["held_out"]]
-    assert sum(p == y for p, y in held) / len(held) >= least
+    return [(got[i]["predicted"], y, lang) for i, y, lang in labels if got[i]["held_out"]]
+
+
+def test_quality_on_the_held_out_fold(spark):
+    held = held_out(spark, "/root/testdata/sf0.01", "op8_quality", "quality")
+    assert sum(p == y for p, y, _ in held) / len(held) >= 0.95
+
+
+def test_toxicity_on_the_held_out_fold(spark):
+    held = held_out(spark, "/root/testdata/sf0.1", "op2_toxicity", "toxic")
+    found, missed, false, clean = (sum(p == a and y == b for p, y, _ in held) for a, b in ((1, 1), (0, 1), (1, 0), (0, 0)))
+    english = [p for p, y, lang in held if y and lang == "en"]
+    assert sum(english) / len(english) >= 0.8 and found / (found + false) >= 0.8 and clean / (clean + false) >= 0.98
 
 
 def test_toxic_words_decide_and_not_the_id():
@@ -480,8 +492,9 @@ def test_pipeline_stages(spark, small):
                 best[r["text"]] = max(best.get(r["text"], -1), r["doc_id"])
             assert sorted(r["doc_id"] for r in got) == sorted(best.values()) and len(set(texts)) == len(texts)
         if name == "simhash":
-            classes = plain_classes({r["doc_id"]: plain_fingerprint(r["text"]) for r in before})
-            assert {r["doc_id"] for r in got} == set(classes.values())
+            from tests.llm.test_similar import plain_classes as similar_classes
+
+            assert {r["doc_id"] for r in got} == set(similar_classes({r["doc_id"]: r["text"] for r in before}).values())
         if name == "mixing":
             assert max(Counter(r["doc_id"] for r in got).values()) <= 2
         rows = after
