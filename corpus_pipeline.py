@@ -5,8 +5,9 @@ return the columns of ``documents``.
 
 1. toxicity: documents whose compression-distance score reaches the threshold go.
 2. exact dedup: of equal texts the row with the largest id stays.
-3. near dedup: of each class of texts linked by a Jaccard similarity of 0.8 of five-word shingles the smallest id stays.
-   The rule of ``op7_simhash`` (two bits of 64) is that query's own; it would keep nearly all such near copies.
+3. near dedup: SimHash candidates, bit-sliced and verified by exact Jaccard similarity of 0.8 of five-word shingles; of
+   each class the smallest id stays. The rule of ``op7_simhash`` (two bits of 64) is that query's own; it would keep
+   nearly all such near copies.
 4. mixing: a row is repeated as often as the mix to target weights takes it.
 5. encoding: token counts and digests of ids and of the decoded text, a row per row.
 """
@@ -15,8 +16,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from collidra.llm import bpe, exact_dedup, mixing, near_copies, toxicity
-from collidra.llm.common import read_table, written
+from collidra.llm import bpe, exact_dedup, mixing, simhash, toxicity
+from collidra.llm.common import made, read_table, remove_made, written
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -28,7 +29,7 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return near_copies.drop_near_copies(docs)
+    return simhash.drop_similar(docs)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -54,7 +55,9 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = read_table(spark, sf_dir, "documents")
     for name, stage in STAGES:
+        before = made()
         rows = stage(spark, rows, sf_dir)
         if name != STAGES[-1][0]:
             rows = written(rows, f"stage-{name}")
+            remove_made(spark, before, 1)  # what the stage wrote on its way; its result stays
     return rows
