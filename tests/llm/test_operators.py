@@ -272,6 +272,102 @@ def test_given_pages(spark, small):
         assert rows[page] == "\n\n".join(b for b in blocks if b)
 
 
+BROKEN = {
+    '<article><div class="post-header"><h1>Title</h1></div><p class="side-by-side">A</p><p id="form-factor">B</p></article>': "Title\n\nA\n\nB",
+    "<p data=it's>Text one</p><p>don't go</p><p>end</p>": "Text one\n\ndon't go\n\nend",
+    'x <a title="unclosed>link': "x",
+    "a &lt <b>c</i> d": "a < c d",
+    "1 < 2 and </3> <p/>x<br/>y": "1 < 2 and\n\nx y",
+    "<table><tr><td>a<td>b<tr><td>c</table>": "a\n\nb\n\nc",
+    "<ul><li>a<ul><li>b</ul><li>c</ul>": "a\n\nb\n\nc",
+    "<!-->x<!-- y --!>z<!-- q": "xz",
+    "<div><p>one<div>two</p>three</div>": "one\n\ntwo\n\nthree",
+}
+
+
+@pytest.mark.parametrize("page", sorted(BROKEN))
+def test_broken_pages(page):
+    assert html_text.main_text(page) == BROKEN[page]
+
+
+def test_deep_pages_take_linear_time():
+    import time
+
+    def seconds(make, n):
+        began = time.process_time()
+        html_text.main_text(make(n))
+        return time.process_time() - began
+
+    for make in (
+        lambda n: "<div>" * n + "x" + "</span>" * n + "</div>" * n, lambda n: "<b>" * n + "<p>x" * n + "</b>" * n,
+        lambda n: "<ul>" + "<div>" * n + "<td>x</td>" * n, lambda n: "<article>" * n + "x",
+    ):
+        seconds(make, 500)
+        assert seconds(make, 16_000) < 12 * max(seconds(make, 4_000), 0.02)
+
+
+def test_subtree_counts_equal_a_plain_recount(spark):
+    """By site templates alone, without articles and tag rules, most given pages come out right."""
+    folder = "/root/testdata/sf0.1"
+    pages = common.read_table(spark, folder, "pages")
+    got = {(r["host"], r["path"], r["content"]): r["pages"] for r in html_text.subtree_counts(pages).collect()}
+    rows = [(r["host"], r["html"]) for r in pages.select(html_text.host_of("url").alias("host"), "html").distinct().collect()]
+    counts, by_host = Counter(), Counter()
+    for host, source in rows:
+        page = html_text.Page(source)
+        counts.update({(host, page.path[k], page.content[k]) for k in page.counted()} | {(host, 0, 0)})
+        by_host[host] += 1
+    assert got == dict(counts)
+    hashes, slots = defaultdict(set), defaultdict(set)
+    total, by_path, again = Counter(), Counter(), Counter()
+    for (host, path, content), n in counts.items():
+        if path:
+            total[host, content] += n
+            by_path[host, path] += n
+            again[host, path] += n if n > 1 else 0
+    for (host, content), n in total.items():
+        if n >= 4 and n >= 0.01 * by_host[host]:
+            hashes[host].add(content)
+    for (host, path), n in by_path.items():
+        if again[host, path] >= 4 and again[host, path] >= 0.2 * n and n >= 0.05 * by_host[host]:
+            slots[host].add(path)
+    sites = {r["host"]: (set(r["hashes"]), set(r["slots"])) for r in html_text.site_templates(pages).collect()}
+    assert sites == {h: (hashes[h], slots[h]) for h in set(hashes) | set(slots)}
+    full = {r["url"]: r["text"] for r in html_text.extract(pages).collect()}
+    right = changed = 0
+    for url, host, source in pages.select("url", html_text.host_of("url").alias("host"), "html").collect():
+        page = html_text.Page(source)
+        gone = page.template(frozenset(hashes[host]), frozenset(slots[host]))
+        alone = page.text(gone, by_tags=False)
+        changed += alone != page.text(by_tags=False)
+        right += alone == full[url]
+    assert changed > 0.9 * len(rows) and right > 0.9 * len(rows)
+
+
+def test_copies_of_a_page_are_no_site(spark):
+    story = "<div class='body'><p>The only story there is.</p></div><div class='x'>More</div>"
+    df = spark.createDataFrame([(i, "http://a.example/", story) for i in range(50)], "page_id long, url string, html string")
+    assert {r["text"] for r in html_text.extract(df).collect()} == {"The only story there is.\n\nMore"}
+
+
+def test_slots_go_whole_and_long_text_stays(spark):
+    """Adverts from a pool go, those seen once too; a slot that holds most of a page's text does not."""
+    page = lambda i: f"<body><div class='slot'>Advert {min(i % 7, i % 5)}</div><div class='story'>{'Copied story with many words. ' * 4 if i % 2 else f'Story {i} of its own, with words. ' * 4}</div><i>{i}</i></body>"
+    rows = [(i, f"http://a.example/{i}", page(i)) for i in range(20)] + [(20, "http://a.example/20", page(0).replace("Advert 0", "Advert seen once"))]
+    got = {r["page_id"]: r["text"] for r in html_text.extract(spark.createDataFrame(rows, "page_id long, url string, html string"), content_share=2.0).collect()}
+    assert all("Advert" not in t and "tory" in t for t in got.values())
+
+
+def test_odd_pages(spark):
+    rows = [(1, None, None), (2, "", ""), (3, "http://a/", "<p>x</p>"), (3, "http://a/", "<p>x</p>"), (None, "no url", "<p>" + "long " * 50_000 + "</p>"), (5, "http://a/", "  \n"), (6, "http://A:80/q", "\x00<p>\ud7ff&#0;&#xD800;</p>")]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    df = df.withColumns({c: F.lit(1) for c in ("host", "text", "hashes", "slots", "n_chars", "page", "s", "path", "content", "pages", "template")})
+    got = html_text.extract(df).collect()
+    assert len(got) == 7 and [r["text"] for r in got if r["page_id"] == 3] == ["x", "x"] and [r["n_chars"] for r in got if r["page_id"] is None] == [249_999]
+    assert {r["text"] for r in got if r["page_id"] in (1, 2, 5)} == {""}
+    assert html_text.extract(df.limit(0)).count() == 0
+
+
 # ---------------------------------------------------------------- 5 mixing
 
 
