@@ -61,6 +61,10 @@ def shuffle_partitions(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
+#: Tables of at most so many rows are broadcast, behind a count.
+BROADCAST_ROWS = 200_000
+
+
 def text_or_empty(col: str | Column) -> Column:
     return F.coalesce(F.col(col) if isinstance(col, str) else col, F.lit(""))
 
@@ -108,3 +112,22 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
 def counted_broadcast(df: DataFrame, rows: int) -> DataFrame:
     """``df`` with a broadcast hint if a count shows that it has at most ``rows`` rows, else as it is."""
     return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+
+
+def crowds(rows: DataFrame, bucket_rows: int, cell_rows: int) -> DataFrame:
+    """(k, groups) of the buckets, by ``key``, of more than ``bucket_rows`` rows: groups of about ``cell_rows`` rows."""
+    many = rows.groupBy(F.col("key").alias("k")).agg(F.count("*").alias("n")).where(F.col("n") > bucket_rows)
+    return counted_broadcast(written(many.select("k", F.ceil(F.col("n") / cell_rows).cast("int").alias("groups")), "crowds"), BROADCAST_ROWS)
+
+
+def cells(rows: DataFrame, crowded: DataFrame, spread: Column, pairs: bool) -> DataFrame:
+    """``rows`` with ``cell``: their bucket's key, or that of a part of it if it is crowded.
+
+    A crowded bucket's rows fall into groups by ``spread``. With ``pairs`` every two groups share a cell, so all pairs of
+    rows still meet; otherwise a cell is one group.
+    """
+    own = F.pmod(spread, F.col("groups")).cast("int")
+    both = F.transform(F.sequence(F.lit(0), F.col("groups") - 1), lambda j: F.xxhash64(F.col("key"), F.least(own, j), F.greatest(own, j)))
+    many = both if pairs else F.array(F.xxhash64(F.col("key"), own))
+    placed = rows.join(crowded, F.col("key") == F.col("k"), "left")
+    return placed.withColumn("cell", F.explode(F.when(F.col("groups").isNull(), F.array(F.col("key"))).otherwise(many))).drop("k", "groups")

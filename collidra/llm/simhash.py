@@ -41,7 +41,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, counted_broadcast, read_table, text_or_empty, written
+from .common import BROADCAST_ROWS, cells, components, counted_broadcast, crowds, read_table, text_or_empty, written
 
 WIDTH, RADIUS, SEED = 3, 2, 42
 BUCKET_ROWS = 4096
@@ -54,8 +54,6 @@ SHINGLE, NUM, DEN = 5, 4, 5
 BITS, REACH, MISS, AGREE = 256, 63, 0.004, 0.82
 #: Rows that an average bucket of a table holds; tables take more bits, and are more, as rows grow.
 MEAN_BUCKET = 1024
-#: Tables of at most so many rows are broadcast, behind a count.
-BROADCAST_ROWS = 200_000
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 _PART, _TEXTS_AT_ONCE, _COMPARED_AT_ONCE = 65_536, 256, 40_000
 
@@ -232,25 +230,6 @@ def _whole_buckets(parts: Iterator[pd.DataFrame], names: list[str]) -> Iterator[
         yield np.concatenate(held)
 
 
-def crowds(rows: DataFrame, bucket_rows: int) -> DataFrame:
-    """(k, groups) of the buckets of more than ``bucket_rows`` rows; ``rows`` have the bucket's ``key``."""
-    many = rows.groupBy(F.col("key").alias("k")).agg(F.count("*").alias("n")).where(F.col("n") > bucket_rows)
-    return counted_broadcast(written(many.select("k", F.ceil(F.col("n") / bucket_rows).cast("int").alias("groups")), "crowds"), BROADCAST_ROWS)
-
-
-def cells(rows: DataFrame, crowded: DataFrame, spread: Column, pairs: bool) -> DataFrame:
-    """``rows`` with ``cell``: their bucket's key, or that of a part of it if it is crowded.
-
-    A crowded bucket's rows fall into groups by ``spread``. With ``pairs`` every two groups share a cell, so all pairs of
-    rows still meet; otherwise a cell is one group.
-    """
-    own = F.pmod(spread, F.col("groups")).cast("int")
-    both = F.transform(F.sequence(F.lit(0), F.col("groups") - 1), lambda j: F.xxhash64(F.col("key"), F.least(own, j), F.greatest(own, j)))
-    many = both if pairs else F.array(F.xxhash64(F.col("key"), own))
-    placed = rows.join(crowded, F.col("key") == F.col("k"), "left")
-    return placed.withColumn("cell", F.explode(F.when(F.col("groups").isNull(), F.array(F.col("key"))).otherwise(many))).drop("k", "groups")
-
-
 # ---------------------------------------------------------------- fingerprints within a radius
 
 
@@ -280,7 +259,7 @@ def fingerprint_edges(prints: DataFrame, radius: int = RADIUS, bucket_rows: int
     if radius == 2:
         compared = shared.where(F.col("n") <= bucket_rows).withColumn("cell", F.col("key"))
     else:
-        compared = cells(shared, crowds(shared, bucket_rows), F.xxhash64("fp", F.lit(3)), True)
+        compared = cells(shared, crowds(shared, bucket_rows, bucket_rows), F.xxhash64("fp", F.lit(3)), True)
     dealt = compared.select("cell", "fp").repartition("cell").sortWithinPartitions("cell", "fp")
     found = dealt.mapInPandas(_compare(radius), "a long, b long")
     if radius != 2:
@@ -410,7 +389,7 @@ def similar_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     words = ", ".join(f"{w} long" for w in _WORDS)
     prints = written(base.select("unit", "text").mapInPandas(_printed, f"unit long, {words}").dropDuplicates(["unit"]), "prints")
     keyed = prints.withColumn("key", F.explode(_keys(table_bits(prints.count()))))
-    crowded = crowds(keyed, bucket_rows)
+    crowded = crowds(keyed, bucket_rows, bucket_rows)
     dealt = cells(keyed, crowded, F.xxhash64("unit", "key"), False).select("cell", "unit", *_WORDS)
     met = dealt.repartition("cell").sortWithinPartitions("cell", "unit").mapInPandas(_first_met, "a long, b long, d long")
     # of a row's first ones the smallest, which most of its class meet too, and the nearest

@@ -1,23 +1,28 @@
 """Repeated passages: paragraphs collide by MinHash bands, are verified by exact Jaccard, and clustered by components.
 
 A paragraph is a line of at least ``LEAST_WORDS`` words. Words are lower-cased, shingles have five words. Equal
-paragraphs are one unit from the first shuffle on. Signatures of ``BANDS`` times ``ROWS`` minima find a pair of
-similarity 0.8 with probability above 0.996. Units that share a band meet in a bucket; up to ``BUCKET_UNITS`` of them are
-all compared. In larger buckets a unit is compared with the bucket's leaders (units that matched no leader before them),
-so work stays linear in the bucket; a link between two units that follow different leaders of such a bucket has to be
-found in another band or through a third unit.
-
-A passage may also be repeated inside lines that differ around it. For that, texts are cut into short chunks at words
-whose hash is the smallest around; such cuts depend on the nearest words only, so a passage has the same ones wherever
-it stands. Chunks found in two documents are joined to runs, which are reported from ``LEAST_WORDS`` words on.
-
-Defined results: null and empty texts have no paragraphs; null ids form one document; rows that repeat id and text count
-as occurrences of the same document; of a cluster the occurrence with the smallest id and place is kept; an empty table
-gives an empty result; other columns are ignored.
+paragraphs are one unit from the first shuffle on. ``tuned`` takes the longest bands that find a pair at the least
+similarity with the chance ``RECALL`` within ``MINIMA`` minima. Units that share a band meet in a bucket; all pairs of up
+to ``BUCKET_UNITS`` are compared. In larger buckets a unit first meets the first ``LEADERS`` ones, so that a large class
+costs a line of links and not its square; then all pairs of the bucket whose components still differ follow, found by
+the rarest shingles of either, of which similar sets must share one. Buckets of more than ``CELL_UNITS`` are dealt to
+several tasks in pairs of groups. No link in a bucket is lost.
+
+A passage may also be repeated inside lines that differ around it. For that, texts are cut into short chunks before the
+words whose hash is smallest in any ``WINDOW`` words in a row; such cuts depend on the nearest words only, so a passage has
+the same ones wherever it stands, the first and the last less than a window from its ends. Chunks found in two documents
+are joined to runs, which are reported from ``LEAST_WORDS`` words on: a passage of ``LEAST_WORDS`` + 2 ``WINDOW`` - 2 words
+is never missed.
+
+Defined results: null and empty texts have no paragraphs; each row with a null id is a document of its own; rows that
+repeat an id are one document, its texts are told apart by their hash, and rows that repeat both are reported each; of a
+cluster the occurrence with the smallest id (null last), text hash and place is kept; an empty table gives an empty
+result; other columns are ignored.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -27,19 +32,29 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import components, read_table, written
+from .common import cells, components, crowds, read_table, written
 
 SHINGLE, SIMILARITY = 5, 0.8
-BANDS, ROWS = 8, 3
+
+
+def tuned(recall: float, minima: int, similarity: float = SIMILARITY) -> tuple[int, int]:
+    """(bands, rows): the longest bands that find a pair of ``similarity`` with the chance ``recall`` within ``minima`` minima."""
+    fits = [(math.ceil(math.log(1 - recall) / math.log(1 - similarity**r)), r) for r in range(1, minima + 1)]
+    return max(((b, r) for b, r in fits if b * r <= minima), key=lambda x: x[1])
+
+
+RECALL, MINIMA = 0.996, 24
+BANDS, ROWS = tuned(RECALL, MINIMA)
 LEAST_WORDS = 12
-BUCKET_UNITS = 128
-#: A chunk ends at a word whose hash is smallest among so many words on either side.
-NEAR_WORDS = 5
+#: Units of a bucket up to which all pairs are compared at once, first ones that others meet in larger ones, and units of a task.
+BUCKET_UNITS, LEADERS, CELL_UNITS = 128, 32, 2048
+#: Any so many words in a row have a cut.
+WINDOW = 18
 _rng = np.random.default_rng(11)
 _MUL = _rng.integers(1, 2**63, BANDS * ROWS, dtype=np.uint64) | np.uint64(1)
 _ADD = _rng.integers(0, 2**63, BANDS * ROWS, dtype=np.uint64)
 _STEP, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
-_PART_WORDS, _KNOWN_WORDS = 400_000, 500_000
+_PART_WORDS, _KNOWN_WORDS, _PAIRS = 400_000, 500_000, 1_000_000
 
 
 class _Known(dict):
@@ -93,15 +108,20 @@ class Text:
     def chunks(self) -> np.ndarray:
         """(chunks, 2): first and one past the last word of each chunk between two cuts.
 
-        A cut has the smallest hash around, the first of equals, so that words that only repeat make no cuts.
+        Where one word only repeats, every place is smallest around; of such cuts one in a window is left.
         """
         h = self.hashes
-        if len(h) < 2:
+        if len(h) < WINDOW:
             return np.zeros((0, 2), dtype=np.int64)
         pair = np.concatenate((h[:1], _rolled(h, 2)))  # a word with the one before it
-        edge = np.full(NEAR_WORDS, np.uint64(2**64 - 1))
-        low = np.lib.stride_tricks.sliding_window_view(np.concatenate((edge, pair, edge)), NEAR_WORDS).min(axis=1)
-        cut = np.flatnonzero((pair < low[: len(pair)]) & (pair <= low[NEAR_WORDS + 1 :]))
+        low = np.lib.stride_tricks.sliding_window_view(pair, WINDOW).argmin(axis=1)
+        cut = np.unique(low + np.arange(len(low)))
+        same = (pair[cut[1:]] == pair[cut[:-1]]) & (np.diff(cut) < WINDOW)
+        if same.any():
+            start = np.concatenate(([0], np.flatnonzero(~same) + 1))
+            group = np.repeat(np.arange(len(start)), np.diff(np.concatenate((start, [len(cut)]))))
+            turn = (cut - cut[start][group]) // WINDOW
+            cut = cut[np.concatenate(([True], (group[1:] != group[:-1]) | (turn[1:] != turn[:-1])))]
         return np.stack([cut[:-1], cut[1:]], axis=1)
 
     def span_hashes(self, spans: np.ndarray) -> np.ndarray:
@@ -138,8 +158,8 @@ def band_keys(hashes: np.ndarray, spans: np.ndarray) -> np.ndarray:
     return keys.view(np.int64)
 
 
-NAMES = ["doc_id", "no_id", "kind", "place", "start", "chars", "n_words", "unit"]
-SCHEMA = "doc_id long, no_id boolean, kind byte, place int, start int, chars int, n_words int, unit long, bands array<long>"
+NAMES = ["owner", "no_id", "th", "kind", "place", "start", "chars", "n_words", "unit"]
+SCHEMA = "owner long, no_id boolean, th long, kind byte, place int, start int, chars int, n_words int, unit long, bands array<long>"
 LINE, CHUNK = 0, 1
 
 
@@ -152,13 +172,14 @@ def _passages(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         def full() -> pd.DataFrame:
             columns, bands, offset = [[] for _ in NAMES], [], 0
             lines, hashes = [], []
-            for i, no_id, t, spans, chunks in held:
+            for owner, no_id, th, t, spans, chunks in held:
                 both = np.concatenate((spans, chunks))
                 n = len(both)
                 kind = np.repeat(np.array([LINE, CHUNK], dtype=np.int8), [len(spans), len(chunks)])
                 place = np.concatenate((np.arange(len(spans)), np.arange(len(chunks))))
                 start = t.start[both[:, 0]]
-                for c, v in zip(columns, (np.full(n, i), np.full(n, no_id), kind, place, start, t.end[both[:, 1] - 1] - start, both[:, 1] - both[:, 0], t.span_hashes(both)), strict=True):
+                row = (np.full(n, owner), np.full(n, no_id), np.full(n, th), kind, place, start, t.end[both[:, 1] - 1] - start, both[:, 1] - both[:, 0], t.span_hashes(both))
+                for c, v in zip(columns, row, strict=True):
                     c.append(v)
                 lines.append(spans + offset)
                 hashes.append(t.hashes)
@@ -172,11 +193,11 @@ def _passages(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             out["bands"] = bands
             return out
 
-        for i, no_id, text in zip(pdf["doc_id"], pdf["no_id"], pdf["text"], strict=True):
+        for owner, no_id, th, text in zip(pdf["owner"], pdf["no_id"], pdf["th"], pdf["text"], strict=True):
             t = Text(text)
             spans, chunks = t.lines(), t.chunks()
             if len(spans) or len(chunks):
-                held.append((i, no_id, t, spans, chunks))
+                held.append((owner, no_id, th, t, spans, chunks))
                 size += len(t.hashes)
             if size > _PART_WORDS:
                 yield full()
@@ -192,20 +213,68 @@ def _similar(a: frozenset, b: frozenset) -> bool:
     return both >= SIMILARITY * (len(a) + len(b) - both)
 
 
+def _shingles(words: str) -> frozenset:
+    return frozenset(shingle_hashes(words.encode("utf-8", "surrogatepass").split(b"\x1f")))
+
+
 def _bucket_links(units: list[tuple[int, str]]) -> list[tuple[int, int]]:
-    sets = [(u, frozenset(shingle_hashes(w.encode("utf-8", "surrogatepass").split(b"\x1f")))) for u, w in units]
-    if len(sets) <= BUCKET_UNITS:
+    """Links in a bucket: all, or in a large one each unit's first link to the first ones."""
+    if len(units) <= BUCKET_UNITS:
+        sets = [(u, _shingles(w)) for u, w in units]
         return [(sets[i][0], sets[j][0]) for i in range(len(sets)) for j in range(i) if _similar(sets[i][1], sets[j][1])]
-    leaders, out = [], []
-    for u, s in sets:
-        at = next((v for v, t in leaders if _similar(s, t)), None)
-        if at is None:
-            leaders.append((u, s))
-        else:
-            out.append((u, at))
+    first, out = [], []
+    for u, w in units:
+        s = _shingles(w)
+        out += [(u, v) for v, t in first if _similar(s, t)][:1]
+        if len(first) < LEADERS:
+            first.append((u, s))
     return out
 
 
+def _links_across(units: list[tuple[int, int, str]]) -> list[tuple[int, int]]:
+    """All links of units (component, unit, words), sorted by component, between different components.
+
+    Shingles are ordered by how rare they are here; similar sets of n and m elements share one of the first
+    n - ceil(0.8 n) + 1 of either.
+    """
+    component = np.array([c for c, _, _ in units])
+    if component[0] == component[-1]:
+        return []
+    sets = [_shingles(w) for _, _, w in units]
+    sizes = np.array([len(x) for x in sets])
+    row = np.repeat(np.arange(len(sets)), sizes)
+    _, token, count = np.unique(np.concatenate([np.fromiter(x, dtype=np.uint64, count=len(x)) for x in sets]), return_inverse=True, return_counts=True)
+    rank = np.argsort(np.argsort(count, kind="stable"), kind="stable")[token]
+    order = np.lexsort((rank, row))
+    rank, row = rank[order], row[order]
+    at = np.arange(len(row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+    keep = at < (sizes - np.ceil(SIMILARITY * sizes - 1e-9).astype(int) + 1)[row]
+    order = np.lexsort((row[keep], rank[keep]))
+    rank, row = rank[keep][order], row[keep][order]
+    fresh = rank[1:] != rank[:-1]
+    stop, follow = _ends(fresh), _ends(fresh | (component[row[1:]] != component[row[:-1]]))  # rows follow their components
+    total = np.cumsum(stop - follow)
+    out: set[tuple[int, int]] = set()
+    for lo in range(0, int(total[-1]), _PAIRS):
+        k = np.arange(lo, min(lo + _PAIRS, int(total[-1])))
+        i = np.searchsorted(total, k, "right")
+        j = stop[i] - (total[i] - k)
+        a, b = row[i], row[j]
+        fits = np.minimum(sizes[a], sizes[b]) >= SIMILARITY * np.maximum(sizes[a], sizes[b])
+        for x in np.unique(a[fits] * len(sets) + b[fits]).tolist():
+            x, y = divmod(x, len(sets))
+            if _similar(sets[x], sets[y]):
+                out.add((units[x][1], units[y][1]))
+    return sorted(out)
+
+
+def _ends(change: np.ndarray) -> np.ndarray:
+    """For each row the end of its run, where ``change`` tells of each row but the first if a run begins."""
+    starts = np.concatenate(([0], np.flatnonzero(change) + 1))
+    ends = np.concatenate((starts[1:], [len(change) + 1]))
+    return np.repeat(ends, ends - starts)
+
+
 def _meeting(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     """Rows sorted by bucket, without those alone in theirs."""
     last, sent = None, False
@@ -214,114 +283,123 @@ def _meeting(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             continue
         if last is not None:
             pdf = pd.concat([last, pdf], ignore_index=True)
-        b, k = pdf["band"].to_numpy(), pdf["key"].to_numpy()
-        same = (b[1:] == b[:-1]) & (k[1:] == k[:-1])
+        k = pdf["key"].to_numpy()
+        same = k[1:] == k[:-1]
         keep = np.concatenate(([False], same)) | np.concatenate((same, [False]))
         # the last row waits for the next batch; if it has met others here, it goes out now and only marks its bucket then
         yield pdf[keep & (np.arange(len(pdf)) >= (1 if last is not None and sent else 0))]
         last, sent = pdf.iloc[-1:], bool(keep[-1])
 
 
-def _verify(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    """Links from rows sorted by bucket. A bucket beyond ``BUCKET_UNITS`` streams past its leaders."""
-    key, held, leaders = None, [], None
-    edges: list[tuple[int, int]] = []
+def _by_cell(links, names: list[str]):
+    """A function over rows sorted by cell that hands each cell's rows, which a cell's size bounds, to ``links``."""
 
-    def stream(u: int, words: str) -> None:
-        s = frozenset(shingle_hashes(words.encode("utf-8", "surrogatepass").split(b"\x1f")))
-        at = next((v for v, t in leaders if _similar(s, t)), None)
-        if at is None:
-            leaders.append((u, s))
-        else:
-            edges.append((u, at))
+    def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        cell, held, edges = None, [], []
+        for pdf in parts:
+            for c, *row in zip(pdf["cell"], *(pdf[n] for n in names), strict=True):
+                if c != cell:
+                    if len(held) > 1:
+                        edges += links(held)
+                    cell, held = c, []
+                held.append(tuple(row))
+            if edges:
+                yield pd.DataFrame(edges, columns=["a", "b"])
+                edges = []
+        if len(held) > 1:
+            edges = links(held)
+            if edges:
+                yield pd.DataFrame(edges, columns=["a", "b"])
 
-    for pdf in parts:
-        for b, k, u, words in zip(pdf["band"], pdf["key"], pdf["unit"], pdf["words"], strict=True):
-            if (b, k) != key:
-                if held:
-                    edges += _bucket_links(held)
-                key, held, leaders = (b, k), [], None
-            if leaders is not None:
-                stream(u, words)
-                continue
-            held.append((u, words))
-            if len(held) > BUCKET_UNITS:
-                leaders = []
-                for x in held:
-                    stream(*x)
-                held = []
-        if edges:
-            yield pd.DataFrame(edges, columns=["a", "b"])
-            edges = []
-    if held:
-        edges += _bucket_links(held)
-    if edges:
-        yield pd.DataFrame(edges, columns=["a", "b"])
+    return run
 
 
 def passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
-    """The documents as (doc_id, no_id, text), and their paragraphs and chunks as a table in the shared folder."""
-    base = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(0)).alias("doc_id"), F.col(id_col).isNull().alias("no_id"), F.col(text_col).alias("text"))
+    """The documents as (owner, no_id, th, text), and their paragraphs and chunks as a table in the shared folder.
+
+    The owner is the id, or a number of the row, counted down from the largest, where there is none; th is the text's hash.
+    """
+    own = F.coalesce(F.col(id_col).cast("long"), F.lit(2**63 - 1) - F.monotonically_increasing_id())
+    base = docs.select(own.alias("owner"), F.col(id_col).isNull().alias("no_id"), F.xxhash64(F.col(text_col)).alias("th"), F.col(text_col).alias("text"))
     return base, written(base.mapInPandas(_passages, SCHEMA), "passages")
 
 
-def repeated_paragraphs(base: DataFrame, found: DataFrame, across_documents: bool = True) -> DataFrame:
+def _words_of(base: DataFrame, spots: DataFrame) -> DataFrame:
+    """(unit, words) for units with one place (owner, no_id, th, start, chars) each; rows without an id by their text alone."""
+    key = F.when(F.col("no_id"), F.lit(None)).otherwise(F.col("owner"))
+    at = spots.select("unit", "start", "chars", F.col("th").alias("at_th"), key.alias("at_owner"))
+    texts = base.join(at, (F.col("th") == F.col("at_th")) & key.eqNullSafe(F.col("at_owner")))
+    cut = texts.select("unit", F.expr("lower(substring(text, start + 1, chars))").alias("w")).select("unit", F.regexp_replace("w", "[\\x20\\x09-\\x0D]+", "\x1f").alias("words"))
+    return cut.groupBy("unit").agg(F.min("words").alias("words"))
+
+
+def similar_units(base: DataFrame, units: DataFrame, bucket_units: int = BUCKET_UNITS, cell_units: int = CELL_UNITS) -> DataFrame:
+    """Links (a, b) whose components are those of all similar units that share a band."""
+    rows = units.select("unit", "bands").distinct().select("unit", F.posexplode("bands").alias("band", "value")).select("unit", F.xxhash64("band", "value").alias("key"))
+    meet = written(rows.repartition("key").sortWithinPartitions("key", "unit").mapInPandas(_meeting, "unit long, key long"), "bands")
+    spot = units.groupBy("unit").agg(F.min(F.struct("no_id", "owner", "th", "start", "chars")).alias("s")).select("unit", "s.*")
+    words = written(_words_of(base, spot.join(meet.select("unit").distinct(), "unit", "left_semi")), "words")
+    large = crowds(meet, bucket_units, cell_units)
+    lined = cells(meet.join(words, "unit"), large, F.xxhash64("unit", "key"), False).select("cell", "unit", "words")
+    near = lined.repartition("cell").sortWithinPartitions("cell", "unit").mapInPandas(_by_cell(_bucket_links, ["unit", "words"]), "a long, b long")
+    first = written(near.distinct(), "links")
+    placed = meet.join(large.withColumnRenamed("k", "key").select("key"), "key", "left_semi")
+    linked = components(first).withColumnRenamed("node", "unit")
+    placed = placed.join(linked, "unit", "left").withColumn("component", F.coalesce("component", "unit"))
+    dealt = cells(placed.join(words, "unit"), large, F.xxhash64("unit", F.lit(3)), True).select("cell", "component", "unit", "words")
+    rest = dealt.repartition("cell").sortWithinPartitions("cell", "component", "unit").mapInPandas(_by_cell(_links_across, ["component", "unit", "words"]), "a long, b long")
+    return written(first.unionByName(rest.distinct()), "links")
+
+
+def repeated_paragraphs(base: DataFrame, found: DataFrame, across_documents: bool = True, **options) -> DataFrame:
     """One row per occurrence of a paragraph that others equal or resemble.
 
     doc_id, place (number of the paragraph in its text), start, chars (code points), n_words, cluster_id, occurrences,
     removed (all but the first occurrence of a cluster). With ``across_documents`` only clusters of two or more documents.
     """
     units = found.where(F.col("kind") == LINE).drop("kind")
-    rows = units.select("unit", "bands").distinct().select("unit", F.posexplode("bands").alias("band", "key"))
-    sorted_rows = rows.repartition("band", "key").sortWithinPartitions("band", "key", "unit").select("unit", "band", "key")
-    meet = written(sorted_rows.mapInPandas(_meeting, "unit long, band int, key long"), "bands")
-    # one place of each unit that meets another, to fetch its words
-    spots = meet.select("unit").distinct().join(
-        units.groupBy("unit").agg(F.min(F.struct("no_id", "doc_id", "start", "chars")).alias("s")), "unit"
-    ).select("unit", "s.*").withColumnsRenamed({"no_id": "s_no_id", "doc_id": "s_doc_id"})
-    texts = base.join(spots, (F.col("doc_id") == F.col("s_doc_id")) & (F.col("no_id") == F.col("s_no_id")))
-    cut = texts.select("unit", F.expr("lower(substring(text, start + 1, chars))").alias("w")).select("unit", F.regexp_replace("w", "[\\x20\\x09-\\x0D]+", "\x1f").alias("words"))
-    words = cut.groupBy("unit").agg(F.min("words").alias("words"))
-    lined = meet.join(words, "unit").repartition("band", "key").sortWithinPartitions("band", "key", "unit")
-    edges = lined.select("band", "key", "unit", "words").mapInPandas(_verify, "a long, b long")
-    linked = components(edges)
+    linked = components(similar_units(base, units, **options))
     member = units.drop("bands").join(linked.select(F.col("node").alias("unit"), "component"), "unit", "left").withColumn("cluster_id", F.coalesce("component", "unit"))
-    place = F.struct("no_id", "doc_id", "place")
+    place = F.struct("owner", "th", "place")
     stats = member.groupBy("cluster_id").agg(
-        F.count("*").alias("occurrences"), F.min(place).alias("first"), F.min(F.struct("no_id", "doc_id")).alias("low"), F.max(F.struct("no_id", "doc_id")).alias("high")
+        F.count("*").alias("occurrences"), F.min(place).alias("first"), F.min("owner").alias("low"), F.max("owner").alias("high")
     ).where("occurrences > 1")
     if across_documents:
         stats = stats.where("low <> high")
     return member.join(stats.select("cluster_id", "occurrences", "first"), "cluster_id").select(
-        F.when(~F.col("no_id"), F.col("doc_id")).alias("doc_id"), "place", "start", "chars", "n_words", "cluster_id", "occurrences", (place != F.col("first")).alias("removed")
+        F.when(~F.col("no_id"), F.col("owner")).alias("doc_id"), "place", "start", "chars", "n_words", "cluster_id", "occurrences", (place != F.col("first")).alias("removed")
     )
 
 
 def repeated_runs(found: DataFrame) -> DataFrame:
     """One row per run of chunks that other documents have too; columns as for paragraphs, place counts chunks.
 
-    A chunk stays in the document with the smallest id (null last) and is removed from all others; a run does not mix
-    the two. Its cluster is its first chunk, its occurrences those of its rarest chunk. Chunks are counted per task
-    before the shuffle; the repeated ones are a table, so that AQE can split the rows of a very common one in the join.
+    A chunk stays in the document with the smallest id (null last) and is removed from all others; a run of
+    ``LEAST_WORDS`` is split where that changes, and parts shorter than that stay. Its cluster is its first chunk, its occurrences those of its rarest chunk.
+    Chunks are counted per task before the shuffle; the repeated ones are a table, so that AQE can split the rows of a
+    very common one in the join.
     """
     chunks = found.where(F.col("kind") == CHUNK).drop("kind", "bands").withColumnRenamed("unit", "chunk")
-    owner = F.when(F.col("no_id"), F.lit(2**63 - 1)).otherwise(F.col("doc_id"))
-    often = chunks.select("chunk", owner.alias("o")).groupBy("chunk").agg(F.min("o").alias("first"), F.max("o").alias("last"), F.count("*").alias("n")).where("first <> last").drop("last")
-    rows = chunks.join(written(often, "often"), "chunk").withColumn("removed", owner != F.col("first"))
-    number = F.dense_rank().over(W.partitionBy("no_id", "doc_id", "removed").orderBy("place"))
-    runs = rows.withColumn("run", F.col("place") - number).dropDuplicates(["no_id", "doc_id", "removed", "run", "place"]).groupBy("no_id", "doc_id", "removed", "run").agg(
+    often = chunks.groupBy("chunk").agg(F.min("owner").alias("first"), F.max("owner").alias("last"), F.count("*").alias("n")).where("first <> last").drop("last")
+    rows = chunks.join(written(often, "often"), "chunk").withColumn("removed", F.col("owner") != F.col("first"))
+    text = ["owner", "th"]
+    once = rows.repartition(*text).dropDuplicates([*text, "place"])
+    whole = once.withColumn("run", F.col("place") - F.row_number().over(W.partitionBy(*text).orderBy("place")))
+    whole = whole.withColumn("total", F.sum("n_words").over(W.partitionBy(*text, "run"))).where(F.col("total") >= LEAST_WORDS)
+    part = F.col("place") - F.row_number().over(W.partitionBy(*text, "run", "removed").orderBy("place"))
+    runs = whole.withColumn("part", part).groupBy(*text, "no_id", "run", "removed", "part").agg(
         F.min("place").alias("place"), F.min("start").alias("start"), F.max(F.col("start") + F.col("chars")).alias("end"), F.sum("n_words").cast("int").alias("n_words"),
         F.min_by("chunk", "place").alias("cluster_id"), F.min("n").alias("occurrences"),
     )
-    return runs.where(F.col("n_words") >= LEAST_WORDS).select(
-        F.when(~F.col("no_id"), F.col("doc_id")).alias("doc_id"), "place", "start", (F.col("end") - F.col("start")).alias("chars"), "n_words", "cluster_id", "occurrences", "removed"
+    return runs.select(
+        F.when(~F.col("no_id"), F.col("owner")).alias("doc_id"), "place", "start", (F.col("end") - F.col("start")).alias("chars"), "n_words", "cluster_id", "occurrences", (F.col("removed") & (F.col("n_words") >= LEAST_WORDS)).alias("removed")
     )
 
 
-def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """Paragraphs (kind ``line``) and runs inside lines (kind ``run``) that occur in two or more documents."""
     base, found = passages(docs, id_col, text_col)
-    lines = repeated_paragraphs(base, found).withColumn("kind", F.lit("line"))
+    lines = repeated_paragraphs(base, found, **options).withColumn("kind", F.lit("line"))
     return lines.unionByName(repeated_runs(found).withColumn("kind", F.lit("run")))
 
 

@@ -219,22 +219,113 @@ def test_passage_inside_different_lines_is_found(spark):
     assert {r["doc_id"] for r in got if r["removed"]} == {1} and sum(r["n_words"] for r in got if r["removed"]) > 90
 
 
+def test_every_passage_of_46_words_inside_lines_is_found(spark):
+    """LEAST_WORDS + 2 WINDOW - 2 words are a guarantee; runs tell their place to within a window at either end."""
+    rng = np.random.default_rng(9)
+    say = lambda n: " ".join(f"{x:x}" for x in rng.integers(0, 5000, n))
+    least = substring_dedup.LEAST_WORDS + 2 * substring_dedup.WINDOW - 2
+    shared = [say(least) for _ in range(300)]
+    texts = [f"{say(int(rng.integers(30, 60)))} {p} {say(int(rng.integers(30, 60)))}" for _ in (0, 1) for p in shared]
+    got = substring_dedup.repeated_passages(docs_of(spark, texts)).where("kind = 'run'").collect()
+    assert {r["doc_id"] for r in got} == set(range(600)) and {r["doc_id"] for r in got if r["removed"]} == set(range(300, 600))
+    assert all(texts[r["doc_id"]][r["start"] : r["start"] + r["chars"]] in shared[r["doc_id"] % 300] for r in got)
+    words = Counter()
+    for r in got:
+        words[r["doc_id"]] += r["n_words"]
+    assert min(words.values()) >= substring_dedup.LEAST_WORDS
+
+
+def test_runs_are_measured_before_they_are_split(spark):
+    rng = np.random.default_rng(3)
+    say = lambda n: " ".join(f"{x:x}" for x in rng.integers(0, 5000, n))
+    left, middle, right = say(30), say(8), say(30)
+    texts = [f"{say(40)} {middle} {say(40)}", f"{say(30)} {left} {middle} {right} {say(30)}", f"{say(50)} {left} {middle} {right} {say(20)}"]
+    got = [r for r in substring_dedup.repeated_passages(docs_of(spark, texts)).collect() if r["doc_id"] == 2]
+    assert sum(r["n_words"] for r in got) >= 68 - 2 * substring_dedup.WINDOW and all(r["removed"] for r in got)
+
+
+def test_low_entropy_text_makes_few_chunks():
+    assert len(substring_dedup.Text("word " * 30_000).chunks()) <= 30_000 / substring_dedup.WINDOW + 1
+
+
+def test_null_and_repeated_ids_keep_their_links(spark):
+    rng = np.random.default_rng(1)
+    say = lambda n: " ".join(f"{x:x}" for x in rng.integers(0, 10**6, n))
+    one, two = say(30), say(30)
+    near = " ".join([*two.split()[:-1], "other"])
+    rows = [(None, one), (None, one), (None, f"{say(20)}\n{one}"), (1, say(20) + "\n" + one), (1, two), (2, near), (3, near), (3, near)]
+    got = substring_dedup.repeated_passages(spark.createDataFrame(rows, "doc_id long, text string")).where("kind = 'line'").collect()
+    by = defaultdict(list)
+    for r in got:
+        by[r["cluster_id"]].append((r["doc_id"], r["removed"]))
+    first, second = sorted(by.values(), key=len)[::-1] if len(by) == 2 else (None, None)
+    assert sorted(map(str, first)) == sorted(map(str, [(1, False), (2, True), (3, True), (3, True)])) or sorted(map(str, first)) == sorted(map(str, [(1, False), (None, True), (None, True), (None, True)]))
+    assert len(first) == len(second) == 4 and sum(not x for _, x in first) == sum(not x for _, x in second) == 1
+    runs = substring_dedup.repeated_passages(spark.createDataFrame([(None, f"{say(40)} {one} {two} {say(40)}") for _ in range(3)], "doc_id long, text string")).where("kind = 'run'").collect()
+    assert sum(not r["removed"] for r in runs) == 1 and sum(r["removed"] for r in runs) == 2
+
+
 def test_rows_alone_in_their_bucket_go_across_batches():
     import pandas as pd
 
     rng = np.random.default_rng(0)
     keys = np.sort(rng.integers(0, 400, 600))
-    whole = pd.DataFrame({"unit": np.arange(600), "band": 0, "key": keys})
+    whole = pd.DataFrame({"unit": np.arange(600), "key": keys})
     cuts = [0, *sorted(rng.choice(np.arange(1, 600), 40, replace=False).tolist()), 600]
     got = pd.concat(substring_dedup._meeting(whole.iloc[a:b].reset_index(drop=True) for a, b in zip(cuts, cuts[1:], strict=False)))
     assert sorted(got["unit"]) == whole["unit"][whole.duplicated("key", keep=False)].tolist()
 
 
-def test_large_buckets_follow_leaders():
-    base = [f"w{i}" for i in range(60)]
-    units = [(k, "\x1f".join([*base[:30], f"x{k}", *base[31:]])) for k in range(substring_dedup.BUCKET_UNITS + 20)]
-    links = substring_dedup._bucket_links(units)
-    assert len(links) == len(units) - 1 and all(b == 0 for _, b in links)
+def versions(rng, groups: int, each: int) -> list[str]:
+    """Lines of which each is some words off an earlier one of its group."""
+    out = []
+    for g in range(groups):
+        lines = [[f"{g}w{x}" for x in rng.integers(0, 10**6, 60)]]
+        while len(lines) < each:
+            words = list(lines[int(rng.integers(len(lines)))])
+            for _ in range(int(rng.integers(1, 3))):
+                words[int(rng.integers(60))] = f"x{rng.integers(10**6)}"
+            lines.append(words)
+        out += [" ".join(w) for w in lines]
+    return out
+
+
+def test_crowded_buckets_lose_no_link(spark):
+    """Crowded buckets against all pairs: the classes of one large bucket, and of the whole operator."""
+    rng = np.random.default_rng(6)
+    lines = versions(rng, 4, 150)
+    sets = [frozenset(substring_dedup.shingle_hashes(x.encode().split())) for x in lines]
+    parent = list(range(len(lines)))
+
+    def root(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for i in range(len(lines)):
+        for j in range(i):
+            if substring_dedup._similar(sets[i], sets[j]):
+                parent[root(i)] = root(j)
+    want = {frozenset(i for i in range(len(lines)) if root(i) == r) for r in map(root, range(len(lines)))}
+    units = [(0 if i % 3 else i, i, x.replace(" ", "\x1f")) for i, x in enumerate(lines)]
+    units.sort()
+    links = set(substring_dedup._links_across(units))
+    component = {u: c for c, u, _ in units}
+    brute = {(min(i, j), max(i, j)) for i in range(len(lines)) for j in range(i) if component[i] != component[j] and substring_dedup._similar(sets[i], sets[j])}
+    assert {(min(x), max(x)) for x in links} == brute and brute
+    for options in ({"bucket_units": 8, "cell_units": 40}, {}):
+        got = defaultdict(set)
+        for r in substring_dedup.repeated_passages(docs_of(spark, lines), **options).where("kind = 'line'").collect():
+            got[r["cluster_id"]].add(r["doc_id"])
+        found = {frozenset(x) for x in got.values()}
+        assert {x for x in want if len(x) > 1} == found
+
+
+def test_bands_are_tuned_for_recall():
+    for recall in (0.9, 0.99, 0.999):
+        bands, rows = substring_dedup.tuned(recall, 40)
+        assert bands * rows <= 40 and 1 - (1 - 0.8**rows) ** bands >= recall
+    assert (substring_dedup.BANDS, substring_dedup.ROWS) == (8, 3)
 
 
 # ---------------------------------------------------------------- 4 pages
