@@ -42,19 +42,19 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def made() -> int:
-    """How many tables ``written`` has made and nobody removed; a mark for ``remove_made``."""
-    return len(_made)
+def tables_made() -> tuple[str, ...]:
+    """The tables that ``written`` has made and nobody removed, in order."""
+    return tuple(_made)
 
 
-def remove_made(spark: SparkSession, since: int = 0, but: int = 0) -> None:
-    """Delete the tables made since a mark, without the last ``but`` of them. What reads them must be done."""
-    gone = _made[since : len(_made) - but]
-    del _made[since : len(_made) - but]
+def remove(spark: SparkSession, paths: list[str] | tuple[str, ...]) -> None:
+    """Delete tables of ``written``. What reads them must be done."""
     jvm = spark.sparkContext._jvm
-    for path in gone:
+    for path in paths:
         at = jvm.org.apache.hadoop.fs.Path(path)
         at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+        if path in _made:
+            _made.remove(path)
 
 
 def shuffle_partitions(spark: SparkSession) -> int:
@@ -78,7 +78,7 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     Edges never leave the executors; only their count and checksum do, to see that nothing moves any more. A round's
     table goes once the next is there. Links that are still moving after ``max_rounds`` are an error, never a result.
     """
-    spark, mark_of = edges.sparkSession, made()
+    spark, before = edges.sparkSession, len(tables_made())
     star = written(
         edges.where(F.col("a") != F.col("b")).select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), "edges"
     )
@@ -87,7 +87,7 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         mark = tuple(star.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
         if mark[0] == 0 or mark == seen:
             break
-        remove_made(spark, mark_of, 1)
+        remove(spark, tables_made()[before:-1])
         seen = mark
         both = star.unionByName(star.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
@@ -103,7 +103,7 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         )
     else:
         raise RuntimeError(f"components still move after {max_rounds} rounds")
-    remove_made(spark, mark_of, 1)
+    remove(spark, tables_made()[before:-1])
     low = star.groupBy("u").agg(F.min("v").alias("component"))
     roots = low.select(F.col("component").alias("node")).distinct()
     return low.select(F.col("u").alias("node"), "component").unionByName(roots.select("node", F.col("node").alias("component")))
@@ -114,20 +114,18 @@ def counted_broadcast(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
 
 
-def crowds(rows: DataFrame, bucket_rows: int, cell_rows: int) -> DataFrame:
-    """(k, groups) of the buckets, by ``key``, of more than ``bucket_rows`` rows: groups of about ``cell_rows`` rows."""
-    many = rows.groupBy(F.col("key").alias("k")).agg(F.count("*").alias("n")).where(F.col("n") > bucket_rows)
-    return counted_broadcast(written(many.select("k", F.ceil(F.col("n") / cell_rows).cast("int").alias("groups")), "crowds"), BROADCAST_ROWS)
+def crowds(rows: DataFrame, cell_weight: int, weight: Column | None = None) -> DataFrame:
+    """(k, groups) of the buckets, by ``key``, that weigh more than ``cell_weight``: groups of about that weight; a row weighs 1."""
+    many = rows.groupBy(F.col("key").alias("k")).agg(F.sum(F.lit(1) if weight is None else weight).alias("n")).where(F.col("n") > cell_weight)
+    return counted_broadcast(written(many.select("k", F.ceil(F.col("n") / cell_weight).cast("int").alias("groups")), "crowds"), BROADCAST_ROWS)
 
 
-def cells(rows: DataFrame, crowded: DataFrame, spread: Column, pairs: bool) -> DataFrame:
+def cells(rows: DataFrame, crowded: DataFrame, spread: Column) -> DataFrame:
     """``rows`` with ``cell``: their bucket's key, or that of a part of it if it is crowded.
 
-    A crowded bucket's rows fall into groups by ``spread``. With ``pairs`` every two groups share a cell, so all pairs of
-    rows still meet; otherwise a cell is one group.
+    A crowded bucket's rows fall into groups by ``spread``, and every two groups share a cell, so all pairs of rows meet.
     """
     own = F.pmod(spread, F.col("groups")).cast("int")
-    both = F.transform(F.sequence(F.lit(0), F.col("groups") - 1), lambda j: F.xxhash64(F.col("key"), F.least(own, j), F.greatest(own, j)))
-    many = both if pairs else F.array(F.xxhash64(F.col("key"), own))
+    parts = F.transform(F.sequence(F.lit(0), F.col("groups") - 1), lambda j: F.xxhash64(F.col("key"), F.least(own, j), F.greatest(own, j)))
     placed = rows.join(crowded, F.col("key") == F.col("k"), "left")
-    return placed.withColumn("cell", F.explode(F.when(F.col("groups").isNull(), F.array(F.col("key"))).otherwise(many))).drop("k", "groups")
+    return placed.withColumn("cell", F.explode(F.when(F.col("groups").isNull(), F.array(F.col("key"))).otherwise(parts))).drop("k", "groups")

@@ -10,16 +10,15 @@ where there are so many fingerprints that single blocks would fill the buckets.
 
 ``similar_documents``: texts whose sets of shingles have a Jaccard similarity of 0.8 or more link. Fingerprints have
 ``BITS`` bits; tables are keyed by random choices of bits, as many as find a pair at the limit with a chance of
-1 - ``MISS``; what lies within ``REACH`` bits there is compared by exact Jaccard of the whole sets. First each row meets
-the first 64 of its bucket, so that a large class costs a line of links and not its square; then all pairs of a bucket
-whose components still differ follow.
+1 - ``MISS``; fingerprints within ``REACH`` bits make classes. Inside a class the whole sets of shingles are compared, and
+all pairs of a similarity of 0.8 link.
 
 Inside a task the fingerprints of sorted buckets lie in blocks of 64 lanes, one word per bit plane. A query XORs eight
 planes at a time with its own bits and adds them by carry-save adders to counters held bit by bit, for many queries at
 once; after every eight planes the blocks in which all lanes exceed the radius are abandoned. From each bucket leave only
 edges, never all pairs.
 
-A bucket of more than ``BUCKET_ROWS`` fingerprints is dealt to several tasks: its rows fall into groups, and each pair of
+A bucket of more than ``BUCKET_ROWS`` fingerprints, or a class of more than ``CELL_SHINGLES`` shingles, is dealt to several tasks: its rows fall into groups, and each pair of
 groups is compared as a bucket of its own, so no pair is lost. At radius 2 there is a cheaper exact way: two values
 within distance 2 both lie within distance 1 of a common value, so each is linked to itself and its 64 one-bit neighbours
 as nodes, and sharing a node is the link.
@@ -42,13 +41,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import BROADCAST_ROWS, cells, components, counted_broadcast, crowds, read_table, text_or_empty, written
+from .set_join import by_cell
 
 WIDTH, RADIUS, SEED = 3, 2, 42
 BUCKET_ROWS = 4096
 #: Different fingerprints from which on buckets are keyed by two blocks of bits.
 TWO_BLOCKS_FROM = 1 << 27
-#: Similarity of shingle sets: words of a shingle, and the least similarity as a fraction, so that no rounding decides.
-SHINGLE, NUM, DEN = 5, 4, 5
+#: Words of a shingle of the sets that are compared, and shingles of a class that a task holds twice of.
+SHINGLE, CELL_SHINGLES = 5, 1_000_000
 #: Bits of their fingerprints, bits in which candidates may differ, and the chance to miss a pair at the limit, where
 #: a bit agrees with the chance ``AGREE`` (0.85 by the angle between large sets, less between small ones).
 BITS, REACH, MISS, AGREE = 256, 63, 0.004, 0.82
@@ -147,9 +147,8 @@ def near_lanes(queries: np.ndarray, blocks: np.ndarray, lanes: np.ndarray, plane
     return alive[hit], reach[hit]
 
 
-def reachable(values: np.ndarray, low: np.ndarray, high: np.ndarray, radius: int, first: bool = False) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Pairs (row, place) with low[row] <= place < high[row] and distance at most ``radius``, piece by piece; with
-    ``first`` only those of the first place of a block that reaches a row."""
+def reachable(values: np.ndarray, low: np.ndarray, high: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs (row, place) with low[row] <= place < high[row] and distance at most ``radius``, piece by piece."""
     planes = bit_planes(values)
     rows = np.flatnonzero(high > low)
     span = (high[rows] - 1) // 64 - low[rows] // 64 + 1
@@ -163,8 +162,6 @@ def reachable(values: np.ndarray, low: np.ndarray, high: np.ndarray, radius: int
         block = low[r] // 64 + k - (ends[i] - span[i])
         lanes = upto(high[r] - block * 64) & ~upto(low[r] - block * 64)
         hit, reach = near_lanes(values[r], block, lanes, planes, radius)
-        if first:
-            reach = reach & (~reach + np.uint64(1))
         for lo in range(0, len(hit), 20_000):
             which, lane = np.nonzero((reach[lo : lo + 20_000, None] & _LANE[None, :]) != 0)
             x = hit[lo : lo + 20_000][which]
@@ -179,16 +176,15 @@ def _starts(change: np.ndarray) -> np.ndarray:
 
 
 def bucket_edges(key: np.ndarray, values: np.ndarray, radius: int = RADIUS) -> tuple[np.ndarray, np.ndarray]:
-    """Edges (value, smallest value linked to it within its bucket) for rows sorted by bucket key."""
+    """Edges (row, first row linked to it within its bucket) for rows of ``values`` (rows, words) sorted by bucket key."""
     n = len(values)
-    if n < 2:
-        return values[:0], values[:0]
     parent = np.arange(n)
-    for a, b in reachable(values[:, None], _starts(key[1:] != key[:-1]), np.arange(n), radius):
-        _union(parent, a, b)
+    if n > 1:
+        for a, b in reachable(values, _starts(key[1:] != key[:-1]), np.arange(n), radius):
+            _union(parent, a, b)
     root = _roots(parent)
     moved = np.flatnonzero(root != np.arange(n))
-    return values[moved], values[root[moved]]
+    return moved, root[moved]
 
 
 def _roots(parent: np.ndarray) -> np.ndarray:
@@ -233,12 +229,13 @@ def _whole_buckets(parts: Iterator[pd.DataFrame], names: list[str]) -> Iterator[
 # ---------------------------------------------------------------- fingerprints within a radius
 
 
-def _compare(radius: int):
+def _compare(radius: int, node: str, words: list[str]):
     def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for rows in _whole_buckets(parts, ["cell", "fp"]):
-            a, b = bucket_edges(rows[:, 0], np.ascontiguousarray(rows[:, 1]).view(np.uint64), radius)
+        for rows in _whole_buckets(parts, ["cell", node, *words]):
+            values = np.ascontiguousarray(rows[:, 2:] if words != [node] else rows[:, 1:2]).view(np.uint64)
+            a, b = bucket_edges(rows[:, 0], values, radius)
             if len(a):
-                yield pd.DataFrame({"a": a.view(np.int64), "b": b.view(np.int64)})
+                yield pd.DataFrame({"a": rows[a, 1], "b": rows[b, 1]})
 
     return run
 
@@ -259,9 +256,9 @@ def fingerprint_edges(prints: DataFrame, radius: int = RADIUS, bucket_rows: int
     if radius == 2:
         compared = shared.where(F.col("n") <= bucket_rows).withColumn("cell", F.col("key"))
     else:
-        compared = cells(shared, crowds(shared, bucket_rows, bucket_rows), F.xxhash64("fp", F.lit(3)), True)
+        compared = cells(shared, crowds(shared, bucket_rows), F.xxhash64("fp", F.lit(3)))
     dealt = compared.select("cell", "fp").repartition("cell").sortWithinPartitions("cell", "fp")
-    found = dealt.mapInPandas(_compare(radius), "a long, b long")
+    found = dealt.mapInPandas(_compare(radius, "fp", ["fp"]), "a long, b long")
     if radius != 2:
         return found
     crowd = shared.where(F.col("n") > bucket_rows).select("fp").distinct()
@@ -331,7 +328,8 @@ def _printed(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
 
 def _shingled(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     for pdf in _slices(parts):
-        yield pd.DataFrame({"unit": pdf["unit"].to_numpy(), "s": [shingle_set(t).view(np.int64) for t in pdf["text"]]})
+        sets = [shingle_set(t).view(np.int64) for t in pdf["text"]]
+        yield pd.DataFrame({"unit": pdf["unit"].to_numpy(), "key": pdf["key"].to_numpy(), "s": sets})
 
 
 def table_bits(rows: int, seed: int = 7) -> list[list[int]]:
@@ -352,57 +350,21 @@ def _keys(tables: list[list[int]]) -> Column:
     return F.array(*[F.xxhash64(F.lit(t), *masked(bits)) for t, bits in enumerate(tables)])
 
 
-def _first_met(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    """Candidates (a, b, d) of each row b and the first within reach among the first 64 rows of its cell."""
-    for rows in _whole_buckets(parts, ["cell", "unit", *_WORDS]):
-        values = np.ascontiguousarray(rows[:, 2:]).view(np.uint64)
-        start = _starts(rows[1:, 0] != rows[:-1, 0])
-        for r, p in reachable(values, start, np.minimum(np.arange(len(rows)), start + 64), REACH, True):
-            d = np.bitwise_count(values[r] ^ values[p]).sum(axis=1, dtype=np.int64)
-            yield pd.DataFrame({"a": rows[p, 1], "b": rows[r, 1], "d": d})
-
-
-def _across(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    """Candidates (a, b) of different components, in rows sorted by cell and component."""
-    for rows in _whole_buckets(parts, ["cell", "component", "unit", *_WORDS]):
-        fresh = rows[1:, 0] != rows[:-1, 0]
-        values = np.ascontiguousarray(rows[:, 3:]).view(np.uint64)
-        for r, p in reachable(values, _starts(fresh), _starts(fresh | (rows[1:, 1] != rows[:-1, 1])), REACH):
-            x, y = rows[p, 2], rows[r, 2]
-            yield pd.DataFrame({"a": np.minimum(x, y), "b": np.maximum(x, y)}).drop_duplicates()
-
-
-def _verified(units: DataFrame, pairs: DataFrame) -> DataFrame:
-    """The pairs (a, b) whose texts, (unit, text), are similar by their whole shingle sets."""
-    asked = pairs.select(F.explode(F.array("a", "b")).alias("unit")).distinct()
-    texts = units.join(counted_broadcast(asked, BROADCAST_ROWS), "unit", "left_semi").select("unit", "text")
-    sets = written(texts.mapInPandas(_shingled, "unit long, s array<long>").dropDuplicates(["unit"]), "sets")
-    one = pairs.join(sets.withColumnsRenamed({"unit": "a", "s": "x"}), "a").join(sets.withColumnsRenamed({"unit": "b", "s": "y"}), "b")
-    both = one.select("a", "b", F.size("x").alias("n"), F.size("y").alias("m"), F.size(F.array_intersect("x", "y")).alias("o"))
-    return written(both.where((NUM + DEN) * F.col("o") >= NUM * (F.col("n") + F.col("m"))).select("a", "b"), "similar")
-
-
-def similar_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bucket_rows: int = BUCKET_ROWS) -> DataFrame:
+def similar_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bucket_rows: int = BUCKET_ROWS, cell_shingles: int = CELL_SHINGLES) -> DataFrame:
     """One row per document: doc_id, unit (hash of the text), component_id, group_size, by similarity of shingle sets."""
     text = text_or_empty(text_col)
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("unit"))
     words = ", ".join(f"{w} long" for w in _WORDS)
     prints = written(base.select("unit", "text").mapInPandas(_printed, f"unit long, {words}").dropDuplicates(["unit"]), "prints")
     keyed = prints.withColumn("key", F.explode(_keys(table_bits(prints.count()))))
-    crowded = crowds(keyed, bucket_rows, bucket_rows)
-    dealt = cells(keyed, crowded, F.xxhash64("unit", "key"), False).select("cell", "unit", *_WORDS)
-    met = dealt.repartition("cell").sortWithinPartitions("cell", "unit").mapInPandas(_first_met, "a long, b long, d long")
-    # of a row's first ones the smallest, which most of its class meet too, and the nearest
-    best = met.groupBy("b").agg(F.min("a").alias("x"), F.min_by("a", F.struct("d", "a")).alias("y"))
-    first = written(best.select(F.explode(F.array_distinct(F.array("x", "y"))).alias("a"), "b"), "pairs")
-    linked = _verified(base, first)
-    of = components(linked).withColumnRenamed("node", "unit")
-    placed = keyed.join(counted_broadcast(written(of, "linked"), BROADCAST_ROWS), "unit", "left").withColumn("component", F.coalesce("component", "unit"))
-    dealt = cells(placed, crowded, F.xxhash64("unit", F.lit(3)), True).select("cell", "component", "unit", *_WORDS)
-    rest = dealt.repartition("cell").sortWithinPartitions("cell", "component", "unit").mapInPandas(_across, "a long, b long").distinct()
-    tried = first.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    fresh = written(rest.join(tried, ["a", "b"], "left_anti"), "pairs")
-    return _classed(base.select("doc_id", "unit"), "unit", linked.unionByName(_verified(base, fresh)))
+    dealt = cells(keyed, crowds(keyed, bucket_rows), F.xxhash64("unit", F.lit(3))).select("cell", "unit", *_WORDS)
+    met = dealt.repartition("cell").sortWithinPartitions("cell", "unit").mapInPandas(_compare(REACH, "unit", _WORDS), "a long, b long")
+    classes = written(components(met).select(F.col("node").alias("unit"), F.col("component").alias("key")), "classes")
+    texts = base.join(counted_broadcast(classes, BROADCAST_ROWS), "unit")
+    sets = written(texts.select("unit", "key", "text").mapInPandas(_shingled, "unit long, key long, s array<long>").dropDuplicates(["unit"]), "sets")
+    dealt = cells(sets, crowds(sets, cell_shingles, F.size("s")), F.xxhash64("unit", F.lit(3))).select("cell", "unit", "s")
+    links = dealt.repartition("cell").sortWithinPartitions("cell", "unit").mapInPandas(by_cell(np.asarray, ["unit", "s"]), "a long, b long")
+    return _classed(base.select("doc_id", "unit"), "unit", links)
 
 
 def _drop(docs: DataFrame, classes: DataFrame, id_col: str, text_col: str) -> DataFrame:

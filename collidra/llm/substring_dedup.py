@@ -2,11 +2,9 @@
 
 A paragraph is a line of at least ``LEAST_WORDS`` words. Words are lower-cased, shingles have five words. Equal
 paragraphs are one unit from the first shuffle on. ``tuned`` takes the longest bands that find a pair at the least
-similarity with the chance ``RECALL`` within ``MINIMA`` minima. Units that share a band meet in a bucket; all pairs of up
-to ``BUCKET_UNITS`` are compared. In larger buckets a unit first meets the first ``LEADERS`` ones, so that a large class
-costs a line of links and not its square; then all pairs of the bucket whose components still differ follow, found by
-the rarest shingles of either, of which similar sets must share one. Buckets of more than ``CELL_UNITS`` are dealt to
-several tasks in pairs of groups. No link in a bucket is lost.
+similarity with the chance ``RECALL`` within ``MINIMA`` minima. Units that share a band meet in a bucket, where all pairs
+are compared exactly, unless links found before join them. A bucket of more than ``CELL_WORDS`` words is dealt to several
+tasks in pairs of groups. No link in a bucket is lost.
 
 A passage may also be repeated inside lines that differ around it. For that, texts are cut into short chunks before the
 words whose hash is smallest in any ``WINDOW`` words in a row; such cuts depend on the nearest words only, so a passage has
@@ -33,8 +31,9 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from .common import cells, components, crowds, read_table, written
+from .set_join import DEN, NUM, by_cell
 
-SHINGLE, SIMILARITY = 5, 0.8
+SHINGLE, SIMILARITY = 5, NUM / DEN
 
 
 def tuned(recall: float, minima: int, similarity: float = SIMILARITY) -> tuple[int, int]:
@@ -46,15 +45,15 @@ def tuned(recall: float, minima: int, similarity: float = SIMILARITY) -> tuple[i
 RECALL, MINIMA = 0.996, 24
 BANDS, ROWS = tuned(RECALL, MINIMA)
 LEAST_WORDS = 12
-#: Units of a bucket up to which all pairs are compared at once, first ones that others meet in larger ones, and units of a task.
-BUCKET_UNITS, LEADERS, CELL_UNITS = 128, 32, 2048
+#: Words of a bucket that a task holds twice of.
+CELL_WORDS = 500_000
 #: Any so many words in a row have a cut.
 WINDOW = 18
 _rng = np.random.default_rng(11)
 _MUL = _rng.integers(1, 2**63, BANDS * ROWS, dtype=np.uint64) | np.uint64(1)
 _ADD = _rng.integers(0, 2**63, BANDS * ROWS, dtype=np.uint64)
 _STEP, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
-_PART_WORDS, _KNOWN_WORDS, _PAIRS = 400_000, 500_000, 1_000_000
+_PART_WORDS, _KNOWN_WORDS = 400_000, 500_000
 
 
 class _Known(dict):
@@ -206,73 +205,8 @@ def _passages(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             yield full()
 
 
-def _similar(a: frozenset, b: frozenset) -> bool:
-    if min(len(a), len(b)) < SIMILARITY * max(len(a), len(b)):
-        return False
-    both = len(a & b)
-    return both >= SIMILARITY * (len(a) + len(b) - both)
-
-
-def _shingles(words: str) -> frozenset:
-    return frozenset(shingle_hashes(words.encode("utf-8", "surrogatepass").split(b"\x1f")))
-
-
-def _bucket_links(units: list[tuple[int, str]]) -> list[tuple[int, int]]:
-    """Links in a bucket: all, or in a large one each unit's first link to the first ones."""
-    if len(units) <= BUCKET_UNITS:
-        sets = [(u, _shingles(w)) for u, w in units]
-        return [(sets[i][0], sets[j][0]) for i in range(len(sets)) for j in range(i) if _similar(sets[i][1], sets[j][1])]
-    first, out = [], []
-    for u, w in units:
-        s = _shingles(w)
-        out += [(u, v) for v, t in first if _similar(s, t)][:1]
-        if len(first) < LEADERS:
-            first.append((u, s))
-    return out
-
-
-def _links_across(units: list[tuple[int, int, str]]) -> list[tuple[int, int]]:
-    """All links of units (component, unit, words), sorted by component, between different components.
-
-    Shingles are ordered by how rare they are here; similar sets of n and m elements share one of the first
-    n - ceil(0.8 n) + 1 of either.
-    """
-    component = np.array([c for c, _, _ in units])
-    if component[0] == component[-1]:
-        return []
-    sets = [_shingles(w) for _, _, w in units]
-    sizes = np.array([len(x) for x in sets])
-    row = np.repeat(np.arange(len(sets)), sizes)
-    _, token, count = np.unique(np.concatenate([np.fromiter(x, dtype=np.uint64, count=len(x)) for x in sets]), return_inverse=True, return_counts=True)
-    rank = np.argsort(np.argsort(count, kind="stable"), kind="stable")[token]
-    order = np.lexsort((rank, row))
-    rank, row = rank[order], row[order]
-    at = np.arange(len(row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-    keep = at < (sizes - np.ceil(SIMILARITY * sizes - 1e-9).astype(int) + 1)[row]
-    order = np.lexsort((row[keep], rank[keep]))
-    rank, row = rank[keep][order], row[keep][order]
-    fresh = rank[1:] != rank[:-1]
-    stop, follow = _ends(fresh), _ends(fresh | (component[row[1:]] != component[row[:-1]]))  # rows follow their components
-    total = np.cumsum(stop - follow)
-    out: set[tuple[int, int]] = set()
-    for lo in range(0, int(total[-1]), _PAIRS):
-        k = np.arange(lo, min(lo + _PAIRS, int(total[-1])))
-        i = np.searchsorted(total, k, "right")
-        j = stop[i] - (total[i] - k)
-        a, b = row[i], row[j]
-        fits = np.minimum(sizes[a], sizes[b]) >= SIMILARITY * np.maximum(sizes[a], sizes[b])
-        for x in np.unique(a[fits] * len(sets) + b[fits]).tolist():
-            x, y = divmod(x, len(sets))
-            if _similar(sets[x], sets[y]):
-                out.add((units[x][1], units[y][1]))
-    return sorted(out)
-
-
-def _ends(change: np.ndarray) -> np.ndarray:
-    """For each row the end of its run, where ``change`` tells of each row but the first if a run begins."""
-    starts = np.concatenate(([0], np.flatnonzero(change) + 1))
-    ends = np.concatenate((starts[1:], [len(change) + 1]))
-    return np.repeat(ends, ends - starts)
+def _shingles(words: str) -> np.ndarray:
+    return np.unique(np.array(shingle_hashes(words.encode("utf-8", "surrogatepass").split(b"\x1f")), dtype=np.uint64))
 
 
 def _meeting(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -291,29 +225,6 @@ def _meeting(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         last, sent = pdf.iloc[-1:], bool(keep[-1])
 
 
-def _by_cell(links, names: list[str]):
-    """A function over rows sorted by cell that hands each cell's rows, which a cell's size bounds, to ``links``."""
-
-    def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        cell, held, edges = None, [], []
-        for pdf in parts:
-            for c, *row in zip(pdf["cell"], *(pdf[n] for n in names), strict=True):
-                if c != cell:
-                    if len(held) > 1:
-                        edges += links(held)
-                    cell, held = c, []
-                held.append(tuple(row))
-            if edges:
-                yield pd.DataFrame(edges, columns=["a", "b"])
-                edges = []
-        if len(held) > 1:
-            edges = links(held)
-            if edges:
-                yield pd.DataFrame(edges, columns=["a", "b"])
-
-    return run
-
-
 def passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
     """The documents as (owner, no_id, th, text), and their paragraphs and chunks as a table in the shared folder.
 
@@ -333,22 +244,15 @@ def _words_of(base: DataFrame, spots: DataFrame) -> DataFrame:
     return cut.groupBy("unit").agg(F.min("words").alias("words"))
 
 
-def similar_units(base: DataFrame, units: DataFrame, bucket_units: int = BUCKET_UNITS, cell_units: int = CELL_UNITS) -> DataFrame:
+def similar_units(base: DataFrame, units: DataFrame, cell_words: int = CELL_WORDS) -> DataFrame:
     """Links (a, b) whose components are those of all similar units that share a band."""
-    rows = units.select("unit", "bands").distinct().select("unit", F.posexplode("bands").alias("band", "value")).select("unit", F.xxhash64("band", "value").alias("key"))
-    meet = written(rows.repartition("key").sortWithinPartitions("key", "unit").mapInPandas(_meeting, "unit long, key long"), "bands")
+    rows = units.select("unit", "n_words", "bands").dropDuplicates(["unit"]).select("unit", "n_words", F.posexplode("bands").alias("band", "value"))
+    rows = rows.select("unit", "n_words", F.xxhash64("band", "value").alias("key"))
+    meet = written(rows.repartition("key").sortWithinPartitions("key", "unit").mapInPandas(_meeting, "unit long, n_words int, key long"), "bands")
     spot = units.groupBy("unit").agg(F.min(F.struct("no_id", "owner", "th", "start", "chars")).alias("s")).select("unit", "s.*")
-    words = written(_words_of(base, spot.join(meet.select("unit").distinct(), "unit", "left_semi")), "words")
-    large = crowds(meet, bucket_units, cell_units)
-    lined = cells(meet.join(words, "unit"), large, F.xxhash64("unit", "key"), False).select("cell", "unit", "words")
-    near = lined.repartition("cell").sortWithinPartitions("cell", "unit").mapInPandas(_by_cell(_bucket_links, ["unit", "words"]), "a long, b long")
-    first = written(near.distinct(), "links")
-    placed = meet.join(large.withColumnRenamed("k", "key").select("key"), "key", "left_semi")
-    linked = components(first).withColumnRenamed("node", "unit")
-    placed = placed.join(linked, "unit", "left").withColumn("component", F.coalesce("component", "unit"))
-    dealt = cells(placed.join(words, "unit"), large, F.xxhash64("unit", F.lit(3)), True).select("cell", "component", "unit", "words")
-    rest = dealt.repartition("cell").sortWithinPartitions("cell", "component", "unit").mapInPandas(_by_cell(_links_across, ["component", "unit", "words"]), "a long, b long")
-    return written(first.unionByName(rest.distinct()), "links")
+    words = _words_of(base, spot.join(meet.select("unit").distinct(), "unit", "left_semi"))
+    dealt = cells(meet.join(words, "unit"), crowds(meet, cell_words, F.col("n_words")), F.xxhash64("unit", F.lit(3))).select("cell", "unit", "words")
+    return dealt.repartition("cell").sortWithinPartitions("cell", "unit").mapInPandas(by_cell(_shingles, ["unit", "words"]), "a long, b long")
 
 
 def repeated_paragraphs(base: DataFrame, found: DataFrame, across_documents: bool = True, **options) -> DataFrame:

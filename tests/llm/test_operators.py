@@ -195,7 +195,7 @@ def test_passages_equal_a_plain_join(spark, small, documents):
     for group in meet.values():
         for a in group:
             for b in group:
-                if a < b and substring_dedup._similar(shingles[a], shingles[b]):
+                if a < b and 9 * len(shingles[a] & shingles[b]) >= 4 * (len(shingles[a]) + len(shingles[b])):
                     parent[root(a)] = root(b)
     clusters = defaultdict(set)
     for d, k, u in units:
@@ -291,7 +291,7 @@ def versions(rng, groups: int, each: int) -> list[str]:
 
 
 def test_crowded_buckets_lose_no_link(spark):
-    """Crowded buckets against all pairs: the classes of one large bucket, and of the whole operator."""
+    """All pairs against the links of one task, and against the operator with buckets dealt to many tasks."""
     rng = np.random.default_rng(6)
     lines = versions(rng, 4, 150)
     sets = [frozenset(substring_dedup.shingle_hashes(x.encode().split())) for x in lines]
@@ -304,21 +304,48 @@ def test_crowded_buckets_lose_no_link(spark):
 
     for i in range(len(lines)):
         for j in range(i):
-            if substring_dedup._similar(sets[i], sets[j]):
+            if 9 * len(sets[i] & sets[j]) >= 4 * (len(sets[i]) + len(sets[j])):
                 parent[root(i)] = root(j)
     want = {frozenset(i for i in range(len(lines)) if root(i) == r) for r in map(root, range(len(lines)))}
-    units = [(0 if i % 3 else i, i, x.replace(" ", "\x1f")) for i, x in enumerate(lines)]
-    units.sort()
-    links = set(substring_dedup._links_across(units))
-    component = {u: c for c, u, _ in units}
-    brute = {(min(i, j), max(i, j)) for i in range(len(lines)) for j in range(i) if component[i] != component[j] and substring_dedup._similar(sets[i], sets[j])}
-    assert {(min(x), max(x)) for x in links} == brute and brute
-    for options in ({"bucket_units": 8, "cell_units": 40}, {}):
+    for options in ({"cell_words": 3000}, {}):
         got = defaultdict(set)
         for r in substring_dedup.repeated_passages(docs_of(spark, lines), **options).where("kind = 'line'").collect():
             got[r["cluster_id"]].add(r["doc_id"])
-        found = {frozenset(x) for x in got.values()}
-        assert {x for x in want if len(x) > 1} == found
+        assert {x for x in want if len(x) > 1} == {frozenset(x) for x in got.values()}
+
+
+@pytest.mark.parametrize("seed", range(6))
+def test_links_within_a_task_equal_all_pairs(seed):
+    from collidra.llm import set_join
+
+    rng = np.random.default_rng(seed)
+    sets = [np.zeros(0, dtype=np.uint64)] * 2 if seed == 5 else []
+    while len(sets) < 400:
+        base = rng.choice(4000 if seed % 2 else 120, int(rng.integers(1, 60)), replace=False)
+        for _ in range(int(rng.integers(1, 90))):
+            change = rng.random(len(base)) < rng.choice([0, 0.03, 0.1])
+            sets.append(np.unique(np.where(change, rng.integers(0, 4000, len(base)), base)).astype(np.uint64))
+    sets = [sets[i] for i in rng.permutation(len(sets))]
+    links = set_join.links_within(sets)
+    plain = [frozenset(s.tolist()) for s in sets]
+    similar = lambda i, j: 9 * len(plain[i] & plain[j]) >= 4 * (len(plain[i]) + len(plain[j]))
+    assert all(similar(i, j) for i, j in links) and len(links) < len(sets)
+
+    def classes(pairs):
+        parent = list(range(len(sets)))
+
+        def root(i):
+            while parent[i] != i:
+                i = parent[i]
+            return i
+
+        for i, j in pairs:
+            parent[max(root(i), root(j))] = min(root(i), root(j))
+        return [root(i) for i in range(len(sets))]
+
+    want = classes([(i, j) for i in range(len(sets)) for j in range(i) if similar(i, j)])
+    got = classes(links)
+    assert all((want[i] == want[j]) == (got[i] == got[j]) for i in range(len(sets)) for j in range(i))
 
 
 def test_bands_are_tuned_for_recall():

@@ -48,8 +48,8 @@ def test_pipeline_stage_equals_brute_force(spark, small):
     assert {r["doc_id"] for r in got} == want and len(got) == len(want)
 
 
-@pytest.mark.parametrize("bucket_rows", [4096, 20])
-def test_pairs_around_the_limit_and_crowds(spark, bucket_rows):
+@pytest.mark.parametrize("options", [{}, {"bucket_rows": 20, "cell_shingles": 600}])
+def test_pairs_around_the_limit_and_crowds(spark, options):
     rng = np.random.default_rng(3)
     say = lambda n: rng.choice([f"w{i}" for i in range(3000)], n).tolist()
     shared, texts = say(60), []
@@ -67,7 +67,7 @@ def test_pairs_around_the_limit_and_crowds(spark, bucket_rows):
     texts += [" ".join(shared + say(int(rng.integers(2, 30)))) for _ in range(60)]
     texts += ["", " \n", "one two", "One  two", "one two three"]
     texts = dict(enumerate(texts))
-    got = {r["doc_id"]: r["component_id"] for r in simhash.similar_documents(docs_of(spark, list(texts.values())), bucket_rows=bucket_rows).collect()}
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar_documents(docs_of(spark, list(texts.values())), **options).collect()}
     want = plain_classes(texts)
     assert sum(got[d] == want[d] for d in texts) >= len(texts) - 1 and 20 < len(set(want.values())) < len(texts) - 50
     assert all(got[d] >= want[d] for d in texts)  # nothing joins that should not
