@@ -17,25 +17,47 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from collidra.llm import bpe, exact_dedup, mixing, simhash, toxicity
-from collidra.llm.common import made, read_table, remove_made, written
+from collidra.llm.common import read_table, remove, tables_made, written
 
 
+_spent: list[str] = []
+
+
+def stage(make):
+    """A stage that first removes the tables which the one before left: its result has been written and read again."""
+
+    def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        remove(spark, _spent)
+        _spent.clear()
+        before = len(tables_made())
+        out = make(spark, docs, sf_dir)
+        _spent.extend(tables_made()[before:])
+        return out
+
+    return run_stage
+
+
+@stage
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return toxicity.drop_toxic(docs, toxicity.fit_documents(docs, read_table(spark, sf_dir, "labels")))
 
 
+@stage
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return exact_dedup.drop_duplicates(docs)
 
 
+@stage
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return simhash.drop_similar(docs)
 
 
+@stage
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return mixing.repeat_rows(docs)
 
 
+@stage
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return bpe.digest_documents(docs)
 
@@ -54,10 +76,8 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = read_table(spark, sf_dir, "documents")
-    for name, stage in STAGES:
-        before = made()
-        rows = stage(spark, rows, sf_dir)
+    for name, apply in STAGES:
+        rows = apply(spark, rows, sf_dir)
         if name != STAGES[-1][0]:
             rows = written(rows, f"stage-{name}")
-            remove_made(spark, before, 1)  # what the stage wrote on its way; its result stays
     return rows
