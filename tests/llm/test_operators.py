@@ -652,12 +652,31 @@ def test_exact_dedup_equals_sql(spark, small, duck):
 
 def test_directory_splits_overfull_buckets(spark):
     docs = docs_of(spark, [f"text {i % 900}" for i in range(1000)])
-    index = exact_dedup.build_index(docs, bucket_entries=40)
+    cells, index = exact_dedup.build_index(docs, bucket_entries=40)
     sizes = [r["count"] for r in index.groupBy("bucket").count().collect()]
     assert len(sizes) > 900 / 40 and max(sizes) <= 40 and sum(sizes) == 900
+    assert cells.select("bucket").distinct().count() == len(sizes)
     assert exact_dedup.find_duplicates(docs, bucket_entries=40).where("kept").count() == 900
 
 
+@pytest.mark.parametrize("key_bits", [1, 6, 64])
+def test_chains_tell_colliding_texts_apart(spark, duck, key_bits):
+    """With few bits all keys collide; only the bytes differ. A hot group is among the texts."""
+    texts = [None, "", "", "a", "A", "a "] + [f"text {i % 37}" for i in range(150)] + ["hot"] * 200
+    got = {r["doc_id"]: (r["keep_id"], r["group_size"], r["kept"], r["text_sha256"]) for r in exact_dedup.find_duplicates(docs_of(spark, texts), key_bits=key_bits).collect()}
+    plain = [t or "" for t in texts]
+    last, count = {t: i for i, t in enumerate(plain)}, Counter(plain)
+    assert got == {i: (last[t], count[t], last[t] == i, hashlib.sha256(t.encode()).hexdigest()) for i, t in enumerate(plain)}
+    assert sorted(r["doc_id"] for r in exact_dedup.drop_duplicates(docs_of(spark, texts), key_bits=key_bits).collect()) == sorted(last.values())
+
+
+def test_texts_alone_with_their_key_do_not_move(spark):
+    """No exchange of the plan holds a text but that of the chains."""
+    docs = docs_of(spark, [f"text {i % 90}" for i in range(100)])
+    plan = exact_dedup.drop_duplicates(docs)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning(bucket") == 1 and "Python" not in plan and "Pandas" not in plan
+
+
 def test_bpe_equals_the_library(spark, small, documents):
     from tokenizers import Tokenizer
 
