@@ -1,21 +1,25 @@
 """Document fingerprints that tell which paragraphs differ: invertible Bloom lookup sketches; DataFrame operations only.
 
-A text is cut into paragraphs of a size class that grows with the text, so that any text has about ten of them; a
-paragraph ends at the last end of a line or sentence in its room, if there is one. Each different paragraph is
-a 64-bit digest. A sketch has cells in three parts; a digest goes to one cell of each, where it adds to a count, an
-XOR of digests and an XOR of check sums. The cells of two versions subtract; what they share cancels, and peeling takes
-digests out of cells that hold exactly one until none is left. If cells remain, both texts are sketched again with more
-cells: after the fingerprint's own size in proportion to all paragraphs, then four times that; texts that are not
-versions of each other start there. Should even the
-last fail (cells that share all of their places, far less than one in a million), the digest sets are compared.
+A paragraph is what stands between the ends of lines and sentences, without the blanks around it, so that the same
+sentences give the same paragraphs however they are set and however long the text is. Only one beyond ``MOST_CHARS`` is cut
+into pieces of that size. Each different paragraph is a 64-bit digest.
 
-Likeness is 1 - differing / all digests of both. Texts of different size classes are compared in the coarser one.
+A sketch has cells in three parts; a digest goes to one cell of each, where it adds to a count, an XOR of digests and an
+XOR of check sums. The cells of two versions subtract; what they share cancels, and peeling takes digests out of cells
+that hold exactly one until none is left. A fingerprint is the sketch of ``CELLS`` cells and the number of paragraphs. Two
+texts are first compared by their fingerprints; if cells remain, there were more differences than these hold, and both
+are sketched again with more cells, up to twelve fold. For that, digests fall into groups of about ``GROUP`` by their
+value, and each group has a sketch of its own, so the work stays linear in the text; a group whose peeling gets stuck is
+sketched once more, larger and with other hashes.
+
+Likeness is 1 - differing / all digests of both.
 
 All of a document's work is done in its row, so the only shuffle is the one that brings each text beside the next.
 
 Defined results: a null text counts as empty; an empty text has no paragraphs, and two empty texts are alike (1.0); rows
 that repeat an id follow each other in the order of their texts' hashes; null ids come last; a single row is followed
-by itself; an empty table gives an empty result; other columns are ignored.
+by itself; digests that stay stuck through all sizes (less than one in 10**12) count as differing; an empty table gives
+an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -26,25 +30,21 @@ from pyspark.sql import Window as W
 
 from .common import read_table, shuffle_partitions, text_or_empty
 
-#: Cells of a fingerprint, a multiple of 3, and rounds of peeling.
-CELLS, ROUNDS = 24, 14
+#: Cells of a fingerprint, a multiple of 3, and most rounds of peeling.
+CELLS, ROUNDS = 24, 24
 #: Ranges of ids per shuffle partition when texts are brought beside their successors.
 RANGES_PER_PARTITION = 4
-#: A paragraph has at most a power of two of code points: the largest that has this many paragraphs in the text.
-PARAGRAPHS = 6
+#: Most characters of a paragraph, digests of both texts in a group, and cells per digest, try by try.
+MOST_CHARS, GROUP, GROWTH = 4096, 96, (1.5, 3, 6, 12)
 _CELL = "struct(0L AS n, 0L AS k, 0L AS x)"
 _CHECK = "(xxhash64({0}, 7) & 4294967295L)"
 
 
-def size_class(n_chars: str) -> str:
-    return f"greatest(4, cast(floor(log2(greatest({n_chars}, 1) / {PARAGRAPHS})) AS int))"
-
-
-def digests(text: str, klass: str) -> str:
-    """SQL for the different paragraph digests of a text in a size class."""
-    most = f"shiftleft(1, {klass})"
-    pattern = f"concat('(?s).{{1,', {most} - 2, '}}(?:\\n|[.!?] )|.{{1,', {most}, '}}')"
-    return f"array_distinct(transform(regexp_extract_all({text}, {pattern}, 0), p -> xxhash64(p)))"
+def digests(text: str) -> str:
+    """SQL for the different paragraph digests of a text."""
+    parts = f"filter(transform(split({text}, '[\\\\r\\\\n]+|(?<=[.!?])[ \\\\t]+'), p -> trim(p)), p -> p <> '')"
+    pieces = f"flatten(transform({parts}, p -> IF(char_length(p) <= {MOST_CHARS}, array(p), regexp_extract_all(p, '(?s).{{1,{MOST_CHARS}}}', 0))))"
+    return f"array_distinct(transform({pieces}, p -> xxhash64(p)))"
 
 
 def sketch(items: str, cells: str, seed: int) -> str:
@@ -64,7 +64,7 @@ def subtract(a: str, b: str) -> str:
 
 
 def peel(cells: str, seed: int) -> str:
-    """SQL for the number of digests that subtracted cells hold, null if peeling gets stuck."""
+    """SQL for the digests that subtracted cells hold, null if peeling gets stuck."""
     places = ", ".join(f"cast(pmod(xxhash64(q.k, {seed + j}), s.part) AS int) + {j} * s.part AS p{j}" for j in range(3))
     pure = f"array_distinct(filter(s.cells, q -> (q.n = 1L OR q.n = -1L) AND {_CHECK.format('q.k')} = q.x))"
     taken = f"transform({pure}, q -> struct(q.n AS n, q.k AS k, q.x AS x, {places}))"
@@ -72,45 +72,44 @@ def peel(cells: str, seed: int) -> str:
     without = (
         f"transform(s.cells, (c, at) -> aggregate(filter(t, i -> {hit}), c, (u, i) -> struct(u.n - i.n AS n, u.k ^ i.k AS k, u.x ^ i.x AS x)))"
     )
-    step = f"transform(array({taken}), t -> IF(size(t) = 0, s, struct({without} AS cells, s.part AS part, s.found + size(t) AS found)))[0]"
-    start = f"struct({cells} AS cells, cast(size({cells}) / 3 AS int) AS part, 0 AS found)"
+    step = f"transform(array({taken}), t -> IF(size(t) = 0, s, struct({without} AS cells, s.part AS part, concat(s.found, t.k) AS found)))[0]"
+    start = f"struct({cells} AS cells, cast(size({cells}) / 3 AS int) AS part, cast(array() AS array<bigint>) AS found)"
     end = "IF(exists(z.cells, c -> c.n <> 0L OR c.k <> 0L OR c.x <> 0L), NULL, z.found)"
     return f"aggregate(sequence(1, {ROUNDS}), {start}, (s, r) -> {step}, z -> {end})"
 
 
+def _attempt(a: str, b: str, cells: str, seed: int) -> str:
+    return f"transform(array({subtract(sketch(a, cells, seed), sketch(b, cells, seed))}), w -> {peel('w', seed)})[0]"
+
+
 def differing(a: str, b: str, sketch_a: str | None = None, sketch_b: str | None = None) -> str:
-    """SQL for the number of digests in only one of two arrays, by sketches that grow while peeling fails.
+    """SQL for the digests in only one of two arrays, by sketches that grow while peeling fails.
 
     Given the sketches of two fingerprints, these are tried first.
     """
-
-    def attempt(cells: str, seed: int, x: str | None = None, y: str | None = None) -> str:
-        diff = subtract(x or sketch(a, cells, seed), y or sketch(b, cells, seed))
-        return f"transform(array({diff}), w -> {peel('w', seed)})[0]"
-
-    whole = f"(size({a}) + size({b}))"
-    sizes = [f"(9 + 3 * cast(ceil({whole} * {f} / 3) AS int))" for f in (1.5, 6)]
-    tries = [attempt(str(CELLS), 1, sketch_a, sketch_b)] if sketch_a else []
-    tries += [attempt(m, 101 + 100 * i) for i, m in enumerate(sizes)]
-    exact = f"size(array_except({a}, {b})) + size(array_except({b}, {a}))"
-    return f"coalesce({', '.join(tries)}, {exact})"
+    whole = "(size(r.a) + size(r.b))"
+    tries = [_attempt("r.a", "r.b", f"(9 + 3 * cast(ceil({whole} * {f} / 3) AS int))", 101 + 100 * i) for i, f in enumerate(GROWTH)]
+    group = f"transform(array(struct(filter({a}, d -> pmod(d, m) = g) AS a, filter({b}, d -> pmod(d, m) = g) AS b)), r -> coalesce({', '.join(tries)}, concat(r.a, r.b)))[0]"
+    groups = f"flatten(transform(array(1 + cast((size({a}) + size({b})) / {GROUP} AS int)), m -> flatten(transform(sequence(0, m - 1), g -> {group}))))"
+    if not sketch_a:
+        return groups
+    return f"coalesce(transform(array({subtract(sketch_a, sketch_b)}), w -> {peel('w', 1)})[0], {groups})"
 
 
 def likeness(a: str, b: str, difference: str) -> str:
-    return f"IF(size({a}) + size({b}) = 0, 1.0D, 1.0D - {difference} / cast(size({a}) + size({b}) AS double))"
+    return f"IF(size({a}) + size({b}) = 0, 1.0D, 1.0D - size({difference}) / cast(size({a}) + size({b}) AS double))"
 
 
-def as_string(klass: str, items: str, cells: str) -> str:
-    cell = "concat(lpad(hex(c.n), 2, '0'), lpad(hex(c.k), 16, '0'), lpad(hex(c.x), 8, '0'))"
-    return f"lower(concat({klass}, ':', size({items}), ':', array_join(transform({cells}, c -> {cell}), '')))"
+def as_string(items: str, cells: str) -> str:
+    """SQL for a fingerprint: the number of paragraphs and the cells' counts, digests and check sums in hex."""
+    return f"lower(concat(size({items}), ':', array_join(transform({cells}, c -> concat(hex(c.n), '.', hex(c.k), '.', hex(c.x))), ',')))"
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_chars, fingerprint) of each row; needs no shuffle."""
     df = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("body"))
-    df = df.withColumn("n_chars", F.char_length("body").cast("long")).withColumn("ka", F.expr(size_class("n_chars")))
-    df = df.withColumn("a", F.expr(digests("body", "ka"))).withColumn("sa", F.expr(sketch("a", str(CELLS), 1)))
-    return df.select("doc_id", "n_chars", F.expr(as_string("ka", "a", "sa")).alias("fingerprint"))
+    df = df.withColumn("n_chars", F.char_length("body").cast("long")).withColumn("a", F.expr(digests("body")))
+    return df.withColumn("sa", F.expr(sketch("a", str(CELLS), 1))).select("doc_id", "n_chars", F.expr(as_string("a", "sa")).alias("fingerprint"))
 
 
 # ---------------------------------------------------------------- texts beside the next one
@@ -161,22 +160,14 @@ def compare_with_edit_and_next(docs: DataFrame, id_col: str = "doc_id", text_col
     df = df.withColumn("cut", F.floor(F.col("n_chars") / 3).cast("int"))
     df = df.withColumn("edited", F.expr("concat(substring(body, 1, cast(n_chars AS int) - cut), substring(next_body, 1, cut))"))
     df = df.select(
-        "doc_id", "n_chars", "body", "edited", "next_body", F.sha2("edited", 256).alias("edited_sha256"), F.expr(size_class("n_chars")).alias("ka"),
-        F.expr(size_class("char_length(edited)")).alias("ke"), F.expr(size_class("char_length(next_body)")).alias("kn"),
-    )
-    df = df.withColumn("a", F.expr(digests("body", "ka"))).withColumn("e", F.expr(digests("edited", "ke")))
-    df = df.select(
-        "doc_id", "n_chars", "edited_sha256", "ka", "ke", "kn", "a", "e",
-        F.expr(f"IF(ka >= ke, a, {digests('body', 'ke')})").alias("a_e"),
-        F.expr(f"IF(ke >= ka, e, {digests('edited', 'ka')})").alias("e_a"),
-        F.expr(f"IF(ka >= kn, a, {digests('body', 'kn')})").alias("a_n"), F.expr(digests("next_body", "greatest(ka, kn)")).alias("n_a"),
+        "doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), F.expr(digests("body")).alias("a"), F.expr(digests("edited")).alias("e"), F.expr(digests("next_body")).alias("n"),
     )
-    df = df.withColumn("sa", F.expr(sketch("a", str(CELLS), 1))).withColumn("se", F.expr(sketch("e", str(CELLS), 1)))
-    df = df.withColumn("d_e", F.expr(differing("a_e", "e_a", f"IF(ka >= ke, sa, {sketch('a_e', str(CELLS), 1)})", f"IF(ke >= ka, se, {sketch('e_a', str(CELLS), 1)})")))
-    df = df.withColumn("d_n", F.expr(differing("a_n", "n_a")))
+    for items in "aen":
+        df = df.withColumn(f"s{items}", F.expr(sketch(items, str(CELLS), 1)))
+    df = df.withColumn("d_e", F.expr(differing("a", "e", "sa", "se"))).withColumn("d_n", F.expr(differing("a", "n", "sa", "sn")))
     return df.select(
-        "doc_id", "n_chars", "edited_sha256", F.expr(as_string("ka", "a", "sa")).alias("fingerprint"), F.expr(as_string("ke", "e", "se")).alias("edited_fingerprint"),
-        F.expr(likeness("a_e", "e_a", "d_e")).alias("near_edited"), F.expr(likeness("a_n", "n_a", "d_n")).alias("near_next"),
+        "doc_id", "n_chars", "edited_sha256", F.expr(as_string("a", "sa")).alias("fingerprint"), F.expr(as_string("e", "se")).alias("edited_fingerprint"),
+        F.expr(likeness("a", "e", "d_e")).alias("near_edited"), F.expr(likeness("a", "n", "d_n")).alias("near_next"),
     )
 
 

@@ -115,18 +115,51 @@ def test_sketch_follows_the_edit_rule(spark, small, documents):
     assert all(len(v) == 1 for v in by_text.values())
 
 
-@pytest.mark.parametrize("shared", [0, 3, 40])
-def test_peeling_counts_the_difference(spark, shared):
+def plain_digests(text):
+    return {p.strip(" ") for p in re.split(r"[\r\n]+|(?<=[.!?])[ \t]+", text) if p.strip(" ")}
+
+
+def test_likeness_equals_sets_of_paragraphs(spark, small, documents):
+    got = {r["doc_id"]: r for r in registry.QUERIES["op1_paragraph_sketch"](spark, small).collect()}
+    order = sorted(documents, key=lambda r: -r[0])
+    like = lambda a, b: 1 - len(a ^ b) / (len(a) + len(b)) if a or b else 1.0
+    for i, (doc, text, *_) in enumerate(order):
+        follow = order[(i + 1) % len(order)][1]
+        edited = text[: len(text) - len(text) // 3] + follow[: len(text) // 3]
+        sets = [plain_digests(t) for t in (text, edited, follow)]
+        if max(len(p) for s in sets for p in s | {""}) <= paragraph_sketch.MOST_CHARS:
+            assert got[doc]["near_edited"] == pytest.approx(like(sets[0], sets[1])) and got[doc]["near_next"] == pytest.approx(like(sets[0], sets[2]))
+            assert got[doc]["fingerprint"].startswith(f"{len(sets[0])}:")
+
+
+def test_paragraphs_do_not_depend_on_how_they_are_set(spark):
+    say = [f"Sentence number {i} says something." for i in range(60)]
+    other = [*say[:7], "Another one.", *say[8:]]
+    rows = [(3, " ".join(say)), (2, "\r\n".join(say)), (1, "  \n\n".join(other)), (0, " ".join(other * 500))]
+    got = {r["doc_id"]: r["near_next"] for r in paragraph_sketch.compare_with_edit_and_next(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got[3] == 1 and got[2] == pytest.approx(1 - 2 / 120) and got[1] == 1
+
+
+def test_long_texts_are_compared_in_linear_time(spark):
+    text = lambda n, k: " ".join(f"Sentence {i} of {k if i % 3 == 0 else 'all'}." for i in range(n))
+    rows = [(1, text(9000, "one")), (0, text(9000, "two")), (-1, "no end of a sentence " * 5000)]
+    got = {r["doc_id"]: r["near_next"] for r in paragraph_sketch.compare_with_edit_and_next(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got[1] == pytest.approx(2 / 3, abs=1e-3) and got[0] == 0
+
+
+@pytest.mark.parametrize("shared", [0, 3, 40, 900])
+def test_peeling_recovers_the_difference(spark, shared):
     rng = np.random.default_rng(shared)
     rows = []
     for k in range(60):
         base = rng.integers(-(2**62), 2**62, shared + 30).tolist()
         cut = int(rng.integers(0, 15))
-        rows.append((k, base[: shared + cut], base[:shared] + base[shared + 15 : shared + 15 + cut], 2 * cut))
-    df = spark.createDataFrame(rows, "k long, a array<long>, b array<long>, want int")
+        a, b = base[: shared + cut], base[:shared] + base[shared + 15 : shared + 15 + cut]
+        rows.append((k, a, b, sorted(set(a) ^ set(b))))
+    df = spark.createDataFrame(rows, "k long, a array<long>, b array<long>, want array<long>")
     small_first = paragraph_sketch.differing("a", "b", paragraph_sketch.sketch("a", "24", 1), paragraph_sketch.sketch("b", "24", 1))
     got = df.select("want", F.expr(small_first).alias("d"), F.expr(paragraph_sketch.differing("a", "b")).alias("e"))
-    assert all(r["d"] == r["want"] == r["e"] for r in got.collect())
+    assert all(sorted(r["d"]) == r["want"] == sorted(r["e"]) for r in got.collect())
 
 
 # ---------------------------------------------------------------- 2 and 8 classifiers
