@@ -8,7 +8,7 @@ A sketch has cells in three parts; a digest goes to one cell of each, where it a
 XOR of check sums. The cells of two versions subtract; what they share cancels, and peeling takes digests out of cells
 that hold exactly one until none is left. A fingerprint is the sketch of ``CELLS`` cells and the number of paragraphs. Two
 texts are first compared by their fingerprints; if cells remain, there were more differences than these hold, and both
-are sketched again with more cells, up to twelve fold. For that, digests fall into groups of about ``GROUP`` by their
+are sketched again with more cells, up to sixteen for each digest. For that, digests fall into groups of about ``GROUP`` by their
 value, and each group has a sketch of its own, so the work stays linear in the text; a group whose peeling gets stuck is
 sketched once more, larger and with other hashes.
 
@@ -35,7 +35,7 @@ CELLS, ROUNDS = 24, 24
 #: Ranges of ids per shuffle partition when texts are brought beside their successors.
 RANGES_PER_PARTITION = 4
 #: Most characters of a paragraph, digests of both texts in a group, and cells per digest, try by try.
-MOST_CHARS, GROUP, GROWTH = 4096, 96, (1.5, 3, 6, 12)
+MOST_CHARS, GROUP, GROWTH = 4096, 24, (2, 4, 8, 16)
 _CELL = "struct(0L AS n, 0L AS k, 0L AS x)"
 _CHECK = "(xxhash64({0}, 7) & 4294967295L)"
 
@@ -47,16 +47,23 @@ def digests(text: str) -> str:
     return f"array_distinct(transform({pieces}, p -> xxhash64(p)))"
 
 
+def _summed(placed: str, part: str) -> str:
+    """SQL for the cells, part by part, of an array of struct<n,k,x,p0,p1,p2>."""
+    return "concat(" + ", ".join(
+        f"transform(sequence(0, {part} - 1), c -> aggregate(filter({placed}, i -> i.p{j} = c), {_CELL}, (a, i) -> struct(a.n + i.n AS n, a.k ^ i.k AS k, a.x ^ i.x AS x)))"
+        for j in range(3)
+    ) + ")"
+
+
+def _placed(digest: str, sign: str, part: str, seed: int) -> str:
+    places = ", ".join(f"cast(pmod(xxhash64({digest}, {seed + j}), {part}) AS int) AS p{j}" for j in range(3))
+    return f"struct({sign} AS n, {digest} AS k, {_CHECK.format(digest)} AS x, {places})"
+
+
 def sketch(items: str, cells: str, seed: int) -> str:
     """SQL for the cells, array<struct<n,k,x>>, of an array of digests; ``cells`` is a multiple of 3."""
     part = f"cast({cells} / 3 AS int)"
-    place = ", ".join(f"cast(pmod(xxhash64(d, {seed + j}), {part}) AS int) AS p{j}" for j in range(3))
-    placed = f"transform({items}, d -> struct(d, {_CHECK.format('d')} AS x, {place}))"
-    parts = ", ".join(
-        f"transform(sequence(0, {part} - 1), c -> aggregate(filter(its, i -> i.p{j} = c), {_CELL}, (a, i) -> struct(a.n + 1L AS n, a.k ^ i.d AS k, a.x ^ i.x AS x)))"
-        for j in range(3)
-    )
-    return f"transform(array({placed}), its -> concat({parts}))[0]"
+    return f"transform(array(transform({items}, d -> {_placed('d', '1L', part, seed)})), its -> {_summed('its', part)})[0]"
 
 
 def subtract(a: str, b: str) -> str:
@@ -64,15 +71,14 @@ def subtract(a: str, b: str) -> str:
 
 
 def peel(cells: str, seed: int) -> str:
-    """SQL for the digests that subtracted cells hold, null if peeling gets stuck."""
-    places = ", ".join(f"cast(pmod(xxhash64(q.k, {seed + j}), s.part) AS int) + {j} * s.part AS p{j}" for j in range(3))
-    pure = f"array_distinct(filter(s.cells, q -> (q.n = 1L OR q.n = -1L) AND {_CHECK.format('q.k')} = q.x))"
-    taken = f"transform({pure}, q -> struct(q.n AS n, q.k AS k, q.x AS x, {places}))"
-    hit = "IF(at < s.part, i.p0, IF(at < 2 * s.part, i.p1, i.p2)) = at"
-    without = (
-        f"transform(s.cells, (c, at) -> aggregate(filter(t, i -> {hit}), c, (u, i) -> struct(u.n - i.n AS n, u.k ^ i.k AS k, u.x ^ i.x AS x)))"
-    )
-    step = f"transform(array({taken}), t -> IF(size(t) = 0, s, struct({without} AS cells, s.part AS part, concat(s.found, t.k) AS found)))[0]"
+    """SQL for the digests that subtracted cells hold, null if peeling gets stuck.
+
+    A round takes the digests that are alone in a cell, by the sign of their count, and subtracts a sketch of them.
+    """
+    pure = "array_distinct(transform(filter(s.cells, q -> q.n = {0} AND {1} = q.x), q -> q.k))"
+    signed = [f"transform({pure.format(n, _CHECK.format('q.k'))}, e -> {_placed('e', n, 's.part', seed)})" for n in ("1L", "-1L")]
+    rest = f"struct({subtract('s.cells', _summed('t', 's.part'))} AS cells, s.part AS part, concat(s.found, t.k) AS found)"
+    step = f"IF(s.part < 0, s, transform(array(concat({signed[0]}, {signed[1]})), t -> IF(size(t) = 0, struct(s.cells AS cells, -1 AS part, s.found AS found), {rest}))[0])"
     start = f"struct({cells} AS cells, cast(size({cells}) / 3 AS int) AS part, cast(array() AS array<bigint>) AS found)"
     end = "IF(exists(z.cells, c -> c.n <> 0L OR c.k <> 0L OR c.x <> 0L), NULL, z.found)"
     return f"aggregate(sequence(1, {ROUNDS}), {start}, (s, r) -> {step}, z -> {end})"
