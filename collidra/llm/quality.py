@@ -2,11 +2,11 @@
 
 A filter reads ``WIDTH`` bytes; as its input is one byte per place, it is a table of one weight per place and byte value.
 The responses over a whole text are maxima over blocks, and two neighbouring blocks make a chunk, so chunks overlap by
-half and cover the text to its last byte. What is left after a ramp at zero is averaged over the chunks, and a logistic
-unit turns the averages into the probability of label 1. Only the places of the maxima carry gradients, so learning is
+half and cover the text to its last byte. What is left after a ramp at zero is pooled over the chunks of the whole text,
+as their maximum and as their mean, and a logistic unit combines these into the probability of label 1. Only the places of the maxima carry gradients, so learning is
 a few additions per chunk and filter.
 
-Defined results: a null or empty text has no chunk and gets the score of an all-zero average; a text shorter than a
+Defined results: a null or empty text has no chunk and gets the score of all-zero pools; a text shorter than a
 filter is padded with zero bytes; without labelled rows of both classes every score is the share of label 1 (0.5
 without any); texts are read whole, in parts of bounded size.
 """
@@ -30,7 +30,6 @@ THRESHOLD = 0.5
 WIDTH, FILTERS, BLOCK = 5, 12, 256
 #: Rows of each class that the filters are learned from; epochs over them; step of the optimiser.
 ROWS_PER_CLASS, EPOCHS, RATE, BATCH = 1500, 5, 0.02, 16
-SHORT_BYTES = (32.0, 128.0, 512.0)
 _PART_BLOCKS = 1024
 
 
@@ -53,20 +52,17 @@ def _chunks(blocks: np.ndarray) -> np.ndarray:
 
 
 def features(table: np.ndarray, text: str | None) -> np.ndarray:
-    """Average over the chunks of a whole text of what each filter found, and how short the text is.
-
-    Fewer places give smaller maxima, which the last three features make up for.
-    """
+    """Mean and maximum over the chunks of a whole text of what each filter found."""
     a = _bytes(text)
-    short = np.exp(-len(a) / np.array(SHORT_BYTES)).astype(np.float32)
     if not len(a):
-        return np.concatenate((np.zeros(table.shape[2], dtype=np.float32), short))
+        return np.zeros(2 * table.shape[2], dtype=np.float32)
     places = len(a) - WIDTH + 1
     step, found = BLOCK * _PART_BLOCKS, []
     for lo in range(0, places, step):
         r = _responses(table, a[lo : min(lo + step, places) + WIDTH - 1])
         found.append(np.maximum.reduceat(r, np.arange(0, len(r), BLOCK), axis=0))
-    return np.concatenate((np.maximum(_chunks(np.concatenate(found)), 0).mean(axis=0), short))
+    chunks = np.maximum(_chunks(np.concatenate(found)), 0)
+    return np.concatenate((chunks.mean(axis=0), chunks.max(axis=0)))
 
 
 def _traced(table: np.ndarray, a: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
