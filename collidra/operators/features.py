@@ -2,15 +2,57 @@
 
 from __future__ import annotations
 
+import hashlib
+from collections.abc import Callable, Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions.portable import P, feature_id, linear, parameters
 
+#: Tokens whose numbers a task remembers at a time.
+_KNOWN_TOKENS = 1_000_000
+
+
+class _Known(dict):
+    """28-bit numbers of tokens, as ``feature_id`` gives them; a token is hashed once per task and not once per row."""
+
+    def __missing__(self, token: str) -> int:
+        if len(self) >= _KNOWN_TOKENS:
+            self.clear()
+        self[token] = number = int(hashlib.md5(token.encode("utf-8", "surrogatepass")).hexdigest()[:7], 16)
+        return number
+
+
+def _numbered(df: DataFrame, item: str, value: Column, tokens_of: Callable) -> DataFrame:
+    """Sets of the numbers of the tokens that ``tokens_of`` finds in each value, in Arrow batches."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = _Known()
+        for batch in batches:
+            for lo in range(0, batch.num_rows, 512):
+                part = batch.slice(lo, 512)
+                found = []
+                for v in part.column(1).to_pylist():
+                    ids = {known[t] for t in tokens_of(v) if t} if v else set()
+                    found.append(np.sort(np.fromiter(ids, dtype=np.int64, count=len(ids))))
+                ends = np.concatenate(([0], np.cumsum([len(f) for f in found]))).astype(np.int32)
+                lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(found) if found else np.zeros(0, dtype=np.int64)))
+                yield pa.RecordBatch.from_arrays([part.column(0), lists], names=["item_id", "features"])
+
+    return df.select(F.col(item).cast("long").alias("item_id"), value.alias("value")).mapInArrow(run, "item_id long, features array<long>")
+
 
 def as_sets(df: DataFrame, item: str, tokens: Column, mode: str = "md5_28") -> DataFrame:
-    """Tokens of each row as a set of feature ids; empty and null tokens fall out."""
+    """Tokens of each row as a set of feature ids; empty and null tokens fall out.
+
+    ``md5_28`` needs a digest and a conversion per token, so numbers are remembered by Arrow tasks; ``xx64`` stays in the JVM.
+    """
+    if mode == "md5_28":
+        return _numbered(df, item, tokens, lambda v: v)
     ids = F.transform(F.filter(F.array_distinct(tokens), lambda t: t.isNotNull() & (t != "")), lambda t: feature_id(t, mode))
     return df.select(F.col(item).cast("long").alias("item_id"), F.sort_array(F.array_distinct(F.coalesce(ids, F.array().cast("array<long>")))).alias("features"))
 
@@ -24,6 +66,8 @@ def token_set(df: DataFrame, item: str, text: str, mode: str = "md5_28") -> Data
 
 
 def char_ngrams(df: DataFrame, item: str, text: str, n: int = 3, mode: str = "md5_28") -> DataFrame:
+    if mode == "md5_28":
+        return _numbered(df, item, F.lower(F.col(text)), lambda v: {v[i : i + n] for i in range(len(v) - n + 1)})
     chars = F.filter(F.split(F.lower(F.col(text)), ""), lambda c: c != "")
     # bound by a lambda, so that the array is made once per row and not once per place
     cut = lambda cs: F.transform(F.sequence(F.lit(0), F.size(cs) - n), lambda i: F.concat(*[F.get(cs, i + j) for j in range(n)]))
@@ -97,14 +141,14 @@ def binarize_top(df: DataFrame, item: str, vector: str, top: int = 16) -> DataFr
 
 
 def asymmetric_pad(sets: DataFrame, side: str, max_size: int) -> DataFrame:
-    """Data sets are filled to ``max_size`` with features that all share; queries stay as they are.
+    """Data sets are filled to ``max_size`` (larger ones stay) with features that all share; queries stay as they are.
 
     Collisions of a query q and an item x then follow a / (max_size + |q| - a), which rises with the inner product a.
     """
     if side == "query":
         return sets
     dummies = F.transform(F.sequence(F.lit(0), F.lit(max_size)), lambda i: F.lit(P).cast("long") + i)
-    return sets.select("item_id", F.concat("features", F.slice(dummies, 1, F.lit(max_size) - F.size("features"))).alias("features"))
+    return sets.select("item_id", F.concat("features", F.slice(dummies, 1, F.greatest(F.lit(max_size) - F.size("features"), F.lit(0)))).alias("features"))
 
 
 def profile(sets: DataFrame) -> DataFrame:

@@ -9,6 +9,7 @@ from dataclasses import asdict, dataclass, replace
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources import stored
 from . import hashing, query, reservoir
 
 
@@ -32,6 +33,10 @@ class IndexParams:
         corpus into random samples."""
         return replace(self, bits=max(8, min(30, math.ceil(math.log2(max(2, n / bucket))))))
 
+    def grown(self, n: int) -> IndexParams:
+        """These parameters with as many address bits as ``n`` items need, and no fewer than they have."""
+        return replace(self, bits=max(self.bits, self.auto(n).bits))
+
     def model_bytes(self, id_bytes: int = 4, pointer_bytes: int = 4, counter_bytes: int = 4) -> int:
         """Bytes of the dense layout: slots, one counter per reservoir, and pointers if reservoirs are shared."""
         slots = self.tables * (1 << self.bits)
@@ -54,7 +59,7 @@ class Index:
     def probe(self, addr: DataFrame, small: bool = False) -> DataFrame:
         return query.probe(addr, self.reservoirs, self.pointers, small)
 
-    def knn(self, queries: DataFrame, k: int, exclude_self: bool = False, strategy: str = "hash", small: bool = True) -> DataFrame:
+    def knn(self, queries: DataFrame, k: int, exclude_self: bool = False, strategy: str = "segment", small: bool = True) -> DataFrame:
         """Top k of each query set; the queries need not be in the index."""
         return query.count_select(self.probe(addresses(queries, self.params), small), k, strategy, exclude_self)
 
@@ -104,13 +109,14 @@ def build_index(sets: DataFrame, p: IndexParams = IndexParams()) -> Index:
     return index_of(addresses(sets, p), p)
 
 
-def knn_graph(sets: DataFrame, p: IndexParams = IndexParams(), k: int = 100, strategy: str = "hash", batches: int = 1, batch: int | None = None) -> DataFrame:
+def knn_graph(sets: DataFrame, p: IndexParams = IndexParams(), k: int = 100, strategy: str = "segment", batches: int = 1, batch: int | None = None) -> DataFrame:
     """The k-nearest-neighbour graph of all items by collision counts; no similarity is computed.
 
     With ``batches``, only queries with id mod batches == batch, or all, batch by batch: a restartable unit that bounds
-    the shuffle of candidates.
+    the shuffle of candidates. Addresses are stored, as counting, sampling and probing each read them: features and
+    signatures are computed once.
     """
-    addr = addresses(sets, p)
+    addr = stored(addresses(sets, p))
     index = index_of(addr, p)
     parts = [addr] if batches == 1 else [addr.where(F.pmod("item_id", F.lit(batches)) == b) for b in (range(batches) if batch is None else [batch])]
     out = None

@@ -21,6 +21,22 @@ def recall_at(graph: DataFrame, gold: DataFrame, ks: tuple = (1, 10, 20, 100)) -
     )
 
 
+def best_recall_at(graph: DataFrame, best: DataFrame, sets: DataFrame, queries: DataFrame, ks: tuple = (1, 10, 100)) -> DataFrame:
+    """(k, recall, similarity, n_queries): share of queries that get an item as near as any, and mean similarity, in the first k.
+
+    ``best`` has the largest similarity of each query; all items tied for it count, however many there are.
+    """
+    x = queries.select(F.col("item_id").alias("query_id"), F.col("features").alias("x"))
+    y = sets.select(F.col("item_id").alias("neighbor_id"), F.col("features").alias("y"))
+    near = graph.join(x, "query_id").join(y, "neighbor_id").select("query_id", "rank", F.round(cosine_binary(F.col("x"), F.col("y")), 6).alias("s"))
+    each = best.select("query_id", "similarity").join(near, "query_id", "left").withColumn("k", F.explode(F.array(*[F.lit(k) for k in ks])))
+    inside = F.col("rank") <= F.col("k")
+    per = each.groupBy("k", "query_id").agg(
+        F.max(F.coalesce((inside & (F.col("s") >= F.col("similarity"))).cast("int"), F.lit(0))).alias("hit"), F.sum(F.when(inside, F.col("s"))).alias("total"), F.count(F.when(inside, 1)).alias("n"),
+    )
+    return per.groupBy("k").agg(F.round(F.avg("hit"), 6).alias("recall"), F.round(F.sum("total") / F.sum("n"), 6).alias("similarity"), F.count("*").alias("n_queries"))
+
+
 def similarity_at(graph: DataFrame, sets: DataFrame, queries: DataFrame, ks: tuple = (1, 10, 100), pad: bool = False) -> DataFrame:
     """(k, similarity, returned): mean binary cosine of what is returned in the first k, and how many are.
 
@@ -56,6 +72,21 @@ def bucket_skew(addr: DataFrame, r: int) -> DataFrame:
     )
 
 
+def bucket_quantiles(addr: DataFrame, bits: int) -> DataFrame:
+    """(table_id, median, p90, p99, empty): sizes of the buckets in use, and the share of addresses that none uses."""
+    b = addr.groupBy("table_id", "address").agg(F.count("*").alias("n"))
+    at = {"median": 0.5, "p90": 0.9, "p99": 0.99}
+    return b.groupBy("table_id").agg(*[F.percentile("n", F.lit(q)).alias(name) for name, q in at.items()], F.round(1 - F.count("*") / F.lit(float(1 << bits)), 6).alias("empty"))
+
+
+def sharing_clashes(addr: DataFrame, pointers: DataFrame, r: int) -> DataFrame:
+    """One row: reservoirs in use, those of one truncated bucket, those that several share, and most of them in one."""
+    b = addr.groupBy("table_id", "address").agg(F.count("*").alias("n"))
+    heavy = pointers.join(b, ["table_id", "address"]).groupBy("reservoir_id").agg(F.sum((F.col("n") > r).cast("long")).alias("heavy"))
+    of = lambda c: F.coalesce(F.sum(c.cast("long")), F.lit(0)).cast("long")
+    return heavy.agg(F.count("*").alias("reservoirs"), of(F.col("heavy") == 1).alias("one_heavy"), of(F.col("heavy") > 1).alias("clashes"), F.coalesce(F.max("heavy"), F.lit(0)).alias("most"))
+
+
 def gini(addr: DataFrame) -> DataFrame:
     """(table_id, gini): inequality of bucket sizes, from a histogram of sizes, so no table of buckets is ordered in one task."""
     from pyspark.sql import Window as W
@@ -122,7 +153,7 @@ def speedup_at(curves: DataFrame, levels: tuple = (0.5, 0.6, 0.7)) -> DataFrame:
     """(method, level, seconds) interpolated on (method, recall, seconds) curves, for speed-ups at equal recall."""
     from pyspark.sql import Window as W
 
-    w = W.partitionBy("method").orderBy("recall")
+    w = W.partitionBy("method").orderBy("recall", "seconds")
     seg = curves.withColumn("r0", F.lag("recall").over(w)).withColumn("s0", F.lag("seconds").over(w))
     at = seg.withColumn("level", F.explode(F.array(*[F.lit(x) for x in levels]))).where("r0 <= level AND level <= recall AND recall > r0")
     return at.select("method", "level", (F.col("s0") + (F.col("seconds") - F.col("s0")) * (F.col("level") - F.col("r0")) / (F.col("recall") - F.col("r0"))).alias("seconds"))

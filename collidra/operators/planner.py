@@ -86,9 +86,15 @@ def projection_collision(cosine: float) -> float:
     return 1 - math.acos(max(-1.0, min(1.0, cosine))) / math.pi
 
 
-def projection_bits(address_bits: int) -> int:
-    """One-bit hashes needed per address; minwise fills it with very few values."""
-    return address_bits
+def values_needed(address_bits: int, signed: bool, dims: int) -> int:
+    """Hash values that fill an address: one bit each from signed projections, log2(dims) bits each from minima."""
+    return address_bits if signed else max(1, math.ceil(address_bits / math.log2(dims)))
+
+
+def ranking_variance(jaccard: float, address_bits: int, tables: int, signed: bool, dims: int) -> float:
+    """Relative variance of count / tables at a Jaccard similarity of two sets of equal size, for addresses filled either way."""
+    p = projection_collision(2 * jaccard / (1 + jaccard)) if signed else jaccard
+    return count_moments(p, values_needed(address_bits, signed, dims), tables)["relative_variance"]
 
 
 def dense_work(n: int, nnz: float) -> float:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
@@ -40,24 +40,17 @@ def count_select(probes: DataFrame, k: int, strategy: str = "hash", exclude_self
     """(query_id, neighbor_id, rank, collisions): most collisions first, ties by id.
 
     hash counts in aggregation tables; segment gathers a query's bag of at most tables * r ids into one row and counts
-    it there; boundary sorts the bags and takes differences of run ends. All give the same rows.
+    the bags of a batch in one sort; boundary sorts the bags and takes differences of run ends. All give the same rows.
     """
     if strategy == "segment":
         bags = probes.groupBy("query_id").agg(F.flatten(F.collect_list("members")).alias("bag"))
 
-        def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            for pdf in parts:
-                out = []
-                for q, bag in zip(pdf["query_id"], pdf["bag"], strict=True):
-                    ids, n = np.unique(np.asarray(bag, dtype=np.int64), return_counts=True)
-                    if exclude_self:
-                        n, ids = n[ids != q], ids[ids != q]
-                    top = np.lexsort((ids, -n))[:k]
-                    out.append(pd.DataFrame({"query_id": q, "neighbor_id": ids[top], "rank": np.arange(1, len(top) + 1), "collisions": n[top]}))
-                if out:
-                    yield pd.concat(out)
-
-        return bags.mapInPandas(run, "query_id long, neighbor_id long, rank int, collisions long")
+        def run(parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in parts:
+                for lo in range(0, batch.num_rows, 2048):
+                    yield _counted_bags(batch.slice(lo, 2048), k, exclude_self)
+
+        return bags.mapInArrow(run, "query_id long, neighbor_id long, rank int, collisions long")
     met = probes.select("query_id", F.explode("members").alias("neighbor_id"))
     if exclude_self:
         met = met.where("neighbor_id <> query_id")
@@ -72,6 +65,28 @@ def count_select(probes: DataFrame, k: int, strategy: str = "hash", exclude_self
     return _ranked(ends.withColumn("collisions", (F.col("pos") - before).cast("long")), k)
 
 
+def _counted_bags(batch: pa.RecordBatch, k: int, exclude_self: bool) -> pa.RecordBatch:
+    """The top k of each bag of a batch: runs of equal (query, id) in one sorted array, ranked by another."""
+    lists = batch.column(1)
+    ids, ends = lists.flatten().to_numpy(zero_copy_only=False).astype(np.int64), np.asarray(lists.offsets)
+    queries = batch.column(0).to_numpy(zero_copy_only=False)
+    row = np.repeat(np.arange(batch.num_rows), np.diff(ends))
+    if exclude_self:
+        other = ids != queries[row]
+        ids, row = ids[other], row[other]
+    order = np.lexsort((ids, row))
+    ids, row = ids[order], row[order]
+    first = np.flatnonzero(np.concatenate(([True], (ids[1:] != ids[:-1]) | (row[1:] != row[:-1])))) if len(ids) else np.zeros(0, dtype=np.int64)
+    n = np.diff(np.concatenate((first, [len(ids)]))) if len(ids) else first
+    ids, row = ids[first], row[first]
+    order = np.lexsort((ids, -n, row))
+    ids, row, n = ids[order], row[order], n[order]
+    rank = np.arange(len(row)) - np.searchsorted(row, row) + 1
+    top = rank <= k
+    columns = [queries[row[top]].astype(np.int64), ids[top], rank[top].astype(np.int32), n[top].astype(np.int64)]
+    return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["query_id", "neighbor_id", "rank", "collisions"])
+
+
 def weighted_select(probes: DataFrame, k: int, r: int) -> DataFrame:
     """As count_select, but a hit in a truncated bucket counts for all the items it stands for: max(1, seen / r)."""
     met = probes.select("query_id", F.greatest(F.lit(1.0), F.col("seen") / F.lit(float(r))).alias("w"), F.explode("members").alias("neighbor_id"))

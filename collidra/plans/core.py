@@ -33,6 +33,10 @@ def add(name: str, oracle: str | None = None):
     return keep
 
 
+def graph(s, d, name: str, p: IndexParams, k: int, *args, **options) -> DataFrame:
+    return index.knn_graph(getattr(w, name)(s, d), w.sized(s, d, name, p), k, *args, **options)
+
+
 def _long(sets: DataFrame) -> DataFrame:
     return features.long_form(sets)
 
@@ -68,7 +72,9 @@ add("dataset_profile", sql.query(sql.feats("docs_words"), f"SELECT n, dims, nnz_
 
 # ---------------------------------------------------------------- similarity and gold
 
-_QS = sql.sampled("(SELECT DISTINCT item_id FROM feats)", 50)
+#: Searches ask for every item whose id is divisible by 100, against all.
+ASKED = "item_id % 100 = 0"
+_QS = f"SELECT item_id FROM feats WHERE {ASKED}"
 
 
 @add("jaccard_pairs", sql.query([*sql.feats("bench_words", "q"), *sql.feats("docs_words", "d"), ("o", "SELECT q.item_id AS query_id, d.item_id AS neighbor_id, count(*) AS a FROM qfeats q JOIN dfeats d USING (f) GROUP BY 1, 2")], "SELECT query_id, neighbor_id, round(a / (x.n + y.n - a)::DOUBLE, 6) AS jaccard FROM o JOIN (SELECT item_id, count(*) AS n FROM qfeats GROUP BY 1) x ON x.item_id = query_id JOIN (SELECT item_id, count(*) AS n FROM dfeats GROUP BY 1) y ON y.item_id = neighbor_id WHERE a / (x.n + y.n - a)::DOUBLE > 0.02"))
@@ -80,22 +86,17 @@ def jaccard_pairs(s, d):
 
 
 _GOLD_DOCS = [*sql.feats("docs_words"), *sql.gold(TOP, queries=_QS)]
-add("exact_inverted_topk", sql.query(_GOLD_DOCS, "SELECT * FROM gold"))(lambda s, d: _gold(w.docs_words(s, d), 50, TOP))
-add("cosine_exact_topk", sql.query(_GOLD_DOCS, "SELECT * FROM gold"))(lambda s, d: exact.brute_force(exact.gold_queries(features.drop_empty(w.docs_words(s, d)), 50), w.docs_words(s, d), TOP))
+add("exact_inverted_topk", sql.query(_GOLD_DOCS, "SELECT * FROM gold"))(lambda s, d: exact.exact_inverted(w.docs_words(s, d).where(ASKED), w.docs_words(s, d), TOP))
+add("cosine_exact_topk", sql.query(_GOLD_DOCS, "SELECT * FROM gold"))(lambda s, d: exact.brute_force(w.docs_words(s, d).where(ASKED), w.docs_words(s, d), TOP))
 add("jaccard_exact_topk", sql.query([*sql.feats("docs_words"), *sql.gold(TOP, queries=_QS, score=sql.JACCARD)], "SELECT * FROM gold"))(
-    lambda s, d: exact.exact_inverted(exact.gold_queries(features.drop_empty(w.docs_words(s, d)), 50), w.docs_words(s, d), TOP, "jaccard")
+    lambda s, d: exact.exact_inverted(w.docs_words(s, d).where(ASKED), w.docs_words(s, d), TOP, "jaccard")
 )
 add("gold_gap", sql.query([*sql.feats("pages_url"), *sql.gold(TOP)], "SELECT round(avg(a), 6) AS best, round(avg(b), 6) AS second, round(avg(a - b), 6) AS gap FROM (SELECT query_id, max(similarity) FILTER (rank = 1) AS a, max(similarity) FILTER (rank = 2) AS b FROM gold GROUP BY 1)"))(
     lambda s, d: metrics.gold_gap(exact.exact_inverted(w.pages_url(s, d), w.pages_url(s, d), TOP))
 )
-_VEC = "SELECT q.vec_id AS query_id, d.vec_id AS neighbor_id, round({}, 6) AS similarity FROM embeddings q, embeddings d WHERE q.vec_id <> d.vec_id AND q.vec_id % 20 = 0"
-add("flat_dense_topk", sql.ranked(_VEC.format("list_cosine_similarity(q.embedding::DOUBLE[], d.embedding::DOUBLE[])"), TOP, "similarity"))(lambda s, d: exact.flat_dense(w.vectors(s, d).where("item_id % 20 = 0"), w.vectors(s, d), TOP))
-add("inner_product_topk", sql.ranked(_VEC.format("list_inner_product(q.embedding::DOUBLE[], d.embedding::DOUBLE[])"), TOP, "similarity"))(lambda s, d: exact.flat_dense(w.vectors(s, d).where("item_id % 20 = 0"), w.vectors(s, d), TOP, "inner"))
-
-
-def _gold(sets: DataFrame, n: int, k: int) -> DataFrame:
-    sets = features.drop_empty(sets)
-    return exact.exact_inverted(exact.gold_queries(sets, n), sets, k)
+_VEC = "SELECT q.vec_id AS query_id, d.vec_id AS neighbor_id, round({}, 6) AS similarity FROM embeddings q, embeddings d WHERE q.vec_id <> d.vec_id AND q.vec_id % 100 = 0"
+add("flat_dense_topk", sql.ranked(_VEC.format("list_cosine_similarity(q.embedding::DOUBLE[], d.embedding::DOUBLE[])"), TOP, "similarity"))(lambda s, d: exact.flat_dense(w.vectors(s, d).where(ASKED), w.vectors(s, d), TOP))
+add("inner_product_topk", sql.ranked(_VEC.format("list_inner_product(q.embedding::DOUBLE[], d.embedding::DOUBLE[])"), TOP, "similarity"))(lambda s, d: exact.flat_dense(w.vectors(s, d).where(ASKED), w.vectors(s, d), TOP, "inner"))
 
 
 # ---------------------------------------------------------------- hashing
@@ -117,7 +118,7 @@ add("doph_native", ORACLES["doph_probe"])(lambda s, d: _places(hashing.doph(w.pa
 add("doph_asymmetric", sql.query([("base", sql.FEATURES["part_cat"]), ("feats", f"SELECT * FROM base UNION ALL SELECT item_id, {P} + i FROM (SELECT item_id, unnest(range(8 - n)) AS i FROM (SELECT item_id, count(*) AS n FROM base GROUP BY 1))"), *sql.bins(32), *sql.densified(32)], "SELECT item_id, i, v FROM sig"))(
     lambda s, d: _places(hashing.doph(features.asymmetric_pad(w.part_cat(s, d), "data", 8), 2, 16))
 )
-add("addresses", sql.query(sql.addresses(BASE, features="docs_words"), "SELECT item_id, table_id, address FROM addr"))(lambda s, d: index.addresses(w.docs_words(s, d), BASE))
+add("addresses", sql.query(sql.addresses(BASE, features="docs_words"), "SELECT item_id, table_id, address FROM addr"))(lambda s, d: index.addresses(w.docs_words(s, d), w.sized(s, d, "docs_words", BASE)))
 add("jaccard_estimate", sql.query([*sql.addresses(BASE, features="docs_words")], "SELECT x.item_id AS a, y.item_id AS b, round(avg((x.v = y.v)::INT), 6) AS estimate FROM sig x JOIN sig y ON y.i = x.i AND y.item_id = x.item_id + 1 GROUP BY 1, 2"))(
     lambda s, d: _estimates(hashing.doph(w.docs_words(s, d), 2, 16))
 )
@@ -132,13 +133,12 @@ _sp = parameters(3001, 16)
 add("sparse_projection", sql.query(sql.feats("docs_words"), "SELECT item_id, k AS i, round(sum(CASE ((f * a + b) % {0} // 65536) % 6 WHEN 0 THEN 1 WHEN 1 THEN -1 ELSE 0 END)::DOUBLE * {1}::DOUBLE, 6) AS v FROM feats, (VALUES {2}) c(k, a, b) GROUP BY 1, 2".format(P, 3.0**0.5, ", ".join(f"({k}, {_sp[2 * k]}, {_sp[2 * k + 1]})" for k in range(8)))))(
     lambda s, d: hashing.sparse_projection(w.docs_words(s, d), 8).select("item_id", F.posexplode("vector").alias("i", "v")).withColumn("v", F.round("v", 6))
 )
-add("hadamard_projection")(lambda s, d: hashing.hadamard_projection(w.vectors(s, d), "item_id", "vector", 16))
 
 # ---------------------------------------------------------------- reservoirs and index
 
 _addr = sql.addresses(BASE, features="docs_words")
 add("bucket_skew", sql.query(_addr, "SELECT table_id, count(*) AS buckets, max(n) AS max_bucket, round(avg(n), 6) AS mean_bucket, round(avg((n > 16)::INT), 6) AS truncated_share, sum(n)::BIGINT AS items FROM (SELECT table_id, address, count(*) AS n FROM addr GROUP BY 1, 2) GROUP BY 1"))(
-    lambda s, d: metrics.bucket_skew(index.addresses(w.docs_words(s, d), BASE), BASE.r)
+    lambda s, d: metrics.bucket_skew(index.addresses(w.docs_words(s, d), w.sized(s, d, "docs_words", BASE)), BASE.r)
 )
 HEAVY = replace(BASE, k=1, r=8, bits=8)
 _heavy = sql.addresses(HEAVY, features="docs_words")
@@ -154,14 +154,14 @@ for _sharing in ("global", "pooled"):
     add(f"sharing_load_{_sharing}", sql.query([*_heavy, *sql.pointers(_p)], "SELECT sum(n)::BIGINT AS addresses, count(*) AS reservoirs, round(avg(n), 6) AS mean_load, max(n) AS max_load FROM (SELECT reservoir_id, count(*) AS n FROM ptr GROUP BY 1)"))(
         lambda s, d, p=_p: metrics.sharing_load(index.build_index(w.docs_words(s, d), p).pointers)
     )
-add("index_size", sql.query([*_heavy, *sql.reservoirs(HEAVY)], f"SELECT count(*) AS buckets, sum(n)::BIGINT AS stored_ids, sum((seen > {HEAVY.r})::INT)::BIGINT AS truncated, (sum(n) * 8 + count(*) * 24)::BIGINT AS stored_bytes, {HEAVY.model_bytes()}::BIGINT AS model_bytes FROM (SELECT table_id, address, seen, count(*) AS n FROM res GROUP BY 1, 2, 3)"))(
+add("index_size", sql.query([*_heavy, *sql.reservoirs(HEAVY)], f"SELECT count(*) AS buckets, sum(n)::BIGINT AS stored_ids, sum((seen > {HEAVY.r})::INT)::BIGINT AS truncated, (sum(n) * 8 + count(*) * 24)::BIGINT AS stored_bytes, ({HEAVY.tables} * (1::BIGINT << {HEAVY.bits}) * ({HEAVY.r} * 4 + 4))::BIGINT AS model_bytes FROM (SELECT table_id, address, seen, count(*) AS n FROM res GROUP BY 1, 2, 3)"))(
     lambda s, d: index.build_index(w.docs_words(s, d), HEAVY).size()
 )
 add("index_append", ORACLES["reservoir_priority"])(
     lambda s, d: _members(index.build_index(w.docs_words(s, d).where("item_id % 3 <> 0"), HEAVY).append(w.docs_words(s, d).where("item_id % 3 = 0")).reservoirs, "table_id", "address")
 )
 add("candidate_lengths", sql.query(sql.index(BASE, features="docs_words"), "SELECT round(avg(n), 6) AS mean_candidates, max(n) AS max_candidates FROM (SELECT query_id, count(*) AS n FROM met GROUP BY 1)"))(
-    lambda s, d: metrics.candidate_lengths(_probes(w.docs_words(s, d), BASE))
+    lambda s, d: metrics.candidate_lengths(_probes(w.docs_words(s, d), w.sized(s, d, "docs_words", BASE)))
 )
 
 
@@ -174,67 +174,42 @@ def _probes(sets: DataFrame, p: IndexParams) -> DataFrame:
 
 _GRAPH = sql.query(sql.graph(BASE, TOP, features="docs_words"), "SELECT * FROM graph")
 for _strategy in ("hash", "segment", "boundary"):
-    add(f"knn_graph_{_strategy}", _GRAPH)(lambda s, d, strategy=_strategy: index.knn_graph(w.docs_words(s, d), BASE, TOP, strategy))
-add("knn_graph_batched", _GRAPH)(lambda s, d: index.knn_graph(w.docs_words(s, d), BASE, TOP, batches=3))
-add("candidate_union", sql.query(sql.index(BASE, features="pages_url"), "SELECT DISTINCT query_id, neighbor_id FROM met"))(lambda s, d: query.candidate_union(_probes(w.pages_url(s, d), BASE)))
+    add(f"knn_graph_{_strategy}", _GRAPH)(lambda s, d, strategy=_strategy: graph(s, d, "docs_words", BASE, TOP, strategy))
+add("knn_graph_batched", _GRAPH)(lambda s, d: graph(s, d, "docs_words", BASE, TOP, batches=3))
+add("candidate_union", sql.query(sql.index(BASE, features="pages_url"), "SELECT DISTINCT query_id, neighbor_id FROM met"))(lambda s, d: query.candidate_union(_probes(w.pages_url(s, d), w.sized(s, d, "pages_url", BASE))))
 add("knn_query_benchmark", sql.query([*sql.addresses(BASE, features="docs_words"), *sql.reservoirs(BASE), *sql.addresses(BASE, "q", "bench_words"), ("g", sql.ranked("SELECT a.item_id AS query_id, s.item_id AS neighbor_id, count(*) AS collisions FROM qaddr a JOIN res s USING (table_id, address) GROUP BY 1, 2", 5))], "SELECT * FROM g"))(
-    lambda s, d: index.build_index(w.docs_words(s, d), BASE).knn(w.bench_words(s, d), 5)
+    lambda s, d: index.build_index(w.docs_words(s, d), w.sized(s, d, "docs_words", BASE)).knn(w.bench_words(s, d), 5)
 )
 add("near_neighbors", sql.query(sql.index(BASE, features="docs_words"), "SELECT query_id, neighbor_id, count(*) AS collisions FROM met WHERE query_id <> neighbor_id GROUP BY 1, 2 HAVING count(*) >= 4"))(
-    lambda s, d: query.near_neighbors(_probes(w.docs_words(s, d), BASE), 4)
+    lambda s, d: query.near_neighbors(_probes(w.docs_words(s, d), w.sized(s, d, "docs_words", BASE)), 4)
 )
 add("knn_weighted", sql.query([*sql.index(HEAVY, features="docs_words"), ("g", sql.ranked(f"SELECT query_id, neighbor_id, round(sum(greatest(1.0::DOUBLE, seen / {HEAVY.r}.0::DOUBLE)), 6) AS weight FROM met WHERE query_id <> neighbor_id GROUP BY 1, 2", TOP, "weight"))], "SELECT * FROM g"))(
     lambda s, d: query.weighted_select(_probes(w.docs_words(s, d), HEAVY), TOP, HEAVY.r)
 )
 _da, _db, _dc, _dd = parameters(501, 4)
 add("adaptive_sample", sql.query([*sql.index(BASE, features="docs_words"), ("bk", "SELECT query_id, list(m ORDER BY table_id) AS buckets FROM (SELECT query_id, table_id, list(neighbor_id ORDER BY neighbor_id) AS m FROM met GROUP BY 1, 2) GROUP BY 1"), ("dr", f"SELECT query_id, draw, buckets, ((query_id % {P}) * 31 + draw * 1009) % {P} AS x FROM bk, range(3) r(draw)"), ("pk", f"SELECT query_id, draw, x, buckets[(x * {_da} + {_db}) % {P} % len(buckets) + 1] AS m FROM dr")], f"SELECT query_id, draw, m[(x * {_dc} + {_dd}) % {P} % len(m) + 1] AS neighbor_id FROM pk"))(
-    lambda s, d: query.adaptive_sample(_probes(w.docs_words(s, d), BASE), 3)
+    lambda s, d: query.adaptive_sample(_probes(w.docs_words(s, d), w.sized(s, d, "docs_words", BASE)), 3)
 )
 add("knn_reranked", sql.query([*sql.graph(BASE, TOP, features="docs_words"), *sql.overlaps(), ("g", sql.ranked(f"SELECT query_id, neighbor_id, coalesce({sql.COSINE}, 0) AS similarity FROM graph LEFT JOIN over USING (query_id, neighbor_id)", 3, "similarity"))], "SELECT * FROM g"))(
-    lambda s, d: query.rerank(index.knn_graph(w.docs_words(s, d), BASE, TOP), w.docs_words(s, d), 3)
+    lambda s, d: query.rerank(graph(s, d, "docs_words", BASE, TOP), w.docs_words(s, d), 3)
 )
 
 # ---------------------------------------------------------------- baselines
 
 add("vanilla_lsh", sql.query([*sql.addresses(BASE, features="docs_words"), ("light", "SELECT table_id, address FROM addr GROUP BY 1, 2 HAVING count(*) BETWEEN 2 AND 200"), ("pairs", "SELECT DISTINCT x.item_id AS query_id, y.item_id AS neighbor_id FROM addr x JOIN light USING (table_id, address) JOIN addr y USING (table_id, address) WHERE x.item_id <> y.item_id"), *sql.overlaps(), ("g", sql.ranked(f"SELECT query_id, neighbor_id, coalesce({sql.COSINE}, 0) AS similarity FROM pairs LEFT JOIN over USING (query_id, neighbor_id)", TOP, "similarity"))], "SELECT * FROM g"))(
-    lambda s, d: baselines.vanilla_lsh(w.docs_words(s, d), BASE, TOP, 200)
+    lambda s, d: baselines.vanilla_lsh(w.docs_words(s, d), w.sized(s, d, "docs_words", BASE), TOP, 200)
 )
 
 
 def _counted_sql(sig: tuple[str, str], p: IndexParams) -> str:
-    return sql.query([*sql.feats("docs_words"), sig, *sql.fold(p.k, "sig", p.bits, p.seed), *sql.reservoirs(p), ("met", "SELECT a.item_id AS query_id, s.item_id AS neighbor_id FROM addr a JOIN res s USING (table_id, address)"), ("g", sql.ranked("SELECT query_id, neighbor_id, count(*) AS collisions FROM met WHERE query_id <> neighbor_id GROUP BY 1, 2", TOP))], "SELECT * FROM g")
+    return sql.query([*sql.feats("docs_words"), sig, *sql.fold(p.k, "sig", sql.room(p, "docs_words"), p.seed), *sql.reservoirs(p), ("met", "SELECT a.item_id AS query_id, s.item_id AS neighbor_id FROM addr a JOIN res s USING (table_id, address)"), ("g", sql.ranked("SELECT query_id, neighbor_id, count(*) AS collisions FROM met WHERE query_id <> neighbor_id GROUP BY 1, 2", TOP))], "SELECT * FROM g")
 
 
-add("minwise_lsh", _counted_sql(_MINWISE, BASE))(lambda s, d: baselines.minwise_lsh(w.docs_words(s, d), BASE, TOP))
+add("minwise_lsh", _counted_sql(_MINWISE, BASE))(lambda s, d: baselines.minwise_lsh(w.docs_words(s, d), w.sized(s, d, "docs_words", BASE), TOP))
 SIGNS = replace(BASE, k=8, tables=8)
 _sg = parameters(2001, 128)
 _SIGNED = ("sig", "SELECT item_id, k::BIGINT AS i, (sum(1 - 2 * (((f * a + b) % {} // 65536) % 2)) >= 0)::BIGINT AS v FROM feats, (VALUES {}) c(k, a, b) GROUP BY 1, 2".format(P, ", ".join(f"({k}, {_sg[2 * k]}::BIGINT, {_sg[2 * k + 1]}::BIGINT)" for k in range(64))))
-add("signed_projection_lsh", _counted_sql(_SIGNED, SIGNS))(lambda s, d: baselines.signed_lsh(w.docs_words(s, d), SIGNS, TOP))
-add("project_then_knn")(lambda s, d: baselines.project_then_knn(w.pages_url(s, d), exact.gold_queries(w.pages_url(s, d), 50), 32, TOP))
-add("hsw_graph")(lambda s, d: baselines.small_world_graph(w.pages_url(s, d), exact.gold_queries(w.pages_url(s, d), 100), TOP))
-add("flat_small_world")(lambda s, d: baselines.small_world_graph(w.pages_url(s, d), exact.gold_queries(w.pages_url(s, d), 100), TOP, layers=1))
-add("kd_partition_knn")(lambda s, d: baselines.kd_partition_knn(w.vectors(s, d), w.vectors(s, d).where("item_id % 20 = 0"), TOP))
-add("mllib_minhash")(lambda s, d: baselines.ml_minhash(w.pages_url(s, d), 1 << 18, 8, TOP))
-add("heavy_entries_projection")(lambda s, d: baselines.heavy_entries_projection(exact.gold_queries(w.cust_parts(s, d), 200), 128, 20, 0.1))
-
-
-@add("pq_search")
-def pq_search(s, d):
-    v = w.vectors(s, d)
-    books = baselines.pq_train(v, 8, 32)
-    return baselines.pq_search(baselines.pq_encode(v, books), v.where("item_id % 20 = 0"), books, TOP)
-
-
-@add("pq_sampled_dense")
-def pq_sampled_dense(s, d):
-    """Quantization needs dense rows: features are sampled, empty rows dropped, then the flat mode and the codes compete."""
-    sets = features.sample_features(w.docs_char3(s, d), 64)
-    dims = [r["feature"] for r in _long(sets).select("feature").distinct().orderBy("feature").limit(64).collect()]
-    v = features.to_dense(sets, dims)
-    books = baselines.pq_train(v, 8, 16)
-    return baselines.pq_search(baselines.pq_encode(v, books), v.where("item_id % 20 = 0"), books, TOP)
-
-
+add("signed_projection_lsh", _counted_sql(_SIGNED, SIGNS))(lambda s, d: baselines.signed_lsh(w.docs_words(s, d), w.sized(s, d, "docs_words", SIGNS), TOP))
 # ---------------------------------------------------------------- measures and sweeps
 
 KS = (1, 10, 20, 100)
@@ -242,21 +217,21 @@ KS = (1, 10, 20, 100)
 
 def _url_recall(p: IndexParams, s, d) -> DataFrame:
     sets = w.pages_url(s, d)
-    return metrics.recall_at(index.knn_graph(sets, p, 100), exact.exact_inverted(sets, sets, 100), KS)
+    return metrics.recall_at(index.knn_graph(sets, w.sized(s, d, "pages_url", p), 100), exact.exact_inverted(sets, sets, 100), KS)
 
 
 _URL_GOLD = [*sql.feats("pages_url", "t"), *sql.gold(100, "t")]
 add("recall_at_k", sql.query([*sql.graph(URLS, 100, features="pages_url"), *_URL_GOLD], sql.recall(KS, "graph", "tgold")))(lambda s, d: _url_recall(URLS, s, d))
 add("similarity_at_k", sql.query([*sql.graph(URLS, 100, features="pages_url"), *sql.overlaps(), ("n", "SELECT count(DISTINCT item_id) AS n FROM feats")], "SELECT k, round(avg(coalesce(a / sqrt(x::DOUBLE * y), 0)), 6) AS similarity, round(count(*) / (SELECT n FROM n), 6) AS returned FROM graph LEFT JOIN over USING (query_id, neighbor_id), (VALUES (1), (10), (100)) v(k) WHERE rank <= k GROUP BY k"))(
-    lambda s, d: metrics.similarity_at(index.knn_graph(w.pages_url(s, d), URLS, 100), w.pages_url(s, d), w.pages_url(s, d))
+    lambda s, d: metrics.similarity_at(graph(s, d, "pages_url", URLS, 100), w.pages_url(s, d), w.pages_url(s, d))
 )
 add("threshold_recall", sql.query([*sql.graph(BASE, 20, features="docs_words"), *sql.overlaps()], f"SELECT sum(n)::BIGINT AS pairs, sum(h)::BIGINT AS found, round(sum(h) / sum(n), 6) AS recall, round(sum(h) / sum(least(n, 20)), 6) AS capped_recall FROM (SELECT query_id, count(*) AS n, count(rank) AS h FROM over LEFT JOIN graph USING (query_id, neighbor_id) WHERE {sql.COSINE} > 0.65 GROUP BY 1)"))(
-    lambda s, d: metrics.threshold_recall(index.knn_graph(w.docs_words(s, d), BASE, 20), _over(w.docs_words(s, d)), 0.65, 20)
+    lambda s, d: metrics.threshold_recall(graph(s, d, "docs_words", BASE, 20), _over(w.docs_words(s, d)), 0.65, 20)
 )
 
 
 def _over(sets: DataFrame) -> DataFrame:
-    pairs = exact.overlap_pairs(sets, sets)
+    pairs = exact.pairs_above(sets, 0.65)
     return pairs.select("query_id", "neighbor_id", F.round(F.col("a") / F.sqrt(F.col("x").cast("double") * F.col("y")), 6).alias("similarity"))
 
 
@@ -276,33 +251,33 @@ def _sweep(grid: list[tuple[str, IndexParams]]):
 
 
 for _name, _grid in (
-    ("sweep_kl", [(f"K={k} L={t}", replace(URLS, k=k, tables=t)) for k in (1, 2, 4) for t in (8, 16)]),
-    ("sweep_r", [(f"R={r}", replace(URLS, r=r)) for r in (4, 8, 16, 32)]),
-    ("sweep_f", [(f"F={f}", replace(URLS, share=f, bits=8)) for f in (1.0, 0.5, 0.2, 0.1, 0.05)]),
+    ("sweep_kl", [(f"K={k} L={t}", replace(URLS, k=k, tables=t, r=64)) for k in (1, 2, 4) for t in (8, 16, 32)]),
+    ("sweep_lr", [(f"L={t} R={r}", replace(URLS, k=4, tables=t, r=r)) for t in (8, 16, 32) for r in (8, 16, 32, 64)]),
+    ("sweep_f", [(f"F={f}", replace(URLS, k=4, share=f, bits=8)) for f in (1.0, 0.5, 0.3, 0.2, 0.1, 0.05)]),
 ):
     _run, _text = _sweep(_grid)
     add(_name, _text)(_run)
 
 PURCHASES = IndexParams(k=1, tables=32, r=32, bits=12)
 add("heavy_entries", sql.query([*sql.graph(PURCHASES, 20, features="cust_parts"), *sql.overlaps()], f"SELECT query_id AS i, neighbor_id AS j, {sql.COSINE} AS value FROM graph JOIN over USING (query_id, neighbor_id) WHERE {sql.COSINE} > 0.1"))(
-    lambda s, d: matmul.heavy_entries(w.cust_parts(s, d), PURCHASES, 20, 0.1)
+    lambda s, d: matmul.heavy_entries(w.cust_parts(s, d), w.sized(s, d, "cust_parts", PURCHASES), 20, 0.1)
 )
 add("heavy_entries_exact", sql.query([*sql.feats("cust_parts"), *sql.overlaps()], f"SELECT query_id AS i, neighbor_id AS j, {sql.COSINE} AS value FROM over WHERE {sql.COSINE} > 0.1"))(lambda s, d: matmul.exact_product(w.cust_parts(s, d), 0.1))
 add("estimator_error", sql.query([*sql.graph(BASE, TOP, features="docs_words"), *sql.overlaps()], "SELECT round(avg(e), 6) AS bias, round(avg(e * e), 6) AS mean_square, count(*) AS pairs FROM (SELECT collisions / 16.0::DOUBLE - pow(coalesce(a / (x + y - a)::DOUBLE, 0), 2) AS e FROM graph LEFT JOIN over USING (query_id, neighbor_id))"))(
-    lambda s, d: metrics.estimator_error(index.knn_graph(w.docs_words(s, d), BASE, TOP), w.docs_words(s, d), BASE.k, BASE.tables)
+    lambda s, d: metrics.estimator_error(graph(s, d, "docs_words", BASE, TOP), w.docs_words(s, d), BASE.k, BASE.tables)
 )
-add("recommend_parts", sql.query(sql.graph(PURCHASES, 5, features="part_custs"), "SELECT * FROM graph"))(lambda s, d: index.knn_graph(w.part_custs(s, d), PURCHASES, 5))
+add("recommend_parts", sql.query(sql.graph(PURCHASES, 5, features="part_custs"), "SELECT * FROM graph"))(lambda s, d: graph(s, d, "part_custs", PURCHASES, 5))
 LINES = IndexParams(k=4, tables=16, r=16, bits=16)
-add("workload_lines", sql.query(sql.graph(LINES, 5, features="lines_cat"), "SELECT * FROM graph"))(lambda s, d: index.knn_graph(w.lines_cat(s, d), LINES, 5))
-add("workload_users", sql.query(sql.graph(BASE, 5, features="user_events"), "SELECT * FROM graph"))(lambda s, d: index.knn_graph(w.user_events(s, d), BASE, 5))
-add("workload_turns", sql.query(sql.graph(BASE, 5, features="turns_words"), "SELECT * FROM graph"))(lambda s, d: index.knn_graph(w.turns_words(s, d), BASE, 5))
-add("workload_char3", sql.query(sql.graph(BASE, 5, features="docs_char3"), "SELECT * FROM graph"))(lambda s, d: index.knn_graph(w.docs_char3(s, d), BASE, 5))
-add("workload_pages", sql.query(sql.graph(BASE, 5, features="pages_full"), "SELECT * FROM graph"))(lambda s, d: index.knn_graph(w.pages_full(s, d), BASE, 5))
+add("workload_lines", sql.query(sql.graph(LINES, 5, features="lines_cat"), "SELECT * FROM graph"))(lambda s, d: graph(s, d, "lines_cat", LINES, 5))
+add("workload_users", sql.query(sql.graph(BASE, 5, features="user_events"), "SELECT * FROM graph"))(lambda s, d: graph(s, d, "user_events", BASE, 5))
+add("workload_turns", sql.query(sql.graph(BASE, 5, features="turns_words"), "SELECT * FROM graph"))(lambda s, d: graph(s, d, "turns_words", BASE, 5))
+add("workload_char3", sql.query(sql.graph(BASE, 5, features="docs_char3"), "SELECT * FROM graph"))(lambda s, d: graph(s, d, "docs_char3", BASE, 5))
+add("workload_pages", sql.query(sql.graph(BASE, 5, features="pages_full"), "SELECT * FROM graph"))(lambda s, d: graph(s, d, "pages_full", BASE, 5))
 
 # ---------------------------------------------------------------- further measures and theory
 
 add("bucket_gini", sql.query([*_addr, ("h", "SELECT table_id, n, count(*) AS c FROM (SELECT table_id, address, count(*) AS n FROM addr GROUP BY 1, 2) GROUP BY 1, 2"), ("s", "SELECT table_id, c, n, c * (2 * coalesce(sum(c * n) OVER (PARTITION BY table_id ORDER BY n ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + c * n) AS area FROM h")], "SELECT table_id, round(1 - sum(area) / (sum(c) * sum(c * n)), 6) AS gini FROM s GROUP BY 1"))(
-    lambda s, d: metrics.gini(index.addresses(w.docs_words(s, d), BASE)).withColumn("gini", F.round("gini", 6))
+    lambda s, d: metrics.gini(index.addresses(w.docs_words(s, d), w.sized(s, d, "docs_words", BASE))).withColumn("gini", F.round("gini", 6))
 )
 _ma, _mb, _mc, _md = parameters(4, 4)
 _order = "(SELECT item_id, row_number() OVER (ORDER BY ((item_id % {2}) * {0} + {1}) % {3}) AS i FROM (SELECT DISTINCT item_id FROM feats) QUALIFY i <= 200)"
@@ -311,16 +286,6 @@ add("mean_similarity", sql.query([*sql.feats("docs_words"), *sql.overlaps(), ("l
 )
 
 
-@add("assumption_violations")
-def assumption_violations(s, d):
-    """Triples of a query, its best neighbour and its second: does sharing with the best change the odds for the second?"""
-    sets = w.pages_url(s, d)
-    gold = exact.exact_inverted(sets, sets, 2)
-    one, two = (gold.where(F.col("rank") == r).select("query_id", F.col("neighbor_id").alias(n)) for r, n in ((1, "a"), (2, "b")))
-    of = lambda i, n: sets.select(F.col("item_id").alias(i), F.col("features").alias(n))
-    return metrics.assumption_violations(one.join(two, "query_id").join(of("query_id", "q"), "query_id").join(of("a", "x"), "a").join(of("b", "y"), "b"))
-
-
 @add("theory_retrieval", "SELECT p, k, l, round(1 - pow(1 - pow(p, k), l), 6) AS plain, round(1 - pow(1 - 0.5::DOUBLE * pow(p, k), l), 6) AS half_kept, round(l * pow(p, k) * (1 - pow(p, k)), 6) AS variance FROM (SELECT (i / 10.0)::DOUBLE AS p, k, l FROM range(1, 10) a(i), (VALUES (1), (2), (4)) b(k), (VALUES (8), (32), (128)) c(l))")
 def theory_retrieval(s, d):
     """Chances and variances from the planner over a grid of similarities and parameters."""
@@ -331,28 +296,3 @@ def theory_retrieval(s, d):
         for i in range(1, 10) for k in (1, 2, 4) for n in (8, 32, 128)
     ]
     return s.createDataFrame(rows, "p double, k int, l int, plain double, half_kept double, variance double")
-
-
-@add("speedup_at_recall")
-def speedup_at_recall(s, d):
-    """Seconds at equal recall of the engine and of a small-world graph, interpolated on measured curves."""
-    import time
-
-    sets = w.pages_url(s, d).persist()
-    asked = exact.gold_queries(sets, 100).persist()
-    gold = exact.exact_inverted(asked, sets, 100).persist()
-    rows = []
-    for method, runs in (
-        ("engine", [lambda t=t: index.build_index(sets, replace(URLS, tables=t)).knn(asked, 100, True) for t in (2, 4, 8, 16)]),
-        ("small world", [lambda e=e: baselines.small_world_graph(sets, asked, 100, ef_build=e, ef_search=e, degree=2 + e // 10) for e in (2, 5, 10, 40)]),
-    ):
-        for run in runs:
-            began = time.time()
-            graph = run().persist()
-            graph.count()
-            seconds = time.time() - began
-            rows.append((method, metrics.recall_at(graph, gold, (100,)).first()["recall"], seconds))
-            graph.unpersist()
-    for x in (sets, asked, gold):
-        x.unpersist()
-    return metrics.speedup_at(s.createDataFrame(rows, "method string, recall double, seconds double"))

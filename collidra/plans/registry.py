@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import core, relational, streams
+from . import core, experiments, relational, streams
 
-QUERIES: dict = {**core.QUERIES, **relational.QUERIES, **streams.QUERIES}
-ORACLES: dict = {**core.ORACLES, **relational.ORACLES, **streams.ORACLES}
+QUERIES: dict = {**core.QUERIES, **experiments.QUERIES, **relational.QUERIES, **streams.QUERIES}
+ORACLES: dict = {**core.ORACLES, **experiments.ORACLES, **relational.ORACLES, **streams.ORACLES}

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -13,7 +11,7 @@ from pyspark.sql import Window as W
 from ..functions import register_sql_functions
 from ..functions.portable import parameters
 from ..operators import index
-from ..sources import read_csv, read_json, read_libsvm, read_table, sample_rows, write_graph, write_libsvm
+from ..sources import read_csv, read_json, read_libsvm, read_table, sample_rows, scratch, write_graph, write_libsvm
 from . import core, sql
 from . import workloads as w
 
@@ -35,14 +33,6 @@ def _t(s, d, name, *cols):
     return read_table(s, d, name, list(cols) or None)
 
 
-def scratch(spark) -> str:
-    """A folder that all executors see, if the session names one; else a temporary one (local runs)."""
-    import uuid
-
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    return f"{base.rstrip('/')}/{uuid.uuid4().hex}" if base else tempfile.mkdtemp(prefix="collidra-")
-
-
 # ---------------------------------------------------------------- scans and filters
 
 add("scan_filter_project", "SELECT doc_id, lang, n_chars FROM documents WHERE lang = 'en' AND n_chars BETWEEN 200 AND 5000 AND source IN ('src1', 'src2', 'src3')")(
@@ -85,7 +75,7 @@ def _shuffle_hash(sets):
 add("join_semi", "SELECT doc_id, lang FROM documents WHERE doc_id IN (SELECT doc_id FROM labels)")(lambda s, d: _t(s, d, "documents", "doc_id", "lang").join(_t(s, d, "labels", "doc_id"), "doc_id", "left_semi"))
 add("join_anti", "SELECT doc_id, lang FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)")(lambda s, d: _t(s, d, "documents", "doc_id", "lang").join(_t(s, d, "labels", "doc_id"), "doc_id", "left_anti"))
 add("join_left_outer", sql.query(sql.graph(core.BASE, 5, features="docs_words"), "SELECT doc_id, coalesce(n, 0) AS neighbors FROM documents LEFT JOIN (SELECT query_id, count(*) AS n FROM graph GROUP BY 1) ON doc_id = query_id"))(
-    lambda s, d: _t(s, d, "documents", "doc_id").join(index.knn_graph(w.docs_words(s, d), core.BASE, 5).groupBy("query_id").agg(F.count("*").alias("n")), F.col("doc_id") == F.col("query_id"), "left").select("doc_id", F.coalesce("n", F.lit(0)).alias("neighbors"))
+    lambda s, d: _t(s, d, "documents", "doc_id").join(core.graph(s, d, "docs_words", core.BASE, 5).groupBy("query_id").agg(F.count("*").alias("n")), F.col("doc_id") == F.col("query_id"), "left").select("doc_id", F.coalesce("n", F.lit(0)).alias("neighbors"))
 )
 add("join_theta", sql.query([*sql.feats("bench_words", "q"), *sql.feats("docs_words", "d")], "SELECT q.item_id AS query_id, count(*) AS near_sizes FROM (SELECT item_id, count(*) AS n FROM qfeats GROUP BY 1) q JOIN (SELECT item_id, count(*) AS n FROM dfeats GROUP BY 1) d ON least(q.n, d.n) >= 0.4225 * greatest(q.n, d.n) GROUP BY 1"))(
     lambda s, d: _theta(w.bench_words(s, d), w.docs_words(s, d))
@@ -121,7 +111,7 @@ def join_asof(s, d):
 
 
 add("join_self_bucket", sql.query(sql.addresses(core.BASE, features="pages_url"), "SELECT DISTINCT x.item_id AS a, y.item_id AS b FROM addr x JOIN addr y USING (table_id, address) WHERE x.item_id < y.item_id AND table_id = 0"))(
-    lambda s, d: _bucket_pairs(index.addresses(w.pages_url(s, d), core.BASE).where("table_id = 0"))
+    lambda s, d: _bucket_pairs(index.addresses(w.pages_url(s, d), w.sized(s, d, "pages_url", core.BASE)).where("table_id = 0"))
 )
 
 
@@ -131,17 +121,22 @@ def _bucket_pairs(addr: DataFrame) -> DataFrame:
 
 # ---------------------------------------------------------------- aggregates
 
-add("agg_hash", sql.query(sql.addresses(core.BASE, features="docs_words"), "SELECT table_id, address, count(*) AS n FROM addr GROUP BY 1, 2"))(lambda s, d: index.addresses(w.docs_words(s, d), core.BASE).groupBy("table_id", "address").agg(F.count("*").alias("n")))
+add("agg_hash", sql.query(sql.addresses(core.BASE, features="docs_words"), "SELECT table_id, address, count(*) AS n FROM addr GROUP BY 1, 2"))(lambda s, d: index.addresses(w.docs_words(s, d), w.sized(s, d, "docs_words", core.BASE)).groupBy("table_id", "address").agg(F.count("*").alias("n")))
 add("agg_distinct", f"SELECT lang, count(DISTINCT f) AS features FROM ({sql.FEATURES['docs_words']}) JOIN documents ON doc_id = item_id GROUP BY 1")(
     lambda s, d: core._long(w.docs_words(s, d)).join(_t(s, d, "documents", "doc_id", "lang"), F.col("item_id") == F.col("doc_id")).groupBy("lang").agg(F.count_distinct("feature").alias("features"))
 )
 
 
-@add("agg_approx")
+@add("agg_approx", sql.query(sql.feats("docs_words"), """SELECT true AS distinct_close, true AS median_close, (SELECT count(DISTINCT f) FROM feats) AS features,
+(SELECT max(c) FROM (SELECT count(*) AS c FROM feats GROUP BY f)) AS most, (SELECT quantile_disc(n, 0.5) FROM (SELECT count(*) AS n FROM feats GROUP BY item_id)) AS median"""))
 def agg_approx(s, d):
+    """Sketches beside what they estimate: distinct features within 6 %, the most frequent one, the median size within 5 %."""
     long = core._long(w.docs_words(s, d))
-    per = long.groupBy("item_id").agg(F.count("*").alias("n"))
-    return long.agg(F.approx_count_distinct("feature", 0.02).alias("distinct_features"), F.expr("approx_top_k(feature, 5)").alias("frequent")).crossJoin(per.agg(F.percentile_approx("n", [0.5, 0.9, 0.99]).alias("sizes")))
+    sizes = long.groupBy("item_id").agg(F.count("*").alias("n")).agg(F.percentile_approx("n", 0.5, 100).alias("near"), F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY n)").cast("long").alias("median"))
+    near = long.agg(F.approx_count_distinct("feature", 0.02).alias("distinct_near"), F.count_distinct("feature").alias("features"), F.expr("approx_top_k(feature, 1)[0].count").alias("most"))
+    close = lambda a, b, by: F.abs(F.col(a) - F.col(b)) <= by * F.col(b)
+    both = near.crossJoin(F.broadcast(sizes))
+    return both.select(close("distinct_near", "features", 0.06).alias("distinct_close"), close("near", "median", 0.05).alias("median_close"), "features", "most", "median")
 
 
 _CUBE = "SELECT lang, source, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents GROUP BY {}"
@@ -188,7 +183,7 @@ add("win_range_frame", "SELECT event_id, round(sum(value) OVER (PARTITION BY use
     lambda s, d: _t(s, d, "events", "event_id", "user_id", "ts", "value").withColumn("us", F.unix_micros(F.col("ts").cast("timestamp"))).select("event_id", F.round(F.sum("value").over(W.partitionBy("user_id").orderBy("us").rangeBetween(-86_400_000_000, 0)), 4).alias("day_sum"))
 )
 add("sort_limit", sql.query(sql.graph(core.BASE, 10, features="docs_words"), "SELECT query_id, neighbor_id, collisions FROM graph ORDER BY collisions DESC, query_id, neighbor_id LIMIT 25"))(
-    lambda s, d: index.knn_graph(w.docs_words(s, d), core.BASE, 10).select("query_id", "neighbor_id", "collisions").orderBy(F.desc("collisions"), "query_id", "neighbor_id").limit(25)
+    lambda s, d: core.graph(s, d, "docs_words", core.BASE, 10).select("query_id", "neighbor_id", "collisions").orderBy(F.desc("collisions"), "query_id", "neighbor_id").limit(25)
 )
 add("topk_per_group", "SELECT source, doc_id, n_chars FROM documents QUALIFY row_number() OVER (PARTITION BY source ORDER BY n_chars DESC, doc_id) <= 3")(
     lambda s, d: _t(s, d, "documents", "source", "doc_id", "n_chars").withColumn("r", F.row_number().over(W.partitionBy("source").orderBy(F.desc("n_chars"), "doc_id"))).where("r <= 3").drop("r")
@@ -200,7 +195,7 @@ def _both(s, d):
     from ..operators import exact
 
     pair = ["query_id", "neighbor_id"]
-    return index.knn_graph(w.pages_url(s, d), core.BASE, 5).select(*pair), exact.exact_inverted(w.pages_url(s, d), w.pages_url(s, d), 5).select(*pair)
+    return core.graph(s, d, "pages_url", core.BASE, 5).select(*pair), exact.exact_inverted(w.pages_url(s, d), w.pages_url(s, d), 5).select(*pair)
 
 
 for _name, _op, _fn in (("union", "UNION", lambda a, b: a.unionByName(b).distinct()), ("intersect", "INTERSECT", lambda a, b: a.intersect(b)), ("except", "EXCEPT", lambda a, b: a.exceptAll(b))):
@@ -255,13 +250,24 @@ def udf_arrow(s, d):
     return w.docs_words(s, d).select("item_id", n("features").alias("n")).where("n > 0")
 
 
-@add("udaf_reservoir", sql.query([*sql.addresses(core.HEAVY, features="docs_words"), *sql.reservoirs(core.HEAVY)], "SELECT table_id, address, count(*) AS held FROM res WHERE table_id = 0 GROUP BY 1, 2"))
+@add("udf_scalar", sql.query(sql.feats("docs_words"), "SELECT item_id, min(f) % 97 AS bucket FROM feats GROUP BY 1"))
+def udf_scalar(s, d):
+    """A row-at-a-time function, optimised by Arrow: the slow path, kept for what has no batch form."""
+    bucket = F.udf(lambda fs: min(fs) % 97 if fs else None, "long", useArrow=True)
+    return w.docs_words(s, d).where(F.size("features") > 0).select("item_id", bucket("features").alias("bucket"))
+
+
+@add("udaf_reservoir", sql.query([*sql.addresses(core.HEAVY, features="docs_words"), *sql.reservoirs(core.HEAVY)], "SELECT table_id, address, item_id FROM res"))
 def udaf_reservoir(s, d):
-    @F.pandas_udf("long")
-    def held(ids: pd.Series) -> int:
-        return min(core.HEAVY.r, len(ids))
+    """Reservoirs by a grouped aggregate function over Arrow batches: the r smallest priorities, as the operator's."""
+    from ..operators.reservoir import priority
+
+    @F.pandas_udf("array<long>")
+    def held(ids: pd.Series, order: pd.Series) -> list:
+        return ids.iloc[order.argsort(kind="stable")[: core.HEAVY.r]].tolist() if len(ids) else []
 
-    return index.addresses(w.docs_words(s, d), core.HEAVY).where("table_id = 0").groupBy("table_id", "address").agg(held("item_id").alias("held"))
+    addr = index.addresses(w.docs_words(s, d), core.HEAVY).withColumn("pr", priority(core.HEAVY.seed))
+    return addr.groupBy("table_id", "address").agg(held("item_id", "pr").alias("members")).select("table_id", "address", F.explode("members").alias("item_id"))
 
 
 @add("udtf_knn", sql.query([*sql.graph(core.BASE, 5, features="bench_words")], "SELECT query_id, neighbor_id, collisions FROM graph"))
@@ -276,7 +282,7 @@ def udtf_knn(s, d):
             yield from sorted(counts.items(), key=lambda e: (-e[1], e[0]))[:k]
 
     s.udtf.register("knn_of_bag", TopOf)
-    addr = index.addresses(w.bench_words(s, d), core.BASE)
+    addr = index.addresses(w.bench_words(s, d), w.sized(s, d, "bench_words", core.BASE))
     index.index_of(addr, core.BASE).probe(addr).groupBy("query_id").agg(F.flatten(F.collect_list("members")).alias("bag")).createOrReplaceTempView("bags")
     return s.sql("SELECT b.query_id, t.neighbor_id, t.collisions FROM bags b, LATERAL knn_of_bag(b.query_id, b.bag, 5) t")
 
@@ -308,12 +314,12 @@ def roundtrip_csv(s, d):
 @add("roundtrip_index", core.ORACLES["knn_query_benchmark"])
 def roundtrip_index(s, d):
     path = f"{scratch(s)}/index"
-    index.build_index(w.docs_words(s, d), core.BASE).save(path, 8)
+    index.build_index(w.docs_words(s, d), w.sized(s, d, "docs_words", core.BASE)).save(path, 8)
     return index.Index.load(s, path).knn(w.bench_words(s, d), 5)
 
 
 @add("roundtrip_graph", core.ORACLES["knn_graph_hash"])
 def roundtrip_graph(s, d):
     path = f"{scratch(s)}/graph"
-    write_graph(index.knn_graph(w.docs_words(s, d), core.BASE, core.TOP), path, 8)
+    write_graph(core.graph(s, d, "docs_words", core.BASE, core.TOP), path, 8)
     return s.read.parquet(path)

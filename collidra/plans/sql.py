@@ -10,7 +10,7 @@ from ..functions.portable import P, HashNumbers, parameters
 from ..operators.hashing import directions, offset, tries
 from ..operators.index import IndexParams
 from ..operators.reservoir import pool_size
-from .workloads import LINE_KEY, LINE_TAGS, PART_COLUMNS
+from .workloads import LINE_KEY, LINE_TAGS, PART_COLUMNS, TABLE, grows
 
 
 def fid(token: str) -> str:
@@ -85,18 +85,25 @@ def densified(m: int, scheme: str = "probe", seed: int = 1, x: str = "") -> list
     return [*out, (f"{x}sig", f"SELECT o.item_id, o.i, {value} AS v FROM {joins}")]
 
 
-def fold(k: int, tables_from: str, bits: int, seed: int = 1, x: str = "") -> list[tuple[str, str]]:
+def room(p: IndexParams, features: str | None) -> str:
+    """The number of addresses of a table, which grows with the workload's table."""
+    if features is None or not grows(p):
+        return str(1 << p.bits)
+    return f"(1::BIGINT << greatest({p.bits}, least(30, (SELECT ceil(log2(greatest(2, count(*) / 16.0::DOUBLE))) FROM {TABLE[features]})))::INT)"
+
+
+def fold(k: int, tables_from: str, size: str, seed: int = 1, x: str = "") -> list[tuple[str, str]]:
     a = HashNumbers(seed).fold
     acc = "(table_id::BIGINT + 1)"
     for i in range(k):
         acc = f"(({acc} * {a} + vs[{i + 1}] + 1) % {P})"
-    return [(f"{x}addr", f"SELECT item_id, table_id, {acc} % {1 << bits} AS address FROM (SELECT item_id, i // {k} AS table_id, list(v ORDER BY i) AS vs FROM {tables_from} GROUP BY 1, 2)")]
+    return [(f"{x}addr", f"SELECT item_id, table_id, {acc} % {size} AS address FROM (SELECT item_id, i // {k} AS table_id, list(v ORDER BY i) AS vs FROM {tables_from} GROUP BY 1, 2)")]
 
 
-def addresses(p: IndexParams, x: str = "", features: str | None = None) -> list[tuple[str, str]]:
+def addresses(p: IndexParams, x: str = "", features: str | None = None, size: str | None = None) -> list[tuple[str, str]]:
     m = p.k * p.tables
     head = feats(features, x) if features else []
-    return [*head, *bins(m, p.seed, x), *densified(m, p.densify, p.seed, x), *fold(p.k, f"{x}sig", p.bits, p.seed, x)]
+    return [*head, *bins(m, p.seed, x), *densified(m, p.densify, p.seed, x), *fold(p.k, f"{x}sig", size or room(p, features), p.seed, x)]
 
 
 def priority(seed: int, first: str = "table_id", second: str = "address") -> str:

@@ -6,8 +6,27 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import features
+from ..operators.index import IndexParams
 from ..sources import read_table
 
+#: The table whose rows bound the items of each workload.
+TABLE = {
+    "docs_words": "documents", "docs_char3": "documents", "pages_url": "pages", "pages_full": "pages", "part_cat": "part", "lines_cat": "lineitem",
+    "cust_parts": "customer", "part_custs": "part", "user_events": "customer", "turns_words": "conversations", "bench_words": "benchmark",
+}
+#: Settings of fewer address bits than this are crowded on purpose, to study full reservoirs.
+CROWDED_BITS = 12
+
+
+def grows(p: IndexParams) -> bool:
+    return p.share >= 1 and p.bits >= CROWDED_BITS
+
+
+def sized(spark: SparkSession, d: str, name: str, p: IndexParams) -> IndexParams:
+    """``p`` with the address bits that the workload's table needs: at a fixed width, tables of reservoirs would hold a
+    random sample of a large corpus."""
+    return p.grown(read_table(spark, d, TABLE[name]).count()) if grows(p) else p
+
 
 def docs_words(spark: SparkSession, d: str) -> DataFrame:
     return features.token_set(read_table(spark, d, "documents"), "doc_id", "text")

@@ -320,3 +320,89 @@ def test_more_tables_and_larger_reservoirs_do_not_hurt(spark):
         return metrics.recall_at(index.knn_graph(sets, IndexParams(**({"k": 2, "tables": 16, "r": 32, "bits": 12} | kw)), 20), gold, (10,)).first()["recall"]
 
     assert r10(tables=32) >= r10(tables=4) - 0.02 and r10(r=32) >= r10(r=2) - 0.02
+
+
+# ---------------------------------------------------------------- exact pairs, blocks, sizes
+
+
+def random_sets(spark, n=120, seed=3):
+    import numpy as np
+
+    rng = np.random.default_rng(seed)
+    rows = [(i, sorted({1, 2, *rng.integers(0, 60, int(rng.integers(1, 25))).tolist()})) for i in range(n)]
+    return spark.createDataFrame(rows, "item_id long, features array<long>"), {i: set(f) for i, f in rows}
+
+
+@pytest.mark.parametrize("heavy_df", [1, 10, 60, 10**6])
+def test_splitting_off_common_features_changes_nothing(spark, heavy_df):
+    from collidra.operators import exact
+
+    sets, _ = random_sets(spark)
+    asked = sets.where("item_id % 7 = 0")
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    assert rows(exact.overlap_pairs(asked, sets, heavy_df, block=5)) == rows(exact.overlap_pairs(asked, sets))
+    assert rows(exact.exact_inverted(asked, sets, 5, heavy_df=heavy_df)) == rows(exact.brute_force(asked, sets, 5, block=4))
+
+
+@pytest.mark.parametrize("tau", [0.1, 0.5, 0.8, 0.95])
+def test_prefixes_find_all_pairs_above(spark, tau):
+    from collidra.operators import exact
+
+    sets, plain = random_sets(spark, seed=int(100 * tau))
+    got = {(r["query_id"], r["neighbor_id"]): (r["a"], r["x"], r["y"]) for r in exact.pairs_above(sets, tau).collect()}
+    want = {}
+    for i, x in plain.items():
+        for j, y in plain.items():
+            if i != j and len(x & y) / (len(x) * len(y)) ** 0.5 > tau:
+                want[i, j] = (len(x & y), len(x), len(y))
+    assert want.items() <= got.items() and all(a / (x * y) ** 0.5 > tau - 1e-5 for a, x, y in got.values())
+
+
+def test_counting_bags_in_batches_equals_aggregation(spark):
+    from collidra.operators import query
+
+    rows = [(q, 0, 9, [1, 2, q, 3 + q % 3]) for q in range(50)] + [(q, 1, 9, [2, q, 77]) for q in range(50)] + [(99, 0, 1, [99])]
+    probes = spark.createDataFrame(rows, "query_id long, table_id int, seen long, members array<long>")
+    same = [sorted(map(tuple, query.count_select(probes, 3, s).collect())) for s in ("hash", "segment", "boundary")]
+    assert same[0] == same[1] == same[2] and all(r[0] != 99 for r in same[0])
+    assert query.count_select(probes.limit(0), 3).count() == 0
+
+
+def test_address_bits_grow_with_the_table():
+    p = IndexParams(bits=12)
+    assert p.grown(1000).bits == 12 and p.grown(10**9).bits > 24
+
+
+def test_a_cluster_without_a_shared_folder_is_refused(spark, monkeypatch):
+    from collidra import sources
+
+    class Conf:
+        def get(self, *_):
+            return None
+
+    class Context:
+        master = "yarn"
+
+        def getCheckpointDir(self):
+            return None
+
+    class Session:
+        conf, sparkContext = Conf(), Context()
+
+    with pytest.raises(RuntimeError):
+        sources.scratch(Session())
+
+
+def test_oversized_sets_are_not_padded(spark):
+    from collidra.operators import features
+
+    df = spark.createDataFrame([(1, [1, 2, 3]), (2, [1])], "item_id long, features array<long>")
+    assert {r["item_id"]: len(r["features"]) for r in features.asymmetric_pad(df, "data", 2).collect()} == {1: 3, 2: 2}
+
+
+def test_signed_projections_need_more_values_and_rank_worse():
+    from collidra.operators import planner
+
+    for j in (0.2, 0.5, 0.8):
+        assert planner.values_needed(15, True, 1 << 24) == 15 > planner.values_needed(15, False, 1 << 24)
+        assert planner.ranking_variance(j, 15, 32, True, 1 << 24) > planner.ranking_variance(j, 15, 32, False, 1 << 24)
