@@ -765,3 +765,42 @@ def test_pipeline_stages(spark, small):
             assert max(Counter(r["doc_id"] for r in got).values()) <= 2
         rows = after
     assert corpus_pipeline.run(spark, small).count() == len(got)
+
+
+ODD_LABELS = "doc_id long, quality int, toxic int"
+
+
+def saved(spark, folder, docs, labels):
+    docs.write.mode("overwrite").parquet(f"{folder}/documents.parquet")
+    labels.write.mode("overwrite").parquet(f"{folder}/labels.parquet")
+    return str(folder)
+
+
+def test_pipeline_and_classifiers_on_odd_and_empty_tables(spark, tmp_path):
+    import corpus_pipeline
+
+    labels = spark.createDataFrame([(1, 1, 0), (1, 0, 1), (None, 1, 1), (3, None, None), (4, 1, 0), (99, 0, 1), (7, 1, 7)], ODD_LABELS)
+    folder = saved(spark, tmp_path / "odd", odd(spark), labels)
+    got = corpus_pipeline.run(spark, folder).collect()
+    assert {r["doc_id"] for r in got} <= {None, 1, 2, 3, 4, 7, 8} and len(got) >= 3
+    for name in ("op2_toxicity", "op8_quality"):
+        rows = registry.QUERIES[name](spark, folder).collect()
+        assert len(rows) == 8 and all(0 <= r["score"] <= 1 for r in rows)
+    nothing = saved(spark, tmp_path / "empty", empty(spark), labels.limit(0))
+    assert corpus_pipeline.run(spark, nothing).count() == 0
+    for name in ("op2_toxicity", "op8_quality"):
+        assert registry.QUERIES[name](spark, nothing).count() == 0
+    unlabelled = saved(spark, tmp_path / "unlabelled", odd(spark), labels.limit(0))
+    assert {r["predicted"] for r in registry.QUERIES["op2_toxicity"](spark, unlabelled).collect()} == {0}
+
+
+def test_toxic_documents_go_and_clean_ones_stay(spark):
+    rng = np.random.default_rng(4)
+    words = ["".join(rng.choice(list("aeioudnrst"), 5)) for _ in range(400)]
+    text = lambda bad: " ".join([*rng.choice(words, 60), *(["vilegrub"] * bad)])
+    model = toxicity.fit([(f, y, text(4 * y)) for f in (0, 2) for y in (0, 1) for _ in range(80)])
+    docs = docs_of(spark, [text(6 * (i % 4 == 0)) for i in range(80)] + [None, ""])
+    kept = {r["doc_id"] for r in toxicity.drop_toxic(docs, model).collect()}
+    scored = {r["doc_id"]: r["predicted"] for r in toxicity.score_documents(docs, model).collect()}
+    assert kept == {i for i, p in scored.items() if not p} and {80, 81} <= kept
+    assert sum(i % 4 == 0 for i in kept if i < 80) <= 4 and sum(i % 4 != 0 for i in kept if i < 80) >= 54
