@@ -62,7 +62,7 @@ def headline(spark: SparkSession, folder: str) -> dict:
 
 def sweep(spark: SparkSession, folder: str) -> None:
     """Recall against time and size over K, L, R and F, and hashing against projections."""
-    sets = w.pages_url(spark, folder).cache()
+    sets = w.load(spark, folder, "pages_url").cache()
     gold = exact.exact_inverted(sets.where(core.ASKED), sets, 100).cache()
     gold.count()
     base = IndexParams(k=2, tables=32, r=32, bits=14)
@@ -101,7 +101,7 @@ def _seconds(init: float, indexed: float, asked: float, queries: int) -> dict:
 
 def measures(folder: str) -> None:
     spark = session()
-    sets = w.pages_full(spark, folder).cache()
+    sets = w.load(spark, folder, "pages_full").cache()
     asked = sets.where(core.ASKED).cache()
     gold = exact.exact_inverted(asked, sets, 100).cache()
     gold.count()
@@ -131,7 +131,7 @@ def measures(folder: str) -> None:
     spark.stop()
     for cpus in (1, 2, 4, 8):
         spark = session(cpus)
-        sets = w.docs_words(spark, folder).cache()
+        sets = w.load(spark, folder, "docs_words").cache()
         n = sets.count()
         timed(index.addresses(sets.limit(10), core.BASE))
         hashed, graph = timed(index.addresses(sets, core.BASE)), timed(index.knn_graph(sets, core.BASE, 10))
@@ -148,7 +148,7 @@ def main() -> None:
     if sys.argv[1:2] == ["sweep"]:
         sweep(spark, folder)
         return
-    timed(w.docs_words(spark, folder))  # start-up is no query's cost
+    timed(w.load(spark, folder, "docs_words"))  # start-up is no query's cost
     found = headline(spark, folder)
     print(json.dumps({"metric": "total seconds of headline queries", "value": round(sum(found.values()), 3), "unit": "sec", "queries": found, "sf": Path(folder).name.removeprefix("sf")}))
 

@@ -74,7 +74,7 @@ def _accuracy(method: str, graph: DataFrame, gold: DataFrame, sets: DataFrame, q
 ))
 def table_unbounded(s, d):
     """S@10, S@100, R@10 and R@100 of counting over reservoirs and of exact similarities over unbounded buckets, same addresses."""
-    sets, p = w.pages_url(s, d), w.sized(s, d, "pages_url", CONTRAST)
+    sets, p = w.load(s, d, "pages_url"), w.sized(s, d, "pages_url", CONTRAST)
     gold = exact.exact_inverted(sets, sets, 100)
     return _accuracy("engine", index.knn_graph(sets, p, 100), gold, sets).unionByName(_accuracy("unbounded buckets", baselines.vanilla_lsh(sets, p, 100, LIGHT), gold, sets))
 
@@ -159,7 +159,7 @@ def _work_sql() -> str:
 @add("work_at_recall", _work_sql())
 def work_at_recall(s, d):
     """Candidates per query that either method looks at for the same R@100, interpolated on curves over the number of tables."""
-    sets = w.pages_url(s, d)
+    sets = w.load(s, d, "pages_url")
     gold, n, points = exact.exact_inverted(sets, sets, 100), sets.count(), []
     for _, p in _grid(w.sized(s, d, "pages_url", core.URLS)):
         addr = index.addresses(sets, p)
@@ -186,7 +186,7 @@ def _highlights_sql() -> str:
 @add("size_at_recall", _highlights_sql())
 def size_at_recall(s, d):
     """The smallest index, as stored, whose graph reaches each R@100."""
-    sets = w.pages_url(s, d)
+    sets = w.load(s, d, "pages_url")
     gold, points = exact.exact_inverted(sets, sets, 100), []
     for t, p in _grid(w.sized(s, d, "pages_url", core.URLS)):
         addr = index.addresses(sets, p)
@@ -217,7 +217,7 @@ def recall_above(s, d):
     """Entries of similarity above a threshold among the first 20: near texts, and heavy entries of the purchase matrix."""
     out = []
     for name, p, tau in ABOVE:
-        pairs = exact.pairs_above(getattr(w, name)(s, d), tau)
+        pairs = exact.pairs_above(w.load(s, d, name), tau)
         gold = pairs.select("query_id", "neighbor_id", F.round(F.col("a") / F.sqrt(F.col("x").cast("double") * F.col("y")), 6).alias("similarity"))
         found = metrics.threshold_recall(core.graph(s, d, name, p, 20), gold, tau, 20)
         out.append(found.select(F.lit(name).alias("workload"), F.lit(tau).alias("tau"), "pairs", "found", "recall", "capped_recall"))
@@ -241,7 +241,7 @@ INNER = replace(core.URLS, k=1, tables=32)
 ))
 def inner_product_search(s, d):
     """Largest inner products by asymmetric hashing: data sets are padded, queries are not; recall against exact products."""
-    sets, p = w.pages_url(s, d), w.sized(s, d, "pages_url", INNER)
+    sets, p = w.load(s, d, "pages_url"), w.sized(s, d, "pages_url", INNER)
     asked = sets.where(ASKED)
     found = index.build_index(features.asymmetric_pad(sets, "data", PADDED), p).knn(features.asymmetric_pad(asked, "query", PADDED), 20, exclude_self=True)
     products = exact.overlap_pairs(asked, sets).select("query_id", "neighbor_id", F.col("a").cast("double").alias("similarity"))
@@ -266,7 +266,7 @@ def _sampled_sql() -> list[tuple[str, str]]:
 ))
 def table_sampled(s, d):
     """S@1 over a sample of features, empty rows dropped: exact search and the engine."""
-    sets = features.sample_features(w.docs_char3(s, d), SAMPLED)
+    sets = features.sample_features(w.load(s, d, "docs_char3"), SAMPLED)
     asked = sets.where(ASKED)
     best = exact.exact_inverted(asked, sets, 1).agg(F.round(F.avg("similarity"), 6).alias("s1"), F.count("*").alias("n"))
     found = index.build_index(sets, w.sized(s, d, "docs_char3", core.BASE)).knn(asked, 1, exclude_self=True)
@@ -299,7 +299,7 @@ for _name, (_run, _least) in URL_PEERS.items():
 
     @add(_name, _reached_sql(_name, _URL_ASKED))
     def _peer(s, d, name=_name, run=_run, least=_least):
-        sets = w.pages_url(s, d)
+        sets = w.load(s, d, "pages_url")
         asked = sets.where(ASKED)
         return _reached(name, run(sets, asked), exact.exact_inverted(asked, sets, 20), 20, least)
 
@@ -326,7 +326,7 @@ def pq_search(s, d):
 @add("pq_sampled_dense", f"SELECT true AS below_exact, true AS found FROM (SELECT 1 FROM documents WHERE doc_id % 100 = 0 LIMIT 1)")
 def pq_sampled_dense(s, d):
     """Quantization needs dense rows: features are sampled, empty rows dropped, then codes compete with the flat mode by S@1."""
-    sets = features.sample_features(w.docs_char3(s, d), 64)
+    sets = features.sample_features(w.load(s, d, "docs_char3"), 64)
     dims = [r["feature"] for r in core._long(sets).select("feature").distinct().orderBy("feature").collect()]  # at most 64
     v = features.to_dense(sets, dims)
     books = baselines.pq_train(v, 8, 16)
@@ -365,7 +365,7 @@ _addr = sql.addresses(core.BASE, features="docs_words")
 def bucket_quantiles(s, d):
     """Per table: quantiles of the sizes of buckets in use, and the share of addresses that none uses."""
     p = w.sized(s, d, "docs_words", core.BASE)
-    return metrics.bucket_quantiles(index.addresses(w.docs_words(s, d), p), p.bits)
+    return metrics.bucket_quantiles(index.addresses(w.load(s, d, "docs_words"), p), p.bits)
 
 
 SHARED = replace(core.HEAVY, share=0.3)
@@ -374,7 +374,7 @@ SHARED = replace(core.HEAVY, share=0.3)
 @add("sharing_clashes", sql.query([*sql.addresses(SHARED, features="docs_words"), *sql.pointers(SHARED)], f"SELECT count(*) AS reservoirs, coalesce(sum((heavy = 1)::INT), 0)::BIGINT AS one_heavy, coalesce(sum((heavy > 1)::INT), 0)::BIGINT AS clashes, coalesce(max(heavy), 0)::BIGINT AS most FROM (SELECT reservoir_id, sum((n > {SHARED.r})::INT) AS heavy FROM ptr JOIN (SELECT table_id, address, count(*) AS n FROM addr GROUP BY 1, 2) USING (table_id, address) GROUP BY 1)"))
 def sharing_clashes(s, d):
     """Shared reservoirs that several truncated buckets must share."""
-    addr = index.addresses(w.docs_words(s, d), SHARED)
+    addr = index.addresses(w.load(s, d, "docs_words"), SHARED)
     return metrics.sharing_clashes(addr, index.index_of(addr, SHARED).pointers, SHARED.r)
 
 
@@ -402,7 +402,7 @@ def hadamard_projection(s, d):
 ))
 def assumption_violations(s, d):
     """Triples of a query, its best neighbour and its second: does sharing with the best change the odds for the second?"""
-    sets = w.pages_url(s, d)
+    sets = w.load(s, d, "pages_url")
     gold = exact.exact_inverted(sets, sets, 2)
     one, two = (gold.where(F.col("rank") == r).select("query_id", F.col("neighbor_id").alias(n)) for r, n in ((1, "a"), (2, "b")))
     of = lambda i, n: sets.select(F.col("item_id").alias(i), F.col("features").alias(n))
@@ -461,7 +461,7 @@ def theory_signed(s, d):
 ))
 def collision_curve(s, d):
     """How often single hash values collide, by Jaccard similarity in fifths: it rises, as ranking by counts needs."""
-    sets = w.docs_words(s, d)
+    sets = w.load(s, d, "docs_words")
     sig = hashing.doph(sets, core.BASE.k, core.BASE.tables)
     asked = F.broadcast(sig.where(ASKED).select(F.col("item_id").alias("query_id"), F.col("sig").alias("x")))  # the stated queries
     rates = sig.join(asked, F.col("item_id") != F.col("query_id")).select("query_id", F.col("item_id").alias("neighbor_id"), hashing.estimate_jaccard(F.col("x"), F.col("sig")).alias("rate"))
@@ -472,5 +472,5 @@ def collision_curve(s, d):
 @add("projection_work", sql.query(sql.feats("pages_full"), "SELECT nnz, nnz * 100 AS projection_terms, nnz AS hash_terms, n * 100 AS hash_values FROM (SELECT count(*) AS nnz, count(DISTINCT item_id) AS n FROM feats)"))
 def projection_work(s, d):
     """Terms that 100 projections and 100 one-permutation hashes evaluate; the seconds are in the bench."""
-    n = features.drop_empty(w.pages_full(s, d)).agg(F.sum(F.size("features")).alias("nnz"), F.count("*").alias("n"))
+    n = features.drop_empty(w.load(s, d, "pages_full")).agg(F.sum(F.size("features")).alias("nnz"), F.count("*").alias("n"))
     return n.select("nnz", (F.col("nnz") * 100).alias("projection_terms"), F.col("nnz").alias("hash_terms"), (F.col("n") * 100).alias("hash_values"))

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..operators import features
 from ..operators.index import IndexParams
-from ..sources import read_table
+from ..sources import dealt, read_table
 
 #: The table whose rows bound the items of each workload.
 TABLE = {
@@ -28,20 +28,35 @@ def sized(spark: SparkSession, d: str, name: str, p: IndexParams) -> IndexParams
     return p.grown(read_table(spark, d, TABLE[name]).count()) if grows(p) else p
 
 
-def docs_words(spark: SparkSession, d: str) -> DataFrame:
-    return features.token_set(read_table(spark, d, "documents"), "doc_id", "text")
+def _rows(spark: SparkSession, d: str, name: str, columns: list[str], deal: bool) -> DataFrame:
+    rows = read_table(spark, d, name, columns)
+    return dealt(rows) if deal else rows
 
 
-def docs_char3(spark: SparkSession, d: str) -> DataFrame:
-    return features.char_ngrams(read_table(spark, d, "documents"), "doc_id", "text", 3)
+def docs_words(spark: SparkSession, d: str, deal: bool = False) -> DataFrame:
+    return features.token_set(_rows(spark, d, "documents", ["doc_id", "text"], deal), "doc_id", "text")
 
 
-def pages_url(spark: SparkSession, d: str) -> DataFrame:
-    return features.url_tokens(read_table(spark, d, "pages"), "page_id", "url")
+def docs_char3(spark: SparkSession, d: str, deal: bool = False) -> DataFrame:
+    return features.char_ngrams(_rows(spark, d, "documents", ["doc_id", "text"], deal), "doc_id", "text", 3)
 
 
-def pages_full(spark: SparkSession, d: str) -> DataFrame:
-    return features.url_tokens(read_table(spark, d, "pages"), "page_id", "url", "html")
+def pages_url(spark: SparkSession, d: str, deal: bool = False) -> DataFrame:
+    return features.url_tokens(_rows(spark, d, "pages", ["page_id", "url"], deal), "page_id", "url")
+
+
+def pages_full(spark: SparkSession, d: str, deal: bool = False) -> DataFrame:
+    return features.url_tokens(_rows(spark, d, "pages", ["page_id", "url", "html"], deal), "page_id", "url", "html")
+
+
+#: Workloads whose rows cost enough to deal a small table out.
+DEALT = ("docs_words", "docs_char3", "pages_url", "pages_full")
+
+
+def load(spark: SparkSession, d: str, name: str) -> DataFrame:
+    """The sets of a workload, a small table's rows dealt to all cores."""
+    make = globals()[name]
+    return make(spark, d, deal=True) if name in DEALT else make(spark, d)
 
 
 PART_COLUMNS = ["p_brand", "p_type", "p_size"]

@@ -18,6 +18,16 @@ def read_table(spark: SparkSession, folder: str, name: str, columns: list[str] |
     return df.select(*columns) if columns else df
 
 
+def dealt(df: DataFrame) -> DataFrame:
+    """``df`` with its rows dealt to all cores if its table fits one split: it may be one row group, which one task would
+    read, and work on, alone. Larger tables have row groups enough and stay as they are."""
+    session = df.sparkSession
+    size = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    if size > session._jsparkSession.sessionState().conf().filesMaxPartitionBytes():
+        return df
+    return df.repartition(session.sparkContext.defaultParallelism)
+
+
 def scratch(spark: SparkSession) -> str:
     """A fresh path in the folder that ``spark.checkpoint.dir`` names. Where it is unset, one machine takes a temporary
     folder (tests); a cluster is refused, as its executors could not read each other's files there."""
