@@ -312,7 +312,7 @@ def _by_rank(found: DataFrame) -> DataFrame:
 def kd_partition_knn(s, d):
     v = w.vectors(s, d)
     asked = v.where(ASKED)
-    return _reached("kd_partition_knn", _by_rank(baselines.kd_partition_knn(v, asked, 20, depth=2)), exact.flat_dense(asked, v, 20), 20, 0.2)
+    return _reached("kd_partition_knn", _by_rank(baselines.kd_partition_knn(v, asked, 20, depth=1)), exact.flat_dense(asked, v, 20), 20, 0.2)
 
 
 @add("pq_search", _reached_sql("pq_search", _VEC_ASKED))

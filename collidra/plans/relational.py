@@ -127,16 +127,17 @@ add("agg_distinct", f"SELECT lang, count(DISTINCT f) AS features FROM ({sql.FEAT
 )
 
 
-@add("agg_approx", sql.query(sql.feats("docs_words"), """SELECT true AS distinct_close, true AS median_close, (SELECT count(DISTINCT f) FROM feats) AS features,
+@add("agg_approx", sql.query(sql.feats("docs_words"), """SELECT true AS distinct_close, true AS median_close, true AS most_close, (SELECT count(DISTINCT f) FROM feats) AS features,
 (SELECT max(c) FROM (SELECT count(*) AS c FROM feats GROUP BY f)) AS most, (SELECT quantile_disc(n, 0.5) FROM (SELECT count(*) AS n FROM feats GROUP BY item_id)) AS median"""))
 def agg_approx(s, d):
-    """Sketches beside what they estimate: distinct features within 6 %, the most frequent one, the median size within 5 %."""
+    """Sketches beside what they estimate: distinct features within 6 %, rows of the most frequent one and the median size within 5 %."""
     long = core._long(w.docs_words(s, d))
     sizes = long.groupBy("item_id").agg(F.count("*").alias("n")).agg(F.percentile_approx("n", 0.5, 100).alias("near"), F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY n)").cast("long").alias("median"))
-    near = long.agg(F.approx_count_distinct("feature", 0.02).alias("distinct_near"), F.count_distinct("feature").alias("features"), F.expr("approx_top_k(feature, 1)[0].count").alias("most"))
+    near = long.agg(F.approx_count_distinct("feature", 0.02).alias("distinct_near"), F.count_distinct("feature").alias("features"), F.expr("approx_top_k(feature, 1)[0].count").alias("most_near"))
     close = lambda a, b, by: F.abs(F.col(a) - F.col(b)) <= by * F.col(b)
-    both = near.crossJoin(F.broadcast(sizes))
-    return both.select(close("distinct_near", "features", 0.06).alias("distinct_close"), close("near", "median", 0.05).alias("median_close"), "features", "most", "median")
+    most = long.groupBy("feature").count().agg(F.max("count").alias("most"))
+    both = near.crossJoin(F.broadcast(sizes)).crossJoin(F.broadcast(most))
+    return both.select(close("distinct_near", "features", 0.06).alias("distinct_close"), close("near", "median", 0.05).alias("median_close"), close("most_near", "most", 0.05).alias("most_close"), "features", "most", "median")
 
 
 _CUBE = "SELECT lang, source, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents GROUP BY {}"
