@@ -197,6 +197,14 @@ def test_toxic_words_decide_and_not_the_id():
     assert model.score(None, pair) == model.score("", pair) < 0.7
 
 
+def test_repeated_lines_do_not_end_the_training_of_a_dictionary():
+    rng = np.random.default_rng(2)
+    words = ["".join(rng.choice(list("aeioudnrst"), 6)) for _ in range(3000)]
+    texts = [["the", "same", "line", "again"] * 2000] + [list(rng.choice(words, 80)) for _ in range(800)]
+    samples = [w for t in texts for w in toxicity.windows([x.encode() for x in t])]
+    assert len(toxicity._trained(32 << 10, samples, toxicity.ORDINARY_SEGMENT)) > 24 << 10
+
+
 def test_network_reads_to_the_last_byte():
     rng = np.random.default_rng(1)
     clean = lambda n: "".join(rng.choice(list("abcdefgh "), n))
