@@ -406,3 +406,23 @@ def test_signed_projections_need_more_values_and_rank_worse():
     for j in (0.2, 0.5, 0.8):
         assert planner.values_needed(15, True, 1 << 24) == 15 > planner.values_needed(15, False, 1 << 24)
         assert planner.ranking_variance(j, 15, 32, True, 1 << 24) > planner.ranking_variance(j, 15, 32, False, 1 << 24)
+
+
+def test_search_by_class_equals_the_join(spark):
+    rng = np.random.default_rng(8)
+    data = [(i, sorted({int(x) for x in np.minimum(rng.geometric(0.15, 6), 40)} | ({1000 + int(rng.integers(0, 90))} if i % 3 else set()))) for i in range(300)] + [(300, []), (301, [7777])]
+    sets = made(spark, data)
+    other = made(spark, [(5000, [1, 2, 9999]), (5001, []), (5002, [9999])])
+    for queries, k in ((sets, 7), (sets, 400), (other, 7), (sets.where("item_id % 10 = 0"), 1)):
+        want = rows(exact.exact_inverted(queries, sets, k))
+        assert rows(exact.exact_by_class(queries, sets, k, heavy_df=20)) == want
+    want = rows(exact.exact_inverted(sets, sets, 7))
+    top = {q: s for q, _, s, r in want if r == 1}
+    assert rows(exact.exact_by_class(sets, sets, 7, heavy_df=20, best=True)) == [r for r in want if r[2] == top[r[0]]]
+
+
+def test_a_feature_of_all_rows_makes_no_pairs(spark):
+    sets = spark.range(60_000).select(F.col("id").alias("item_id"), F.array(F.lit(1).cast("long"), F.col("id") % 50 + 10, F.col("id") + 100).alias("features"))
+    found = exact.exact_by_class(sets, sets, 2)  # 3.6 billion pairs share a feature
+    assert found.agg(F.count("*"), F.min("similarity"), F.max("similarity")).first()[:] == (120_000, 0.666667, 0.666667)
+    assert rows(found.where("query_id = 50")) == [(50, 0, 0.666667, 1), (50, 100, 0.666667, 2)]
