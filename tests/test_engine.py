@@ -426,3 +426,23 @@ def test_a_feature_of_all_rows_makes_no_pairs(spark):
     found = exact.exact_by_class(sets, sets, 2)  # 3.6 billion pairs share a feature
     assert found.agg(F.count("*"), F.min("similarity"), F.max("similarity")).first()[:] == (120_000, 0.666667, 0.666667)
     assert rows(found.where("query_id = 50")) == [(50, 0, 0.666667, 1), (50, 100, 0.666667, 2)]
+
+
+def test_lines_of_one_id_are_one_item(spark, small, tmp_path):
+    for name in ("lineitem", "orders", "part"):
+        table = spark.read.parquet(f"{small}/{name}.parquet").limit(200) if name == "lineitem" else spark.read.parquet(f"{small}/{name}.parquet")
+        again = table.withColumn("l_tax", F.col("l_tax") + 0.01) if name == "lineitem" else table.limit(0)  # the tax is no part of the id
+        table.unionByName(again).write.parquet(f"{tmp_path}/{name}.parquet")
+    sets = w.lines_cat(spark, str(tmp_path)).select("item_id", F.size("features").alias("n")).collect()
+    assert len(sets) == len({r["item_id"] for r in sets}) == 200 and {r["n"] for r in sets} == {12}
+
+
+def test_streams_read_tables_of_many_files(spark, small, tmp_path):
+    from collidra.sources import read_stream
+
+    table = spark.read.parquet(f"{small}/benchmark.parquet")
+    table.repartition(3).write.parquet(f"{tmp_path}/benchmark.parquet")
+    for folder in (small, str(tmp_path)):
+        run = read_stream(spark, folder, "benchmark", table.schema).writeStream.format("memory").queryName("seen").option("checkpointLocation", f"{tmp_path}/state{len(folder)}").trigger(availableNow=True).start()
+        run.awaitTermination()
+        assert spark.table("seen").count() == table.count()
