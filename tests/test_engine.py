@@ -446,3 +446,23 @@ def test_streams_read_tables_of_many_files(spark, small, tmp_path):
         run = read_stream(spark, folder, "benchmark", table.schema).writeStream.format("memory").queryName("seen").option("checkpointLocation", f"{tmp_path}/state{len(folder)}").trigger(availableNow=True).start()
         run.awaitTermination()
         assert spark.table("seen").count() == table.count()
+
+
+def test_flat_graph_leaves_its_clusters(spark):
+    sets = [frozenset(r["features"]) for r in w.pages_url(spark, "/root/testdata/sf0.1").orderBy("item_id").collect()]
+    graph = baselines.SmallWorld(sets, layers=1)
+    hit = []
+    for i in range(0, len(sets), 20):
+        near = [len(sets[i] & x) / (len(sets[i]) * len(x)) ** 0.5 for j, x in enumerate(sets) if j != i]
+        hit.append(max(s for s, j in graph.search(sets[i], 21, 40) if j != i) >= max(near) - 1e-9)
+    assert np.mean(hit) >= 0.9
+
+
+def test_exact_check_behind_codes(spark):
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(4000, 32))
+    v = spark.createDataFrame([(i, [float(c) for c in r]) for i, r in enumerate(x)], "item_id long, vector array<double>").coalesce(1)
+    books = baselines.pq_train(v, 4, 16)
+    found = {r["query_id"]: r["neighbor_id"] for r in baselines.pq_search(baselines.pq_encode(v, books, keep=True), v.where("item_id % 100 = 0"), books, 5).where("rank = 1").collect()}
+    best = {i: int(np.argsort(((x - x[i]) ** 2).sum(1))[1]) for i in range(0, 4000, 100)}
+    assert np.mean([found[i] == b for i, b in best.items()]) >= 0.8
