@@ -466,3 +466,11 @@ def test_exact_check_behind_codes(spark):
     found = {r["query_id"]: r["neighbor_id"] for r in baselines.pq_search(baselines.pq_encode(v, books, keep=True), v.where("item_id % 100 = 0"), books, 5).where("rank = 1").collect()}
     best = {i: int(np.argsort(((x - x[i]) ** 2).sum(1))[1]) for i in range(0, 4000, 100)}
     assert np.mean([found[i] == b for i, b in best.items()]) >= 0.8
+
+
+def test_library_join_pairs_stated_queries_only(spark, small):
+    sets = w.pages_url(spark, small)
+    asked = sets.where("item_id % 100 = 0")
+    for join in (baselines.ml_minhash, baselines.ml_projection):
+        of_all = [r for r in rows(join(sets, 1 << 12, 4, 5)) if r[0] % 100 == 0]
+        assert rows(join(sets, 1 << 12, 4, 5, queries=asked)) == of_all and of_all
