@@ -31,7 +31,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import read_table
+from .common import KEPT, read_table, trim
 
 VOCABULARY = "word_bpe_49k.json"
 SHORT = 24  # symbols of a word up to which it goes through the arrays
@@ -231,6 +231,7 @@ class WordEncoder:
 
 
 _OPEN: dict[str, WordEncoder] = {}
+KEPT.append(_OPEN)
 
 
 def _encoder(path: str) -> WordEncoder:
@@ -281,10 +282,14 @@ def digest_documents(docs: DataFrame, path: str | None = None, id_col: str = "do
     where = path or vocabulary_path()
 
     @F.pandas_udf("n_tokens long, ids_sha256 string, decoded_sha256 string")
-    def digests(texts: pd.Series) -> pd.DataFrame:
+    def digests(parts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+        trim()
         enc = _encoder(where)
-        rows = [(n, hashlib.sha256(i).hexdigest(), hashlib.sha256(d).hexdigest()) for g in _groups(texts) for n, i, d in enc.encode_many(g)]
-        return pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256"]).astype({"n_tokens": "int64"})
+        for texts in parts:
+            rows = [(n, hashlib.sha256(i).hexdigest(), hashlib.sha256(d).hexdigest()) for g in _groups(texts) for n, i, d in enc.encode_many(g)]
+            yield pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256"]).astype({"n_tokens": "int64"})
+            del texts, rows
+        trim()
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), digests(F.col(text_col)).alias("d")).select("doc_id", "d.*")
 

@@ -6,9 +6,11 @@ executors of a cluster see; a lost executor then costs a re-read and not a re-ru
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -57,6 +59,25 @@ def remove(spark: SparkSession, paths: list[str] | tuple[str, ...]) -> None:
             _made.remove(path)
 
 
+#: Tables by name that a Python worker keeps from task to task of one operator.
+KEPT: list[dict] = []
+
+
+def trim() -> None:
+    """Give a Python worker's free memory back: workers are used again, and idle ones count beside the next stage's work."""
+    pa.default_memory_pool().release_unused()
+    give_back = getattr(ctypes.CDLL(None), "malloc_trim", None)  # only the GNU library has it
+    if give_back:
+        give_back(0)
+
+
+def spare() -> None:
+    """As ``trim``, without the tables that another operator's tasks have kept."""
+    for tables in KEPT:
+        tables.clear()
+    trim()
+
+
 def shuffle_partitions(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 

@@ -7,6 +7,8 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 
+from .common import spare, trim
+
 #: The least Jaccard similarity as a fraction, so that no rounding decides.
 NUM, DEN = 4, 5
 #: Sets that every other meets first, and pairs that are looked at together.
@@ -46,6 +48,7 @@ def links_within(sets: list[np.ndarray], num: int = NUM, den: int = DEN) -> list
     if n < 2 or not size.sum():
         return [(i, i + 1) for i in range(n - 1)]  # sets without elements are equal
     _, token, count = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    token = token.astype(np.int32)
     start = np.cumsum(size) - size
     own = [token[a : a + s] for a, s in zip(start.tolist(), size.tolist(), strict=True)]
     marked = np.zeros(len(count), dtype=bool)
@@ -82,8 +85,8 @@ def links_within(sets: list[np.ndarray], num: int = NUM, den: int = DEN) -> list
     component = classes.roots()
     if (component == component[0]).all():
         return out
-    row = np.repeat(np.arange(n), size)
-    rank = np.argsort(np.argsort(count, kind="stable"), kind="stable")[token]
+    row = np.repeat(np.arange(n, dtype=np.int32), size)
+    rank = np.argsort(np.argsort(count, kind="stable"), kind="stable").astype(np.int32)[token]
     order = np.lexsort((rank, row))
     rank, row = rank[order], row[order]
     prefix = size + (-num * size) // den + 1
@@ -97,7 +100,7 @@ def links_within(sets: list[np.ndarray], num: int = NUM, den: int = DEN) -> list
     for lo in range(0, int(total[-1]) if len(total) else 0, _PAIRS):
         k = np.arange(lo, min(lo + _PAIRS, int(total[-1])))
         at = np.searchsorted(total, k, "right")
-        a, b = row[at], row[stop[at] - (total[at] - k)]
+        a, b = row[at].astype(np.int64), row[stop[at] - (total[at] - k)].astype(np.int64)
         good = fits(a, b)
         pairs = np.unique(np.minimum(a, b)[good] * n + np.maximum(a, b)[good])
         a, b = pairs // n, pairs % n
@@ -118,6 +121,7 @@ def by_cell(make, names: list[str]):
         return [(units[i], units[j]) for i, j in links_within([make(v) for _, v in held])]
 
     def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        spare()
         cell, held, edges = None, [], []
         for pdf in parts:
             for c, unit, value in zip(pdf["cell"], pdf[names[0]], pdf[names[1]], strict=True):
@@ -129,7 +133,10 @@ def by_cell(make, names: list[str]):
             if edges:
                 yield pd.DataFrame(edges, columns=["a", "b"])
                 edges = []
+            del pdf
         if len(held) > 1 and (edges := links(held)):
             yield pd.DataFrame(edges, columns=["a", "b"])
+        held.clear()
+        trim()
 
     return run

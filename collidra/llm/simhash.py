@@ -40,7 +40,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_ROWS, cells, components, counted_broadcast, crowds, read_table, text_or_empty, written
+from .common import BROADCAST_ROWS, cells, components, counted_broadcast, crowds, read_table, spare, text_or_empty, trim, written
 from .set_join import by_cell
 
 WIDTH, RADIUS, SEED = 3, 2, 42
@@ -231,11 +231,14 @@ def _whole_buckets(parts: Iterator[pd.DataFrame], names: list[str]) -> Iterator[
 
 def _compare(radius: int, node: str, words: list[str]):
     def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        spare()
         for rows in _whole_buckets(parts, ["cell", node, *words]):
             values = np.ascontiguousarray(rows[:, 2:] if words != [node] else rows[:, 1:2]).view(np.uint64)
             a, b = bucket_edges(rows[:, 0], values, radius)
             if len(a):
                 yield pd.DataFrame({"a": rows[a, 1], "b": rows[b, 1]})
+            del rows, values
+        trim()
 
     return run
 
@@ -315,9 +318,12 @@ _WORDS = [f"f{i}" for i in range(BITS // 64)]
 
 def _slices(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     """The rows in pieces whose shingles take little memory."""
+    spare()
     for pdf in parts:
         for lo in range(0, len(pdf), _TEXTS_AT_ONCE):
             yield pdf.iloc[lo : lo + _TEXTS_AT_ONCE]
+        del pdf
+    trim()
 
 
 def _printed(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

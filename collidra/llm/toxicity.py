@@ -17,6 +17,7 @@ from __future__ import annotations
 import math
 import pickle
 import zlib
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -25,8 +26,8 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import read_table, spare, trim
 from .sampling import HELD_OUT_FOLD, ROWS_PER_CLASS, fold, labelled_sample
-from .common import read_table
 
 THRESHOLD = 0.7
 WINDOW_WORDS = 8
@@ -199,10 +200,14 @@ def drop_toxic(docs: DataFrame, model: ToxicityModel, text_col: str = "text") ->
     blob = pickle.dumps(model)
 
     @F.pandas_udf("boolean")
-    def clean(texts: pd.Series) -> pd.Series:
+    def clean(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        spare()
         m = pickle.loads(blob)
         pair = m.compressors() if m.base is None else ()
-        return pd.Series([m.score(t, pair) < THRESHOLD for t in texts], dtype=bool)
+        for texts in parts:
+            yield pd.Series([m.score(t, pair) < THRESHOLD for t in texts], dtype=bool)
+            del texts
+        trim()
 
     return docs.where(clean(F.col(text_col)))
 

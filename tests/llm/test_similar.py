@@ -7,7 +7,7 @@ import numpy as np
 import pandas as pd
 import pytest
 
-from collidra.llm import common, sampling, simhash
+from collidra.llm import bpe, common, sampling, set_join, simhash
 from tests.llm.test_operators import docs_of, odd
 
 
@@ -153,3 +153,13 @@ def test_buckets_go_across_batches():
     assert np.array_equal(np.concatenate(parts), whole.to_numpy())
     ends = [set(p[:, 0].tolist()) for p in parts]
     assert sum(map(len, ends)) == len(set(cell.tolist()))
+
+
+def test_workers_do_not_keep_what_another_stage_held():
+    """A worker that has encoded texts is used again by the next run's stages; the encoder's tables do not stay beside their work."""
+    rows = pd.DataFrame({"unit": [1, 2], "key": [1, 1], "text": ["a b c d e f", "a b c d e g"]})
+    tasks = [simhash._printed, simhash._shingled, simhash._compare(2, "fp", ["fp"]), set_join.by_cell(np.asarray, ["unit", "s"])]
+    for task, part in zip(tasks, [rows, rows, pd.DataFrame({"cell": [1], "fp": [3]}), pd.DataFrame({"cell": [1], "unit": [1], "s": [[1, 2]]})], strict=True):
+        bpe._encoder(bpe.vocabulary_path())
+        list(task(iter([part])))
+        assert not bpe._OPEN
