@@ -60,3 +60,11 @@ def test_batches_restrict_the_queries(spark, small):
     p = IndexParams(k=1, tables=4, r=8, bits=10)
     part = index.knn_graph(w.pages_url(spark, small), p, 5, batches=4, batch=1)
     assert part.where(F.pmod("query_id", F.lit(4)) != 1).count() == 0 and part.count() > 0
+
+
+def test_the_collision_curve_moves_no_pairs(spark, small):
+    """Pairs of documents are as many as their squares; only sums of the bins are exchanged."""
+    from collidra.plans import registry
+
+    text = plan(registry.QUERIES["collision_curve"](spark, small))
+    assert "Join" not in text and text.count("Exchange") == 1
