@@ -68,3 +68,11 @@ def test_the_collision_curve_moves_no_pairs(spark, small):
 
     text = plan(registry.QUERIES["collision_curve"](spark, small))
     assert "Join" not in text and text.count("Exchange") == 1
+
+
+def test_theory_is_asked_of_the_given_tables(spark, small):
+    from collidra.plans import registry
+
+    for name, table in (("theory_costs", "lineitem"), ("theory_reservoirs", "lineitem"), ("theory_conditionals", "events"), ("theory_retrieval", "events"), ("theory_signed", "events")):
+        df = registry.QUERIES[name](spark, small)
+        assert "FileScan parquet" in plan(df) and any(f.endswith(f"{table}.parquet") for f in df.inputFiles())
