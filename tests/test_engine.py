@@ -358,6 +358,24 @@ def test_prefixes_find_all_pairs_above(spark, tau):
     assert want.items() <= got.items() and all(a / (x * y) ** 0.5 > tau - 1e-5 for a, x, y in got.values())
 
 
+def test_pairs_above_are_counted_without_exchange_of_pairs(spark, monkeypatch):
+    """Sums per item equal those of the pairs, over several blocks; neither plan joins or exchanges sets or pairs."""
+    from collections import Counter
+
+    from collidra.operators import exact
+
+    sets, plain = random_sets(spark, seed=11)
+    monkeypatch.setattr(exact, "BLOCK_FEATURES", 300)
+    near = {(i, j) for i, x in plain.items() for j, y in plain.items() if i != j and int(len(x & y) / (len(x) * len(y)) ** 0.5 * 1e6 + 0.5) > 5e5}
+    graph = spark.createDataFrame([(i, j) for i, j in sorted(near) if j % 3 == 0] + [(0, 10**9)], "query_id long, neighbor_id long")
+    got = exact.degrees_above(sets, graph, (0.5, 0.9)).where("tau = 0.5").drop("tau")
+    want, hits = Counter(i for i, _ in near), Counter(i for i, j in near if j % 3 == 0)
+    assert sorted(map(tuple, got.collect())) == sorted((i, n, hits[i]) for i, n in want.items()) and near
+    pairs = exact.pairs_above(sets, 0.5)
+    assert "Exchange" not in pairs._jdf.queryExecution().executedPlan().toString() and "Join" not in got._jdf.queryExecution().executedPlan().toString()
+    assert exact.pairs_above(sets.limit(0), 0.5).count() == 0 and exact.degrees_above(sets.limit(0), graph, (0.5,)).count() == 0
+
+
 def test_counting_bags_in_batches_equals_aggregation(spark):
     from collidra.operators import query
 
