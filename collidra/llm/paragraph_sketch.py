@@ -66,6 +66,14 @@ def sketch(items: str, cells: str, seed: int) -> str:
     return f"transform(array(transform({items}, d -> {_placed('d', '1L', part, seed)})), its -> {_summed('its', part)})[0]"
 
 
+def _less(cells: str, placed: str, part: str) -> str:
+    """SQL for cells less an array of struct<n,k,x,p0,p1,p2>; a cell that none goes to stays as it is."""
+    return "concat(" + ", ".join(
+        f"transform(slice({cells}, 1 + {j} * {part}, {part}), (q, c) -> aggregate(filter({placed}, i -> i.p{j} = c), q, (a, i) -> struct(a.n - i.n AS n, a.k ^ i.k AS k, a.x ^ i.x AS x)))"
+        for j in range(3)
+    ) + ")"
+
+
 def subtract(a: str, b: str) -> str:
     return f"zip_with({a}, {b}, (u, v) -> struct(u.n - v.n AS n, u.k ^ v.k AS k, u.x ^ v.x AS x))"
 
@@ -75,17 +83,24 @@ def peel(cells: str, seed: int) -> str:
 
     A round takes the digests that are alone in a cell, by the sign of their count, and subtracts a sketch of them.
     """
-    pure = "array_distinct(transform(filter(s.cells, q -> q.n = {0} AND {1} = q.x), q -> q.k))"
-    signed = [f"transform({pure.format(n, _CHECK.format('q.k'))}, e -> {_placed('e', n, 's.part', seed)})" for n in ("1L", "-1L")]
-    rest = f"struct({subtract('s.cells', _summed('t', 's.part'))} AS cells, s.part AS part, concat(s.found, t.k) AS found)"
-    step = f"IF(s.part < 0, s, transform(array(concat({signed[0]}, {signed[1]})), t -> IF(size(t) = 0, struct(s.cells AS cells, -1 AS part, s.found AS found), {rest}))[0])"
+    pure = f"filter(s.cells, q -> abs(q.n) = 1L AND {_CHECK.format('q.k')} = q.x)"
+    signed = [f"transform(array_distinct(transform(filter(pure, q -> q.n = {n}), q -> q.k)), e -> {_placed('e', n, 's.part', seed)})" for n in ("1L", "-1L")]
+    rest = f"struct({_less('s.cells', 't', 's.part')} AS cells, s.part AS part, concat(s.found, t.k) AS found)"
+    step = f"IF(s.part < 0, s, transform(transform(array({pure}), pure -> concat({signed[0]}, {signed[1]})), t -> IF(size(t) = 0, struct(s.cells AS cells, -1 AS part, s.found AS found), {rest}))[0])"
     start = f"struct({cells} AS cells, cast(size({cells}) / 3 AS int) AS part, cast(array() AS array<bigint>) AS found)"
     end = "IF(exists(z.cells, c -> c.n <> 0L OR c.k <> 0L OR c.x <> 0L), NULL, z.found)"
     return f"aggregate(sequence(1, {ROUNDS}), {start}, (s, r) -> {step}, z -> {end})"
 
 
-def _attempt(a: str, b: str, cells: str, seed: int) -> str:
-    return f"transform(array({subtract(sketch(a, cells, seed), sketch(b, cells, seed))}), w -> {peel('w', seed)})[0]"
+def _attempt(a: str, b: str, part: str, seed: int) -> str:
+    """Peels the sketch of ``a`` less that of ``b``, of three parts of ``part`` cells.
+
+    As sketches are sums, digests of ``b`` are added with the opposite sign, which gives the cells of the difference at
+    once; the size is worked out once and not again for each digest.
+    """
+    placed = f"concat(transform({a}, d -> {_placed('d', '1L', 'part', seed)}), transform({b}, d -> {_placed('d', '-1L', 'part', seed)}))"
+    cells = f"transform(transform(array({part}), part -> struct(part AS part, {placed} AS its)), v -> {_summed('v.its', 'v.part')})"
+    return f"transform({cells}, w -> {peel('w', seed)})[0]"
 
 
 def differing(a: str, b: str, sketch_a: str | None = None, sketch_b: str | None = None) -> str:
@@ -94,7 +109,7 @@ def differing(a: str, b: str, sketch_a: str | None = None, sketch_b: str | None
     Given the sketches of two fingerprints, these are tried first.
     """
     whole = "(size(r.a) + size(r.b))"
-    tries = [_attempt("r.a", "r.b", f"(9 + 3 * cast(ceil({whole} * {f} / 3) AS int))", 101 + 100 * i) for i, f in enumerate(GROWTH)]
+    tries = [_attempt("r.a", "r.b", f"cast(3 + ceil({whole} * {f} / 3) AS int)", 101 + 100 * i) for i, f in enumerate(GROWTH)]
     group = f"transform(array(struct(filter({a}, d -> pmod(d, m) = g) AS a, filter({b}, d -> pmod(d, m) = g) AS b)), r -> coalesce({', '.join(tries)}, concat(r.a, r.b)))[0]"
     groups = f"flatten(transform(array(1 + cast((size({a}) + size({b})) / {GROUP} AS int)), m -> flatten(transform(sequence(0, m - 1), g -> {group}))))"
     if not sketch_a:

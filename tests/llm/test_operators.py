@@ -812,3 +812,17 @@ def test_toxic_documents_go_and_clean_ones_stay(spark):
     scored = {r["doc_id"]: r["predicted"] for r in toxicity.score_documents(docs, model).collect()}
     assert kept == {i for i, p in scored.items() if not p} and {80, 81} <= kept
     assert sum(i % 4 == 0 for i in kept if i < 80) <= 4 and sum(i % 4 != 0 for i in kept if i < 80) >= 54
+
+
+def test_peeling_updates_only_the_cells_that_digests_go_to(spark):
+    """Cells less placed digests equal the difference of two sketches, and one attempt sums cells once for both texts."""
+    from collidra.llm import paragraph_sketch as p
+
+    items = "transform(sequence(1, 20), i -> xxhash64(i))"
+    some = f"slice({items}, 5, 9)"
+    less = p._less(p.sketch(items, "57", 101), f"transform({some}, d -> {p._placed('d', '1L', '19', 101)})", "19")
+    both = p.subtract(p.sketch(items, "57", 101), p.sketch(some, "57", 101))
+    found = p._attempt(items, f"concat({some}, array(7L))", "19", 101)
+    row = spark.sql(f"SELECT {less} AS a, {both} AS b, array_sort({found}) AS c, array_sort(concat(array_except({items}, {some}), array(7L))) AS d").first()
+    assert row["a"] == row["b"] and row["c"] == row["d"]
+    assert found.count("sequence(0, v.part - 1)") == 3
