@@ -7,7 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 
-from .common import spare, trim
+from .common import spare
 
 #: The least Jaccard similarity as a fraction, so that no rounding decides.
 NUM, DEN = 4, 5
@@ -137,6 +137,6 @@ def by_cell(make, names: list[str]):
         if len(held) > 1 and (edges := links(held)):
             yield pd.DataFrame(edges, columns=["a", "b"])
         held.clear()
-        trim()
+        spare()
 
     return run

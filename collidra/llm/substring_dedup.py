@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import cells, components, crowds, read_table, written
+from .common import KEPT, cells, components, crowds, read_table, spare, trim, written
 from .set_join import DEN, NUM, by_cell
 
 SHINGLE, SIMILARITY = 5, NUM / DEN
@@ -53,7 +53,7 @@ _rng = np.random.default_rng(11)
 _MUL = _rng.integers(1, 2**63, BANDS * ROWS, dtype=np.uint64) | np.uint64(1)
 _ADD = _rng.integers(0, 2**63, BANDS * ROWS, dtype=np.uint64)
 _STEP, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
-_PART_WORDS, _KNOWN_WORDS = 400_000, 500_000
+_PART_WORDS, _KNOWN_WORDS = 100_000, 200_000
 
 
 class _Known(dict):
@@ -65,6 +65,7 @@ class _Known(dict):
 
 
 _known = _Known()
+KEPT.append(_known)
 
 
 def _word_hashes(words: list[bytes]) -> np.ndarray:
@@ -203,6 +204,8 @@ def _passages(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
                 held, size = [], 0
         if held:
             yield full()
+        del pdf
+    trim()
 
 
 def _shingles(words: str) -> np.ndarray:
@@ -211,6 +214,7 @@ def _shingles(words: str) -> np.ndarray:
 
 def _meeting(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     """Rows sorted by bucket, without those alone in theirs."""
+    spare()
     last, sent = None, False
     for pdf in parts:
         if not len(pdf):
@@ -222,7 +226,9 @@ def _meeting(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         keep = np.concatenate(([False], same)) | np.concatenate((same, [False]))
         # the last row waits for the next batch; if it has met others here, it goes out now and only marks its bucket then
         yield pdf[keep & (np.arange(len(pdf)) >= (1 if last is not None and sent else 0))]
-        last, sent = pdf.iloc[-1:], bool(keep[-1])
+        last, sent = pdf.iloc[-1:].copy(), bool(keep[-1])
+        del pdf
+    trim()
 
 
 def passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:

@@ -7,7 +7,7 @@ import numpy as np
 import pandas as pd
 import pytest
 
-from collidra.llm import bpe, common, sampling, set_join, simhash
+from collidra.llm import bpe, common, sampling, set_join, simhash, substring_dedup
 from tests.llm.test_operators import docs_of, odd
 
 
@@ -163,3 +163,15 @@ def test_workers_do_not_keep_what_another_stage_held():
         bpe._encoder(bpe.vocabulary_path())
         list(task(iter([part])))
         assert not bpe._OPEN
+
+
+def test_workers_do_not_keep_words_of_passages():
+    """A worker that has cut texts into passages is used again by the next stages; the words it met do not stay beside their work."""
+    text = " ".join(f"word{i}" for i in range(40))
+    cut = list(substring_dedup._passages(iter([pd.DataFrame({"owner": [1], "no_id": [False], "th": [1], "text": [text]})])))
+    assert len(cut[0]) and substring_dedup._known
+    met = list(substring_dedup._meeting(iter([pd.DataFrame({"unit": [1, 2], "n_words": [12, 12], "key": [1, 1]})])))
+    assert len(met[0]) == 2 and not substring_dedup._known
+    words = text.replace(" ", "\x1f")
+    links = list(set_join.by_cell(substring_dedup._shingles, ["unit", "words"])(iter([pd.DataFrame({"cell": [1, 1], "unit": [1, 2], "words": [words, words]})])))
+    assert len(links[0]) == 1 and not substring_dedup._known
