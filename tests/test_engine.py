@@ -492,3 +492,18 @@ def test_library_join_pairs_stated_queries_only(spark, small):
     for join in (baselines.ml_minhash, baselines.ml_projection):
         of_all = [r for r in rows(join(sets, 1 << 12, 4, 5)) if r[0] % 100 == 0]
         assert rows(join(sets, 1 << 12, 4, 5, queries=asked)) == of_all and of_all
+
+
+def test_heavy_entries_by_signs_are_those_of_all_pairs(spark, small):
+    """Blocks of columns give what all pairs give, ties by the smaller id and few kept included, and no pair is shuffled before it is ranked."""
+    columns = w.cust_parts(spark, small)
+    sig = {r["item_id"]: np.array(r["sig"]) for r in hashing.signed_projection(columns, 72, 1).collect()}
+    want = set()
+    for i, x in sig.items():
+        met = [(-round(float(np.cos((1 - (x == y).mean()) * np.pi)), 6), j) for j, y in sig.items() if i != j and (x == y).reshape(-1, 6).all(axis=1).any()]
+        want |= {(i, j, -v) for v, j in sorted(met)[:3] if -v > 0.1}
+    for block in (40, 1 << 20):
+        found = baselines.heavy_entries_projection(columns, 72, 6, 3, 0.1, block=block)
+        assert {tuple(r) for r in found.collect()} == want
+        assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
+    assert len(want) > 100
