@@ -6,6 +6,7 @@ import math
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -507,3 +508,14 @@ def test_heavy_entries_by_signs_are_those_of_all_pairs(spark, small):
         assert {tuple(r) for r in found.collect()} == want
         assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
     assert len(want) > 100
+
+
+def test_heavy_entries_by_signs_of_an_empty_table(spark):
+    assert rows(baselines.heavy_entries_projection(made(spark, []), 64, 8, 3, 0.1)) == []
+
+
+def test_keys_of_signs_take_no_more_than_their_bands():
+    """A block of a million columns is held by every task, so keys of 8 signs are bytes."""
+    packed = np.random.default_rng(1).integers(0, 256, (70_000, 16), dtype=np.uint8)
+    words, keys = baselines._sign_words(pa.array([r.tobytes() for r in packed], pa.binary()), 128, 8)
+    assert words.shape == (2, 70_000) and keys.dtype == np.uint8 and np.array_equal(keys.T, packed)
