@@ -519,3 +519,18 @@ def test_keys_of_signs_take_no_more_than_their_bands():
     packed = np.random.default_rng(1).integers(0, 256, (70_000, 16), dtype=np.uint8)
     words, keys = baselines._sign_words(pa.array([r.tobytes() for r in packed], pa.binary()), 128, 8)
     assert words.shape == (2, 70_000) and keys.dtype == np.uint8 and np.array_equal(keys.T, packed)
+
+
+def test_unbounded_buckets_lose_no_partner(spark):
+    """Buckets of more than a thousand items count as any other, and blocks of rows give what all pairs give."""
+    from collidra.plans import registry
+
+    sets = made(spark, [(i, [1, 2, 10 + i % 7, 1000 + i]) for i in range(1100)])
+    p = IndexParams(k=1, tables=4, bits=12)
+    assert index.addresses(sets, p).groupBy("table_id", "address").count().agg({"count": "max"}).first()[0] > 1000
+    pick = lambda df: rows(df.select("query_id", "neighbor_id", "rank", "similarity"))
+    found = pick(baselines.vanilla_lsh(sets, p, 5))
+    assert found == pick(baselines.vanilla_lsh(sets, p, 5, 10_000)) and len(found) > 5 * 1000
+    assert pick(baselines._by_similarity(baselines._bucket_mates(sets, p, 5, block=300), 5)) == found
+    assert "BETWEEN 2 AND" not in registry.ORACLES["table_unbounded"]
+    assert pick(baselines.vanilla_lsh(made(spark, []), p, 5)) == []
