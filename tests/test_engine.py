@@ -534,3 +534,20 @@ def test_unbounded_buckets_lose_no_partner(spark):
     assert pick(baselines._by_similarity(baselines._bucket_mates(sets, p, 5, block=300), 5)) == found
     assert "BETWEEN 2 AND" not in registry.ORACLES["table_unbounded"]
     assert pick(baselines.vanilla_lsh(made(spark, []), p, 5)) == []
+
+
+def test_heavy_entries_by_signs_compare_every_pair(spark, small):
+    """Without bands no pair is left out: an estimate above the threshold counts where no band agrees."""
+    from collidra.plans import registry
+
+    columns = w.cust_parts(spark, small)
+    sig = {r["item_id"]: np.array(r["sig"]) for r in hashing.signed_projection(columns, 72, 1).collect()}
+    every = [(i, -round(float(np.cos((1 - (x == y).mean()) * np.pi)), 6), j) for i, x in sig.items() for j, y in sig.items() if i != j]
+    for k in (3, 1000):
+        want = set()
+        for i in sig:
+            want |= {(i, j, -v) for v, j in sorted(e[1:] for e in every if e[0] == i)[:k] if -v > 0.1}
+        for block in (40, 1 << 20):
+            assert {tuple(r) for r in baselines.heavy_entries_projection(columns, 72, None, k, 0.1, block=block).collect()} == want
+    assert rows(baselines.heavy_entries_projection(made(spark, []), 64, None, 3, 0.1)) == []
+    assert "met" not in registry.ORACLES["heavy_entries_projection"]
