@@ -76,3 +76,20 @@ def test_theory_is_asked_of_the_given_tables(spark, small):
     for name, table in (("theory_costs", "lineitem"), ("theory_reservoirs", "lineitem"), ("theory_conditionals", "events"), ("theory_retrieval", "events"), ("theory_signed", "events")):
         df = registry.QUERIES[name](spark, small)
         assert "FileScan parquet" in plan(df) and any(f.endswith(f"{table}.parquet") for f in df.inputFiles())
+
+
+def test_what_grows_with_the_rows_is_not_broadcast(spark, small):
+    """Lists and pairs that repeat are small as files and in a shuffle, and fill the driver when they are broadcast."""
+    from collidra.plans import registry
+
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "1g")
+    try:
+        found = registry.QUERIES["recall_at_k"](spark, small)
+        found.collect()
+        assert "SortMergeJoin" in plan(found) and "BroadcastHashJoin" not in plan(found)
+        addr = index.addresses(w.pages_url(spark, small), IndexParams(k=1, tables=4, r=8, bits=8, share=0.3))
+        probes = index.index_of(addr, IndexParams(k=1, tables=4, r=8, bits=8, share=0.3)).probe(addr)
+        probes.collect()
+        assert "SortMergeJoin" in plan(probes) and "BroadcastHashJoin" not in plan(probes)
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
