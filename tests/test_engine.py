@@ -551,3 +551,15 @@ def test_heavy_entries_by_signs_compare_every_pair(spark, small):
             assert {tuple(r) for r in baselines.heavy_entries_projection(columns, 72, None, k, 0.1, block=block).collect()} == want
     assert rows(baselines.heavy_entries_projection(made(spark, []), 64, None, 3, 0.1)) == []
     assert "met" not in registry.ORACLES["heavy_entries_projection"]
+
+
+def test_library_join_takes_queries_in_blocks(spark, small, monkeypatch):
+    """Blocks of queries give the rows of one join of all; what is left has no pair in it, only the best of each."""
+    sets = w.pages_url(spark, small)
+    whole = rows(baselines.ml_minhash(sets, 1 << 12, 2, 3))
+    taken = []
+    monkeypatch.setattr(baselines, "settled", lambda df: taken.append(df) or baselines.stored(df))
+    monkeypatch.setattr(baselines._library_join, "__defaults__", (20,))
+    found = baselines.ml_minhash(sets, 1 << 12, 2, 3)
+    assert rows(found) == whole and whole and len(taken) == 3
+    assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
